@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from incstate.llm import collision_links, cube_mix, kd_shards
+from incstate.llm import collision_links, cube_mix, kd_shards, lsh_forest
 from incstate.llm.common import read_table
 
 
@@ -22,10 +22,62 @@ def op3_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kd_shards.kd_shards(read_table(spark, sf_dir, "documents"))
 
 
+def op5_lsh_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lsh_forest.near_duplicates(read_table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_cube_mix": op1_cube_mix,
     "op2_collision_links": op2_collision_links,
     "op3_kd_shards": op3_kd_shards,
+    "op5_lsh_forest": op5_lsh_forest,
 }
 
-ORACLES: dict[str, str] = {}
+#: Words of a text, for DuckDB.
+WORDS_SQL = r"regexp_extract_all({text}, '[^\x20\x09-\x0D]+')"
+
+OP2_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings
+), good AS (
+  SELECT vec_id, e FROM v
+  WHERE e IS NOT NULL AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+    AND len(list_filter(e, lambda x: x <> 0)) > 0
+), links AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM good a JOIN good b
+    ON a.vec_id <> b.vec_id AND len(a.e) = len(b.e) AND list_cosine_similarity(a.e, b.e) >= CAST(0.9 AS DOUBLE)
+), reach AS (
+  SELECT vec_id AS a, vec_id AS b FROM v UNION SELECT reach.a, links.b FROM reach JOIN links ON reach.b = links.a
+), groups AS (SELECT a, min(b) AS component_id FROM reach GROUP BY a)
+SELECT v.vec_id, (SELECT count(*) FROM links WHERE links.a = v.vec_id) AS n_links, component_id,
+  v.vec_id = component_id AS kept
+FROM v JOIN groups ON groups.a = v.vec_id
+"""
+
+OP5_SQL = f"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, {WORDS_SQL.format(text="translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')")} AS words
+  FROM documents
+), s AS (
+  SELECT doc_id, CASE WHEN len(words) = 0 THEN [] WHEN len(words) < 4 THEN [array_to_string(words, ' ')]
+    ELSE list_distinct([array_to_string(words[i:i + 3], ' ') FOR i IN range(1, len(words) - 2)]) END AS shingles
+  FROM w
+), n AS (SELECT doc_id, len(shingles) AS n FROM s),
+x AS (SELECT doc_id, unnest(shingles) AS shingle FROM s),
+pairs AS (
+  SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS met FROM x a JOIN x b ON a.shingle = b.shingle AND a.doc_id <> b.doc_id
+  GROUP BY ALL
+), links AS (
+  SELECT a, b FROM pairs JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b
+  WHERE 100 * met >= 80 * (na.n + nb.n - met)
+), reach AS (
+  SELECT doc_id AS a, doc_id AS b FROM n UNION SELECT reach.a, links.b FROM reach JOIN links ON reach.b = links.a
+), groups AS (SELECT a, min(b) AS component_id FROM reach GROUP BY a)
+SELECT n.doc_id, CAST(n.n AS BIGINT) AS n_shingles, component_id, n.doc_id = component_id AS kept
+FROM n JOIN groups ON groups.a = n.doc_id
+"""
+
+ORACLES: dict[str, str] = {
+    "op2_collision_links": OP2_SQL,
+    "op5_lsh_forest": OP5_SQL,
+}
