@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from incstate.llm import collision_links, cube_mix, kd_shards, lsh_forest
+from incstate.llm import collision_links, cube_mix, kd_shards, lsh_forest, rlz_dedup
 from incstate.llm.common import read_table
 
 
@@ -26,11 +26,16 @@ def op5_lsh_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lsh_forest.near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
+def op7_rlz_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rlz_dedup.digest(read_table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_cube_mix": op1_cube_mix,
     "op2_collision_links": op2_collision_links,
     "op3_kd_shards": op3_kd_shards,
     "op5_lsh_forest": op5_lsh_forest,
+    "op7_rlz_dedup": op7_rlz_dedup,
 }
 
 #: Words of a text, for DuckDB.
@@ -77,7 +82,23 @@ SELECT n.doc_id, CAST(n.n AS BIGINT) AS n_shingles, component_id, n.doc_id = com
 FROM n JOIN groups ON groups.a = n.doc_id
 """
 
+OP7_SQL = f"""
+WITH w AS (SELECT doc_id, {WORDS_SQL.format(text="coalesce(text, '')")} AS words FROM documents),
+win AS (
+  SELECT doc_id, i, md5(array_to_string(words[i:i + 34], ' ')) AS s
+  FROM (SELECT doc_id, words, unnest(range(1, len(words) - 33)) AS i FROM w)
+), twice AS (SELECT s FROM win GROUP BY s HAVING count(*) > 1),
+gone AS (
+  SELECT DISTINCT doc_id, i + k AS i FROM win SEMI JOIN twice USING (s), (SELECT unnest(range(0, 35)) AS k)
+), lost AS (SELECT doc_id, list(i) AS lost FROM gone GROUP BY doc_id)
+SELECT w.doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(coalesce(len(lost), 0) AS BIGINT) AS n_removed,
+  sha256(array_to_string(CASE WHEN lost IS NULL THEN words
+    ELSE list_transform(list_filter(range(1, len(words) + 1), lambda i: NOT list_contains(lost, i)), lambda i: words[i]) END, ' ')) AS kept_sha256
+FROM w LEFT JOIN lost USING (doc_id)
+"""
+
 ORACLES: dict[str, str] = {
     "op2_collision_links": OP2_SQL,
     "op5_lsh_forest": OP5_SQL,
+    "op7_rlz_dedup": OP7_SQL,
 }
