@@ -100,21 +100,23 @@ class Ragged:
         self.first = np.concatenate(([0], np.cumsum(self.counts)))
 
     def hashes(self) -> np.ndarray:
-        """One 64-bit hash per word, from one running polynomial over all bytes."""
+        """One 64-bit hash per word."""
+        return self.hash_of(self.starts, self.ends)
+
+    def hash_of(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """One 64-bit hash for each run of bytes, from one running polynomial over all bytes."""
         size = len(self.bytes)
-        if not size:
-            return np.zeros(0, np.uint64)
         powers = np.full(size + 1, _BASE, np.uint64)
         powers[0] = 1
         np.multiply.accumulate(powers, out=powers)
         run = np.zeros(size + 1, np.uint64)
         np.cumsum(powers[:size] * (self.bytes.astype(np.uint64) + np.uint64(1)), out=run[1:])
-        value = run[self.ends] - run[self.starts]
+        value = run[ends] - run[starts]
         del run
         powers[1:] = _BASE_INVERSE
         powers[0] = 1
         np.multiply.accumulate(powers, out=powers)
-        return mix64(value * powers[self.starts] + (self.ends - self.starts).astype(np.uint64))
+        return mix64(value * powers[starts] + (ends - starts).astype(np.uint64))
 
 
 def slices(texts: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int]]:

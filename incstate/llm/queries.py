@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from incstate.llm import collision_links, cube_mix, kd_shards, lsh_forest, rlz_dedup
+from incstate.llm import collision_links, cube_mix, kd_shards, knn_quality, lsh_forest, rank_bpe, rlz_dedup, tree_rules
 from incstate.llm.common import read_table
 
 
@@ -30,12 +31,27 @@ def op7_rlz_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rlz_dedup.digest(read_table(spark, sf_dir, "documents"))
 
 
+def op8_rank_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rank_bpe.token_counts(read_table(spark, sf_dir, "documents"), public_tokenizers.path(rank_bpe.VOCABULARY))
+
+
+def op9_tree_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tree_rules.quality_rules(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
+def op10_knn_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return knn_quality.quality_scores(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_cube_mix": op1_cube_mix,
     "op2_collision_links": op2_collision_links,
     "op3_kd_shards": op3_kd_shards,
     "op5_lsh_forest": op5_lsh_forest,
     "op7_rlz_dedup": op7_rlz_dedup,
+    "op8_rank_bpe": op8_rank_bpe,
+    "op9_tree_rules": op9_tree_rules,
+    "op10_knn_quality": op10_knn_quality,
 }
 
 #: Words of a text, for DuckDB.
