@@ -7,7 +7,18 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from incstate.llm import collision_links, cube_mix, kd_shards, knn_quality, lsh_forest, rank_bpe, rlz_dedup, tree_rules
+from incstate.llm import (
+    collision_links,
+    cube_mix,
+    hilbert_pack,
+    kd_shards,
+    knn_quality,
+    license_scan,
+    lsh_forest,
+    rank_bpe,
+    rlz_dedup,
+    tree_rules,
+)
 from incstate.llm.common import read_table
 
 
@@ -23,10 +34,18 @@ def op3_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kd_shards.kd_shards(read_table(spark, sf_dir, "documents"))
 
 
+def op4_hilbert_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return hilbert_pack.packing(read_table(spark, sf_dir, "documents"), public_tokenizers.path(hilbert_pack.VOCABULARY))
+
+
 def op5_lsh_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lsh_forest.near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
+def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.license_digest(read_table(spark, sf_dir, "documents"))
+
+
 def op7_rlz_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rlz_dedup.digest(read_table(spark, sf_dir, "documents"))
 
@@ -47,7 +66,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_cube_mix": op1_cube_mix,
     "op2_collision_links": op2_collision_links,
     "op3_kd_shards": op3_kd_shards,
+    "op4_hilbert_pack": op4_hilbert_pack,
     "op5_lsh_forest": op5_lsh_forest,
+    "op6_license_scan": op6_license_scan,
     "op7_rlz_dedup": op7_rlz_dedup,
     "op8_rank_bpe": op8_rank_bpe,
     "op9_tree_rules": op9_tree_rules,
@@ -113,8 +134,28 @@ SELECT w.doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(coalesce(len(lost),
 FROM w LEFT JOIN lost USING (doc_id)
 """
 
+_TEMPLATE_ROWS = ", ".join("('{}', '{}')".format(k, v.replace("'", "''")) for k, v in license_scan.TEMPLATES.items())
+_PLAIN = r"regexp_extract_all(translate({text}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+
+OP6_SQL = f"""
+WITH t AS (SELECT name, {_PLAIN.format(text="body")} AS w FROM (VALUES {_TEMPLATE_ROWS}) v(name, body)),
+ts AS (SELECT name, i, array_to_string(w[i:i + 4], ' ') AS s FROM (SELECT name, w, unnest(range(1, len(w) - 3)) AS i FROM t)),
+tn AS (SELECT name, count(*) AS size, count(DISTINCT s) AS distinct_size FROM ts GROUP BY name),
+d AS (SELECT doc_id, {_PLAIN.format(text="coalesce(text, '')")} AS w FROM documents),
+ds AS (SELECT doc_id, i, array_to_string(w[i:i + 4], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 3)) AS i FROM d)),
+hit AS (SELECT DISTINCT doc_id, name, ds.i, s FROM ds JOIN ts USING (s)),
+found AS (
+  SELECT a.doc_id, a.name FROM hit a JOIN hit b ON a.doc_id = b.doc_id AND a.name = b.name JOIN tn ON tn.name = a.name
+    AND b.i BETWEEN a.i AND a.i + tn.size - 1
+  GROUP BY a.doc_id, a.name, a.i, tn.distinct_size HAVING count(DISTINCT b.s) >= CAST(0.8 AS DOUBLE) * tn.distinct_size
+), names AS (SELECT DISTINCT doc_id, name FROM found)
+SELECT d.doc_id, count(name) AS n_licenses, coalesce(string_agg(name, ',' ORDER BY name), '') AS licenses
+FROM d LEFT JOIN names ON names.doc_id = d.doc_id GROUP BY d.doc_id
+"""
+
 ORACLES: dict[str, str] = {
     "op2_collision_links": OP2_SQL,
     "op5_lsh_forest": OP5_SQL,
+    "op6_license_scan": OP6_SQL,
     "op7_rlz_dedup": OP7_SQL,
 }
