@@ -1,8 +1,63 @@
-"""The corpus pipeline: STAGES, run() and ORACLE_SQL."""
+"""The corpus pipeline: quality classifier, near-dedup, substring dedup, mixing and packing, in this order.
 
-STAGES = []
+Every stage works on all rows its predecessor kept, and its decisions take effect: rejected documents go,
+one document of each near-duplicate group stays, repeated passages are cut out (a document left without
+words goes), documents appear as often as the mix takes them, and the last stage returns the pieces of
+the packed sequences.
+"""
+
+from __future__ import annotations
+
+import public_tokenizers
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from incstate.llm import cube_mix, hilbert_pack, knn_quality, lsh_forest, rlz_dedup
+from incstate.llm.common import read_table, written
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the nearest-neighbour classifier accepts."""
+    return knn_quality.keep_good(docs, read_table(spark, sf_dir, "labels"))
+
+
+def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document of the smallest id of each near-duplicate group."""
+    return lsh_forest.keep_one(docs)
+
+
+def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the passages that occur more than once; ``n_chars`` follows the text."""
+    return rlz_dedup.drop_repeats(docs).withColumn("n_chars", F.length("text").cast("long"))
+
+
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix of sources takes it."""
+    return cube_mix.apply_mix(docs)
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The pieces of the packed token sequences."""
+    return hilbert_pack.packing(docs, public_tokenizers.path(hilbert_pack.VOCABULARY))
+
+
+STAGES = [
+    ("quality classifier", quality),
+    ("MinHash near-dedup", near_dedup),
+    ("substring dedup", substring_dedup),
+    ("mixing sources to target weights", mixing),
+    ("packing", packing),
+]
+
+#: The classifier, the balanced sample and the tokenizer are beyond SQL; tests use a brute-force version.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over ``documents``, each written as Parquet and read again by the next."""
+    docs = read_table(spark, sf_dir, "documents")
+    for at, (_, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if at + 1 < len(STAGES):
+            docs = written(docs)
+    return docs
