@@ -20,7 +20,10 @@ from pyspark.sql import functions as F
 #: Java regular expression of one word.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Text bytes that the numpy kernels hold at a time; a longer single text is one slice of its own.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
+
+#: Rows that go to a Python worker at a time; whole texts of this many rows are in memory on both sides.
+ARROW_ROWS = 512
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -42,6 +45,13 @@ def shared_dir(spark: SparkSession) -> str:
     return context._jsc.sc().getCheckpointDir().get()
 
 
+def bound_batches(df: DataFrame) -> None:
+    """Keep the session's Arrow batches small enough for rows with whole texts."""
+    conf = df.sparkSession.conf
+    if int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > ARROW_ROWS:
+        conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Run ``df`` once and read it from the shared folder from then on; any executor may be lost afterwards."""
     shared_dir(df.sparkSession)

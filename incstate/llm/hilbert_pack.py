@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import cut, flat, slices, written
+from incstate.llm.common import bound_batches, cut, flat, slices, written
 
 VOCABULARY = "word_bpe_49k.json"
 SEQUENCE = 4096
@@ -162,6 +162,7 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
         kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64()), ("ids", pa.binary()), ("crc", pa.int64())]))
         return pa.array(out, kind)
 
+    bound_batches(docs)
     held = written(
         docs.select("doc_id", read(F.coalesce("text", F.lit(""))).alias("r"))
         .select("doc_id", "r.*")

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import Ragged, flat, slices
+from incstate.llm.common import Ragged, bound_batches, flat, slices
 from incstate.llm.text_stats import SHARES, stats
 
 #: Most labelled rows of each label that the space is fitted on and that vote.
@@ -129,6 +129,7 @@ def held_out(doc_id):
 
 def learn(docs: DataFrame, labels: DataFrame, per_label: int = ROWS_PER_LABEL) -> Space:
     """Fit on at most ``per_label`` learnable documents of each label, the same ones in every run."""
+    bound_batches(docs)
     known = (
         labels.where("doc_id is not null and quality in (0, 1)").where(~held_out(F.col("doc_id")))
         .groupBy("doc_id").agg(F.min("quality").alias("y"))

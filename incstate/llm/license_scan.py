@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import Ragged, flat, mix64, slices
+from incstate.llm.common import Ragged, bound_batches, flat, mix64, slices
 
 WORDS = 5
 CONTAINED = 0.8
@@ -155,6 +155,7 @@ def license_matches(docs: DataFrame, templates: dict[str, str] | None = None) ->
     rows and null ids are scanned like others; an empty table gives no rows; other columns are ignored.
     Templates are parameters of the job, a few hundred at most.
     """
+    bound_batches(docs)
     index = build_index(templates or TEMPLATES)
     span = T.StructType().add("license", "string").add("first_word", "long").add("words", "long")
 

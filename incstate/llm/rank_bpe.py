@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import flat, slices
+from incstate.llm.common import bound_batches, flat, slices
 
 VOCABULARY = "byte_bpe_50k.json"
 LIMIT = 1024
@@ -187,6 +187,7 @@ def token_counts(docs: DataFrame, vocabulary: str, limit: int = LIMIT) -> DataFr
         text = pc.fill_null(flat(text), "")
         return pa.array([n for a, b in slices(text) for n in bpe.counts(text[a:b].to_pylist())], pa.int64())
 
+    bound_batches(docs)
     text = F.coalesce(F.col("text"), F.lit(""))
     return docs.select("doc_id", F.octet_length(text).cast("long").alias("n_bytes"), count(text).alias("n_tokens")).withColumn(
         "over_limit", F.col("n_tokens") > limit

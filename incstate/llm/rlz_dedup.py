@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import Ragged, cut, flat, mix64, slices, written
+from incstate.llm.common import Ragged, bound_batches, cut, flat, mix64, slices, written
 
 WINDOW = 35
 SEED = 8
@@ -202,6 +202,7 @@ def factors(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     sequence), ``copies`` counting the input rows of that sequence; ``found(seq, start, length, source_seq,
     source_start)`` the factors of ``WINDOW`` words or more of sequences, in words from 0.
     """
+    bound_batches(docs)
     base = docs.select("doc_id", "text")
     profile = written(base.select("doc_id", _profile(F.coalesce("text", F.lit(""))).alias("p")).select("doc_id", "p.*"))
     classes = cut(profile.groupBy("seq").agg(F.count("*").alias("copies"), F.min("doc_id").alias("rep"), F.max("n").alias("n")))

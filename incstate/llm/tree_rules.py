@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import flat, slices
+from incstate.llm.common import bound_batches, flat, slices
 from incstate.llm.text_stats import COUNTS, SHARES, stats
 
 #: Most labelled rows that the trees are fitted on, those of the smallest id hashes.
@@ -141,6 +141,7 @@ def quality_rules(docs: DataFrame, labels: DataFrame, most: int = TRAINING_ROWS)
     repeated three-word windows; null texts count as empty.  Repeated rows and null ids are judged like
     others; an empty table gives no rows; other columns are ignored.
     """
+    bound_batches(docs)
     x, y = training_rows(docs, labels, most)
     forest = fit(x, y, np.array([-1 if s in FALLING else 0 for s in SHARES]))
     kind = T.StructType()
