@@ -2,39 +2,41 @@
 
 A document is the set of its distinct word shingles.  Equal sets are one class, which gets ``TREES *
 DEPTH`` MinHash values; every tree sorts the classes by its own ``DEPTH`` of them.  Classes next to each
-other in a tree whose common prefix is at least ``SHORTEST`` long are candidates, so crowded regions are
-cut deep and sparse ones shallow.
-
-Links are confirmed on full sets in two rounds.  The first confirms each class's most promising
-neighbour and contracts what is linked; the second takes every pair that shares a prefix of ``SHORTEST``
-in any tree and is still in different components, drops those whose whole signatures differ by far too
-much, and confirms the rest.  So a crowded region costs about one confirmation per class, yet every
-candidate pair is either linked through others or compared: the components are those of all candidates.
-A pair at the threshold 0.8 shares such a prefix with probability 1 - (1 - 0.8**4)**16 = 0.9998.
-
-Neighbours come from a range sort on the whole order, ties broken by class, so that a region of any size
-is spread over tasks; the pairs across task borders are added from the border rows.
+other in a tree are candidates if their longest common prefix reaches the depth of their region:
+``SHORTEST``, or up to ``DEEPEST`` where the region joins more than ``CROWD`` classes.  A pair at the
+threshold 0.8 shares a prefix of ``SHORTEST`` in some tree with probability 1 - (1 - 0.8**4)**16 = 0.9998,
+and one of ``DEEPEST`` with 0.992.
+
+Candidates that hang together form a cluster, and all links of a cluster are confirmed on full sets, so
+a pair need not be next to each other to be found.  Each set is read once for its cluster, which is
+confirmed in memory: a shingle order by frequency leaves few sets to compare (a set that reaches 80% of
+another shares one of its rarest 20% of shingles), and sets that are already connected are skipped.
+Clusters of more than ``BLOCK`` classes are dealt as pairs of blocks.  No pairs leave a task but one link
+per class and local component.
+
+The neighbours come from a range sort on the whole order, ties broken by class, so that a region of any
+size is spread over tasks; the pairs across task borders are added from the border rows.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import Ragged, cut, flat, mix64, slices, written
+from incstate.llm.common import Ragged, bound_batches, cut, flat, mix64, slices, written
 from incstate.llm.components import connected_components
 
 WORDS = 4
 TREES = 16
 DEPTH = 8
 SHORTEST = 4
-#: A pair is confirmed unless its signatures agree in less than threshold minus this share (over 4 sigma).
-ALLOWANCE = 0.15
+DEEPEST = 6
+#: Classes that a region may join at one depth before it is cut deeper.
+CROWD = 20_000
+BLOCK = 1024
 
 _STEP = np.array([1, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3], np.uint64)
 
@@ -101,148 +103,181 @@ def _profile(text: pa.Array) -> pa.Array:
     )
 
 
-@F.arrow_udf(T.DoubleType())
-def _agreement(a: pa.Array, b: pa.Array) -> pa.Array:
-    """Share of equal MinHash values."""
-    if not len(a):
-        return pa.array([], pa.float64())
-    x, y = (np.frombuffer(b"".join(v.to_pylist()), np.uint32).reshape(len(v), -1) for v in (flat(a), flat(b)))
-    return pa.array((x == y).mean(axis=1))
-
-
-@F.arrow_udf(T.LongType())
-def _common(a: pa.Array, b: pa.Array) -> pa.Array:
-    """Size of the intersection of two ascending lists of distinct values."""
-    def parts(v: pa.Array) -> Iterator[np.ndarray]:
-        ends = v.offsets.to_numpy()
-        held = v.values.to_numpy(zero_copy_only=False)
-        return (held[i:j] for i, j in zip(ends[:-1], ends[1:]))
-
-    return pa.array([len(np.intersect1d(x, y, assume_unique=True)) for x, y in zip(parts(flat(a)), parts(flat(b)))], pa.int64())
+@F.arrow_udf(T.StructType().add("node", "long").add("set", T.ArrayType(T.LongType())))
+def _keyed_set(text: pa.Array) -> pa.Array:
+    values, counts, node = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    text = flat(text)
+    for a, b in slices(text):
+        v, c = shingle_sets(text[a:b])
+        values.append(v)
+        counts.append(c)
+        node.append(_class_keys(v, c))
+    ends = np.concatenate([[0], np.cumsum(np.concatenate(counts))])
+    sets = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(values).view(np.int64)))
+    return pa.StructArray.from_arrays([pa.array(np.concatenate(node)), sets], names=["node", "set"])
 
 
 def _neighbours(batches):
     """Sorted rows (tree, key, node) to pairs next to each other; the task's first and last row as borders."""
-    width = 4 * SHORTEST
     last = None
+    names = ["a", "b", "common", "tree", "key"]
+
+    def made(rows: list[tuple]) -> pa.RecordBatch:
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
+
     for batch in batches:
-        tree, node = batch.column(0).to_pylist(), batch.column(2).to_pylist()
-        key = batch.column(1).to_pylist()
-        a, b, t, k = [], [], [], []
-        if last is None and node:
-            a.append(node[0]), b.append(None), t.append(tree[0]), k.append(key[0])
-        for row in zip(tree, key, node):
-            if last is not None and row[0] == last[0] and row[1][:width] == last[1][:width] and row[2] != last[2]:
-                a.append(last[2]), b.append(row[2]), t.append(row[0]), k.append(None)
-            last = row
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(t, pa.int32()), pa.array(k, pa.binary())], names=["a", "b", "tree", "key"]
-        )
+        out = []
+        for tree, key, node in zip(*(batch.column(i).to_pylist() for i in range(3))):
+            if last is None:
+                out.append((node, None, 0, tree, key))
+            elif tree == last[0]:
+                common = _common_prefix(last[1], key)
+                if common >= SHORTEST:
+                    out.append((last[2], node, common, tree, None))
+            last = (tree, key, node)
+        yield made(out)
     if last is not None:
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([last[2]]), pa.array([None], pa.int64()), pa.array([last[0]], pa.int32()), pa.array([last[1]], pa.binary())], names=["a", "b", "tree", "key"]
-        )
+        yield made([(last[2], None, 0, last[0], last[1])])
+
+
+def _common_prefix(a: bytes, b: bytes) -> int:
+    """Number of leading values that two keys share."""
+    for i in range(DEPTH):
+        if a[4 * i : 4 * i + 4] != b[4 * i : 4 * i + 4]:
+            return i
+    return DEPTH
 
 
 def _adjacent(trees: DataFrame) -> DataFrame:
-    """Distinct pairs (a < b) of classes next to each other in some tree."""
+    """``(a, b, common)``: classes next to each other in some tree and their longest prefix in any."""
     parts = int(trees.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     scan = cut(
         trees.repartitionByRange(parts, "tree", "key", "node")
         .sortWithinPartitions("tree", "key", "node")
-        .mapInArrow(_neighbours, "a long, b long, tree int, key binary")
+        .mapInArrow(_neighbours, "a long, b long, common int, tree int, key binary")
     )
-    inner = scan.where("b is not null").select("a", "b")
     ends = Window.orderBy("tree", "key", "a")  # two rows a task
+    before = F.lag("key").over(ends)
+    shared = [(F.substring(before, 1, 4 * d) == F.substring("key", 1, 4 * d)).cast("int") for d in range(SHORTEST, DEPTH + 1)]
     border = (
         scan.where("b is null")
         .withColumn("b", F.lag("a").over(ends))
-        .withColumn("same", (F.lag("tree").over(ends) == F.col("tree")) & (F.lag(F.substring("key", 1, 4 * SHORTEST)).over(ends) == F.substring("key", 1, 4 * SHORTEST)))
-        .where("same and a <> b")
-        .select("a", "b")
-    )
-    return inner.unionByName(border).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-
-
-def _promising(pairs: DataFrame, sigs: DataFrame, least: float) -> DataFrame:
-    left = sigs.select(F.col("node").alias("a"), F.col("sig").alias("sa"))
-    right = sigs.select(F.col("node").alias("b"), F.col("sig").alias("sb"))
-    return (
-        pairs.join(left, "a").join(right, "b").select("a", "b", _agreement("sa", "sb").alias("est")).where(F.col("est") >= least)
+        .withColumn("same", F.lag("tree").over(ends) == F.col("tree"))
+        .withColumn("common", sum(shared, F.lit(SHORTEST - 1)))
+        .where(f"same and a <> b and common >= {SHORTEST}")
+        .select("a", "b", "common")
     )
-
-
-def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    left = sets.select(F.col("node").alias("a"), F.col("set").alias("xa"))
-    right = sets.select(F.col("node").alias("b"), F.col("set").alias("xb"))
-    both = pairs.join(left, "a").join(right, "b")
-    # A set under percent of the other can't reach it whatever they share.
-    able = both.where(F.least(F.size("xa"), F.size("xb")) * 100 >= F.greatest(F.size("xa"), F.size("xb")) * percent)
-    met = able.select("a", "b", (F.size("xa") + F.size("xb")).alias("sum"), _common("xa", "xb").alias("both"))
-    return met.where(F.col("both") * 100 >= (F.col("sum") - F.col("both")) * percent).select("a", "b")
-
-
-def _labels(nodes: DataFrame, links: DataFrame) -> DataFrame:
-    found = connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v")))
-    return nodes.join(found, nodes["node"] == found["id"], "left").select("node", F.coalesce("component", "node").alias("label"))
-
-
-def forest_links(docs: DataFrame, percent: int = 80, allowance: float = ALLOWANCE) -> tuple[DataFrame, DataFrame]:
+    pairs = scan.where("b is not null").select("a", "b", "common").unionByName(border)
+    return pairs.groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.max("common").alias("common"))
+
+
+def _clusters(near: DataFrame, crowd: int) -> DataFrame:
+    """``(node, cluster)`` of candidates; clusters above ``crowd`` are cut by deeper prefixes."""
+    done: list[DataFrame] = []
+    for depth in range(SHORTEST, DEEPEST + 1):
+        found = cut(connected_components(near.where(F.col("common") >= depth).select(F.col("a").alias("u"), F.col("b").alias("v"))))
+        large = found.groupBy("component").agg(F.count("*").alias("size")).where(F.col("size") > crowd)
+        if depth == DEEPEST or large.isEmpty():
+            done.append(found)
+            break
+        done.append(found.join(large, "component", "left_anti"))
+        inside = found.join(large, "component", "left_semi")
+        near = cut(near.join(inside.select(F.col("id").alias("a")), "a", "left_semi"))
+    out = done[0]
+    for more in done[1:]:
+        out = out.unionByName(more)
+    return out.select(F.col("id").alias("node"), F.col("component").alias("cluster"))
+
+
+def linked_sets(sets: list[np.ndarray], percent: int, side: np.ndarray | None = None) -> np.ndarray:
+    """Local component roots of ``sets`` under links of similarity ``percent``/100, each confirmed on full sets.
+
+    With ``side`` only pairs on different sides are compared.
+    """
+    n = len(sets)
+    size = np.array([len(s) for s in sets])
+    owner = np.repeat(np.arange(n), size)
+    _, token, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    # Tokens numbered by frequency, so that sorted sets begin with their rarest.
+    rank = np.empty(len(count), np.int64)
+    rank[np.argsort(count, kind="stable")] = np.arange(len(count))
+    token = rank[token]
+    token = token[np.lexsort((token, owner))]
+    start = np.cumsum(size) - size
+
+    def index(tokens: np.ndarray, owners: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        ends = np.concatenate(([0], np.cumsum(np.bincount(tokens, minlength=len(count)))))
+        return ends, owners[np.argsort(tokens, kind="stable")]
+
+    def met(tokens: np.ndarray, ends: np.ndarray, owners: np.ndarray) -> np.ndarray:
+        low, long = ends[tokens], ends[tokens + 1] - ends[tokens]
+        return owners[np.repeat(low - np.cumsum(long) + long, long) + np.arange(long.sum())]
+
+    # A set that can link holds at least percent of the larger one, so it meets a prefix this long.
+    prefix = size - -(-size * percent // 100) + 1
+    head = np.arange(len(token)) - np.repeat(start, size) < np.repeat(prefix, size)
+    every, rare = index(token, owner), index(token[head], owner[head])
+    root = np.arange(n)
+    for i in range(n):
+        own = token[start[i] : start[i] + size[i]]
+        other = np.unique(met(own[: prefix[i]], *rare))
+        other = other[root[other] != root[i]]
+        if side is not None:
+            other = other[side[other] != side[i]]
+        if not len(other):
+            continue
+        both = np.bincount(met(own, *every), minlength=n)[other]
+        good = other[both * 100 >= (size[i] + size[other] - both) * percent]
+        if len(good):
+            joined = np.unique(np.append(root[good], root[i]))
+            root[np.isin(root, joined)] = joined[0]
+    return root
+
+
+def _confirm(percent: int):
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        node = table.column("node").to_numpy()
+        held = flat(table.column("set"))
+        ends, values = held.offsets.to_numpy(), held.values.to_numpy(zero_copy_only=False)
+        sets = [values[x:y] for x, y in zip(ends[:-1], ends[1:])]
+        across = table.column("block").to_numpy() if key[1].as_py() != key[2].as_py() else None
+        root = linked_sets(sets, percent, across)
+        some = root != np.arange(len(root))
+        return pa.table({"a": pa.array(node[some], pa.int64()), "b": pa.array(node[root[some]], pa.int64())})
+
+    return run
+
+
+def forest_links(docs: DataFrame, percent: int = 80, crowd: int = CROWD, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
     """The classes of ``docs(doc_id, text)`` and their components.
 
     Returns ``(rows, labels)``: ``rows(doc_id, n, node)`` for every input row (``node`` names the set) and
-    ``labels(node, label)`` for every class that has a candidate.
+    ``labels(id, component)`` for every class that is linked with another.
     """
+    bound_batches(docs)
     base = docs.select("doc_id", "text")
     profile = written(base.select("doc_id", _profile(F.coalesce("text", F.lit(""))).alias("p")).select("doc_id", "p.*"))
     rows = profile.select("doc_id", "n", "node")
-    sigs = profile.where("n > 0").groupBy("node").agg(F.first("sig").alias("sig"), F.min("doc_id").alias("doc_id"))
-    sigs = written(sigs)
-    trees = written(
-        sigs.select("node", F.explode(F.array(*[F.struct(F.lit(t).alias("tree"), F.substring("sig", 4 * DEPTH * t + 1, 4 * DEPTH).alias("key")) for t in range(TREES)])).alias("x"))
-        .select("x.tree", "x.key", "node")
-    )
-    near = cut(_promising(_adjacent(trees), sigs, percent / 100 - allowance))
-    ends = near.select(F.col("a").alias("node"), "b", "est").unionByName(near.select(F.col("b").alias("node"), F.col("a").alias("b"), "est"))
-    best = (
-        ends.groupBy("node").agg(F.max_by("b", F.struct("est", "b")).alias("other"))
-        .select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
+    classes = profile.where("n > 0").groupBy("node").agg(F.first("sig").alias("sig"))
+    keys = [F.struct(F.lit(t).alias("tree"), F.substring("sig", 4 * DEPTH * t + 1, 4 * DEPTH).alias("key")) for t in range(TREES)]
+    trees = classes.select("node", F.explode(F.array(*keys)).alias("x")).select("x.tree", "x.key", "node")
+    clusters = cut(_clusters(cut(_adjacent(written(trees))), crowd))
+    sizes = clusters.groupBy("cluster").agg(F.ceil(F.count("*") / F.lit(block)).cast("int").alias("blocks"))
+    member = clusters.join(sizes, "cluster").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    member = cut(member)
+    # One row for each member: a repeated id with another text falls out by its own class.
+    first = rows.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("rep")).join(member, "node").select("rep").distinct()
+    texts = base.join(first, F.col("doc_id").eqNullSafe(F.col("rep"))).select(F.coalesce("text", F.lit("")).alias("text"))
+    sets = texts.select(_keyed_set("text").alias("s")).select("s.node", "s.set").join(member, "node").dropDuplicates(["node"])
+    dealt = (
+        sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        .withColumn("x", F.least("block", "other"))
+        .withColumn("y", F.greatest("block", "other"))
+        .select("cluster", "x", "y", "block", "node", "set")
     )
-    prefix = F.substring("key", 1, 4 * SHORTEST)
-    regions = trees.groupBy("tree", prefix.alias("prefix")).agg(F.count("*").alias("rows")).where("rows > 1").drop("rows")
-    crowd = cut(trees.withColumn("prefix", prefix).join(regions, ["tree", "prefix"]).select("tree", "prefix", "node"))
-    nodes = cut(crowd.select("node").distinct())
-    wanted = nodes.join(sigs.select("node", "doc_id"), "node")
-    # One row for each wanted class: a repeated id with another text falls out by its own class.
-    texts = base.join(wanted.select(F.col("doc_id").alias("_wanted")).distinct(), F.col("doc_id").eqNullSafe(F.col("_wanted")))
-    sets = texts.select(_keyed_set(F.coalesce("text", F.lit(""))).alias("s")).select("s.node", "s.set")
-    sets = written(sets.join(nodes, "node", "left_semi").dropDuplicates(["node"]))
-    links = cut(_confirmed(best, sets, percent))
-    labels = cut(_labels(nodes, links))
-    held = crowd.join(labels, "node")
-    mixed = held.groupBy("tree", "prefix").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("tree", "prefix")
-    held = cut(held.join(mixed, ["tree", "prefix"]))
-    one, two = (held.select("tree", "prefix", F.col("node").alias(k), F.col("label").alias(f"l{k}")) for k in "ab")
-    apart = one.join(two, ["tree", "prefix"]).where("la <> lb and a < b").select("a", "b").distinct()
-    more = cut(_promising(apart, sigs, percent / 100 - allowance).select("a", "b"))
-    if not more.isEmpty():
-        links = links.unionByName(cut(_confirmed(more, sets, percent)))
-        labels = cut(_labels(nodes, links))
-    return rows, labels
-
-
-@F.arrow_udf(T.StructType().add("node", "long").add("set", T.ArrayType(T.LongType())))
-def _keyed_set(text: pa.Array) -> pa.Array:
-    values, counts, node = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-    text = flat(text)
-    for a, b in slices(text):
-        v, c = shingle_sets(text[a:b])
-        values.append(v)
-        counts.append(c)
-        node.append(_class_keys(v, c))
-    ends = np.concatenate([[0], np.cumsum(np.concatenate(counts))])
-    sets = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(values).view(np.int64)))
-    return pa.StructArray.from_arrays([pa.array(np.concatenate(node)), sets], names=["node", "set"])
+    links = dealt.groupBy("cluster", "x", "y").applyInArrow(_confirm(percent), "a long, b long")
+    return rows, connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v")))
 
 
 def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
@@ -256,7 +291,8 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
     """
     rows, labels = forest_links(docs, percent)
     labelled = cut(
-        rows.where("n > 0").join(labels, "node", "left").select("doc_id", "n", F.coalesce("label", "node").alias("label"))
+        rows.where("n > 0").join(labels, F.col("node") == F.col("id"), "left")
+        .select("doc_id", "n", F.coalesce("component", "node").alias("label"))
     )
     lowest = labelled.groupBy("label").agg(F.min("doc_id").alias("component_id"))
     linked = labelled.join(lowest, "label").select("doc_id", "n", "component_id")
