@@ -10,8 +10,10 @@ source advances word by word.  Factors end at block and source borders, and the
 border have anchors of their own, so the spans are exactly the words of passages that start twice.
 
 Documents of equal words are parsed once; such a class repeats itself and is one factor.  An anchor with
-more than ``HOT_ROWS`` occurrences isn't gathered in a block: its positions are counted by hash with
-partial aggregates and meet their counts in a join.
+more than ``HOT_ROWS`` occurrences isn't gathered in a block: they are dealt by document to blocks of
+about that many first, which settle what repeats inside and pass on one occurrence of each passage, and
+those meet by passage in blocks of bounded size.  So a passage of any number of documents reaches a task
+once per first block at most.
 """
 
 from __future__ import annotations
@@ -88,49 +90,57 @@ class Parsed:
 
 
 @F.arrow_udf(
-    T.StructType().add("seq", "long").add("n", "long").add("at", T.ArrayType(T.IntegerType())).add("anchor", T.ArrayType(T.LongType()))
+    T.StructType().add("seq", "long").add("n", "long").add("at", T.ArrayType(T.ArrayType(T.IntegerType()))).add("anchor", T.ArrayType(T.LongType()))
 )
 def _profile(text: pa.Array) -> pa.Array:
-    seq, n, ends, at, anchor = [], [], [np.zeros(1, np.int64)], [], []
+    """Word sequence, number of words, and the distinct anchors with the places of each."""
+    seq, n, doc_ends, place_ends, at, anchor = [], [], [np.zeros(1, np.int64)], [np.zeros(1, np.int64)], [], []
     text = flat(text)
     for a, b in slices(text):
         p = Parsed(text[a:b])
         place = np.unique(p.anchor[p.ok])
-        doc = p.words.doc[place]
+        doc, value = p.words.doc[place], p.seed_hash[place]
+        order = np.lexsort((place, value, doc))
+        place, doc, value = place[order], doc[order], value[order]
+        new = np.flatnonzero(np.concatenate(([True], (np.diff(value) != 0) | (np.diff(doc) != 0)))) if len(place) else place
         seq.append(p.seq)
         n.append(p.words.counts)
         at.append(place - p.words.first[doc])
-        anchor.append(p.seed_hash[place])
-        ends.append(ends[-1][-1] + np.cumsum(np.bincount(doc, minlength=b - a)))
+        anchor.append(value[new])
+        place_ends.append(place_ends[-1][-1] + np.append(new[1:], len(place))[: len(new)])
+        doc_ends.append(doc_ends[-1][-1] + np.cumsum(np.bincount(doc[new], minlength=b - a)))
+        if not len(new):
+            place_ends.pop()
     joined = lambda x, kind: np.concatenate(x) if x else np.zeros(0, kind)
-    ends_ = pa.array(np.concatenate(ends), pa.int32())
+    ends = pa.array(np.concatenate(doc_ends), pa.int32())
+    places = pa.ListArray.from_arrays(pa.array(np.concatenate(place_ends), pa.int32()), pa.array(joined(at, np.int64), pa.int32()))
     return pa.StructArray.from_arrays(
         [
             pa.array(joined(seq, np.int64)),
             pa.array(joined(n, np.int64)),
-            pa.ListArray.from_arrays(ends_, pa.array(joined(at, np.int64), pa.int32())),
-            pa.ListArray.from_arrays(ends_, pa.array(joined(anchor, np.uint64).view(np.int64))),
+            pa.ListArray.from_arrays(ends, places),
+            pa.ListArray.from_arrays(ends, pa.array(joined(anchor, np.uint64).view(np.int64))),
         ],
         names=["seq", "n", "at", "anchor"],
     )
 
 
 def _passages(batches):
-    """Texts with their repeated anchors to one row for each anchor: its run of passages."""
+    """Texts with their repeated anchors to one row for each place of one: its run of passages."""
     for batch in batches:
         text, seq = batch.column("text"), batch.column("seq").to_numpy()
         spots = batch.column("spots")
         for a, b in slices(text):
             p = Parsed(text[a:b])
-            same = p.seq == seq[a:b]
             part = spots[a:b]
             doc = np.repeat(np.arange(b - a), np.diff(part.offsets.to_numpy()))
             held = part.flatten()
-            place = held.field("at").to_numpy() + p.words.first[doc]
-            good = same[doc]
-            hot = held.field("hot").to_numpy(zero_copy_only=False)
-            wanted = np.zeros(len(p.ok) + 1, np.int8)
-            wanted[place[good]] = 1 + hot[good]
+            lists = held.field("at")
+            sizes = np.diff(lists.offsets.to_numpy())
+            doc, many = np.repeat(doc, sizes), np.repeat(held.field("rows").to_numpy(), sizes)
+            good = (p.seq == seq[a:b])[doc]
+            wanted = np.zeros(len(p.ok) + 1, np.int64)
+            wanted[(lists.flatten().to_numpy() + p.words.first[doc])[good]] = many[good]
             row = np.flatnonzero(p.ok & (wanted[p.anchor] > 0) if len(p.ok) else p.ok)
             spot = p.anchor[row]
             new = np.flatnonzero(np.concatenate(([True], (np.diff(spot) != 0) | (np.diff(row) != 1)))) if len(row) else row
@@ -138,20 +148,20 @@ def _passages(batches):
             yield pa.RecordBatch.from_arrays(
                 [
                     pa.array(p.seed_hash[spot[new]].view(np.int64)),
-                    pa.array(wanted[spot[new]] == 2),
+                    pa.array(wanted[spot[new]]),
                     pa.array(p.seq[of]),
                     pa.array(row[new] - p.words.first[of], pa.int32()),
                     pa.ListArray.from_arrays(pa.array(np.append(new, len(row)), pa.int32()), pa.array(p.window_hash[row].view(np.int64))),
                 ],
-                names=["anchor", "hot", "seq", "start", "passages"],
+                names=["anchor", "rows", "seq", "start", "passages"],
             )
 
 
 _FACTOR = "seq long, start int, length int, source_seq long, source_start int"
 
 
-def _parse(table: pa.Table) -> pa.Table:
-    """Factors of the passages of one reference block."""
+def _occurrences(table: pa.Table) -> tuple[np.ndarray, ...]:
+    """All passages of a block's rows: row number, passage, sequence and place of each."""
     lists = flat(table.column("passages"))
     seq, start = (table.column(c).to_numpy() for c in ("seq", "start"))
     sizes = np.diff(lists.offsets.to_numpy())
@@ -162,8 +172,12 @@ def _parse(table: pa.Table) -> pa.Table:
     row = np.repeat(np.arange(len(seq)), sizes)
     offset = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
     use = ~again[row]
-    row, offset, value = row[use], offset[use], lists.flatten().to_numpy()[use]
-    who, where = seq[row], start[row] + offset
+    row, offset = row[use], offset[use]
+    return row, lists.flatten().to_numpy()[use], seq[row], start[row] + offset
+
+
+def _sources(value: np.ndarray, who: np.ndarray, where: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Whether each occurrence has another one, the place of its source, and whether it's its passage's first."""
     order = np.lexsort((where, who, value))
     v = value[order]
     new = np.concatenate(([True], np.diff(v) != 0)) if len(v) else np.zeros(0, bool)
@@ -172,9 +186,21 @@ def _parse(table: pa.Table) -> pa.Table:
     group = np.cumsum(new) - 1
     first = head[group]
     # The source is the first occurrence, and for that one the second.
-    pick = np.where(np.arange(len(v)) == first, np.minimum(first + 1, len(v) - 1), first)
-    dup, source = np.zeros(len(v), bool), np.zeros(len(v), np.int64)
-    dup[order], source[order] = count[group] > 1, order[pick]
+    pick = np.where(new, np.minimum(first + 1, len(v) - 1), first)
+    dup, source, lead = np.zeros(len(v), bool), np.zeros(len(v), np.int64), np.zeros(len(v), bool)
+    dup[order], source[order], lead[order] = count[group] > 1, order[pick], new
+    return dup, source, lead
+
+
+def _parse(table: pa.Table) -> pa.Table:
+    """Factors of the passages of one reference block."""
+    row, value, who, where = _occurrences(table)
+    dup, source, _ = _sources(value, who, where)
+    return _factors(row, who, where, dup, source)
+
+
+def _factors(row: np.ndarray, who: np.ndarray, where: np.ndarray, dup: np.ndarray, source: np.ndarray) -> pa.Table:
+    """Runs of repeated passages whose source advances with them, as one factor each."""
     from_seq, from_start = who[source], where[source]
     keep = np.flatnonzero(dup)
     follows = np.zeros(len(keep), bool)
@@ -195,7 +221,39 @@ def _parse(table: pa.Table) -> pa.Table:
     )
 
 
-def factors(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+_CROWD = _FACTOR + ", anchor long, sub int, values array<long>, seqs array<long>, starts array<int>, sure array<boolean>"
+
+
+def _crowd_parse(table: pa.Table) -> pa.Table:
+    """A first block of a crowded anchor: its factors, and one occurrence of each passage, dealt by passage."""
+    row, value, who, where = _occurrences(table)
+    dup, source, lead = _sources(value, who, where)
+    made = _factors(row, who, where, dup, source)
+    subs = int(table.column("subs")[0].as_py())
+    sub = (value[lead].view(np.uint64) % np.uint64(subs)).astype(np.int64)
+    order = np.argsort(sub, kind="stable")
+    names, first = np.unique(sub[order], return_index=True)
+    ends = pa.array(np.append(first, len(order)), pa.int32())
+    columns = {"values": value[lead][order], "seqs": who[lead][order], "starts": where[lead][order].astype(np.int32), "sure": dup[lead][order]}
+    n, k = made.num_rows, len(names)
+    out = {c: pa.concat_arrays([flat(made.column(c)), pa.nulls(k, made.schema.field(c).type)]) for c in made.column_names}
+    out["anchor"] = pa.array([None] * n + [table.column("anchor")[0].as_py()] * k, pa.int64())
+    out["sub"] = pa.array([None] * n + names.tolist(), pa.int32())
+    for name, x in columns.items():
+        lists = pa.ListArray.from_arrays(ends, pa.array(x))
+        out[name] = pa.concat_arrays([pa.nulls(n, lists.type), lists])
+    return pa.table(out)
+
+
+def _meet(table: pa.Table) -> pa.Table:
+    """Passages that repeat only across first blocks."""
+    value, who, where, sure = (flat(table.column(c)).flatten().to_numpy(zero_copy_only=False) for c in ("values", "seqs", "starts", "sure"))
+    dup, source, _ = _sources(value, who, where)
+    open_ = dup & ~sure.astype(bool)
+    return _factors(np.arange(len(value)), who, where, open_, source)
+
+
+def factors(docs: DataFrame, hot_rows: int = HOT_ROWS) -> tuple[DataFrame, DataFrame]:
     """The parse of ``docs(doc_id, text)``.
 
     Returns ``(rows, found)``: ``rows(doc_id, n, seq, copies)`` has one row for each distinct (doc_id, word
@@ -213,35 +271,31 @@ def factors(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         .select("seq", F.col("doc_id").alias("_rep"), F.explode(F.arrays_zip("at", "anchor")).alias("x"))
         .select("seq", "_rep", "x.at", "x.anchor")
     )
-    known = spots.groupBy("anchor").agg(F.count("*").alias("rows")).where("rows > 1")
-    shared = spots.join(known, "anchor").groupBy("seq", "_rep").agg(
-        F.collect_set(F.struct("at", (F.col("rows") > HOT_ROWS).alias("hot"))).alias("spots")
-    )
+    known = spots.groupBy("anchor").agg(F.sum(F.size("at")).alias("rows")).where("rows > 1")
+    shared = spots.join(known, "anchor").groupBy("seq", "_rep").agg(F.collect_list(F.struct("at", "rows")).alias("spots"))
     passages = written(
         base.join(shared, F.col("doc_id").eqNullSafe(F.col("_rep")))
         .select("seq", F.coalesce("text", F.lit("")).alias("text"), "spots")
-        .mapInArrow(_passages, "anchor long, hot boolean, seq long, start int, passages array<long>")
+        .mapInArrow(_passages, "anchor long, rows long, seq long, start int, passages array<long>")
     )
     total = passages.agg(F.sum(F.size("passages"))).first()[0] or 0
     blocks = max(int(base.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // BLOCK_POSITIONS))
     parsed = (
-        passages.where("not hot")
+        passages.where(F.col("rows") <= hot_rows)
         .groupBy(F.pmod(F.xxhash64("anchor"), F.lit(blocks)).alias("block"))
         .applyInArrow(_parse, _FACTOR)
     )
     crowd = (
-        passages.where("hot").dropDuplicates(["seq", "start"])
-        .select("seq", "start", F.posexplode("passages").alias("off", "passage"))
-        .select("passage", "seq", (F.col("start") + F.col("off")).alias("start"))
-    )
-    place = F.struct("seq", "start")
-    twice = crowd.groupBy("passage").agg(F.count("*").alias("rows"), F.min(place).alias("lo"), F.max(place).alias("hi")).where("rows > 1")
-    source = F.when(F.col("lo") == place, F.col("hi")).otherwise(F.col("lo"))
-    hot = crowd.join(twice, "passage").select(
-        "seq", "start", F.lit(WINDOW).alias("length"), source["seq"].alias("source_seq"), source["start"].alias("source_start")
+        passages.where(F.col("rows") > hot_rows)
+        .withColumn("subs", F.ceil(F.col("rows") / hot_rows))
+        .withColumn("salt", F.pmod(F.xxhash64("seq"), F.col("subs")))
     )
+    first = written(crowd.groupBy("anchor", "salt").applyInArrow(_crowd_parse, _CROWD))
+    names = [c.split(" ")[0] for c in _FACTOR.split(", ")]
+    across = first.where("sub is not null").groupBy("anchor", "sub").applyInArrow(_meet, _FACTOR)
+    found = parsed.unionByName(first.where("sub is null").select(*names)).unionByName(across)
     rows = profile.select("doc_id", "n", "seq").distinct().join(classes.select("seq", "copies"), "seq")
-    return rows, parsed.unionByName(hot)
+    return rows, found
 
 
 @F.arrow_udf(T.StructType().add("same", "boolean").add("n_words", "long").add("n_removed", "long").add("kept", "string"))
@@ -276,7 +330,7 @@ def _cut_out(text: pa.Array, seq: pa.Array, whole: pa.Array, spans: pa.Array) ->
     )
 
 
-def without_repeats(docs: DataFrame) -> DataFrame:
+def without_repeats(docs: DataFrame, hot_rows: int = HOT_ROWS) -> DataFrame:
     """``docs`` with ``__n_words``, ``__n_removed`` and ``__kept`` (the words left, joined by one blank).
 
     A word goes if some ``WINDOW``-word passage over it also starts at another place of any document, the
@@ -284,7 +338,7 @@ def without_repeats(docs: DataFrame) -> DataFrame:
     ``text``; texts of fewer than ``WINDOW`` words lose nothing; repeated rows repeat each other, so long
     ones lose every word.  An empty table gives no rows.
     """
-    rows, found = factors(docs)
+    rows, found = factors(docs, hot_rows)
     spans = found.groupBy("seq").agg(F.collect_list(F.struct("start", "length")).alias("spans"))
     none = F.array().cast("array<struct<start:int,length:int>>")
     per = rows.join(spans, "seq", "left").select(
@@ -299,9 +353,9 @@ def without_repeats(docs: DataFrame) -> DataFrame:
     )
 
 
-def digest(docs: DataFrame) -> DataFrame:
+def digest(docs: DataFrame, hot_rows: int = HOT_ROWS) -> DataFrame:
     """``doc_id, n_words, n_removed, kept_sha256`` of :func:`without_repeats`; other columns are ignored."""
-    return without_repeats(docs.select("doc_id", "text")).select(
+    return without_repeats(docs.select("doc_id", "text"), hot_rows).select(
         "doc_id", F.col("__n_words").alias("n_words"), F.col("__n_removed").alias("n_removed"), F.sha2("__kept", 256).alias("kept_sha256")
     )
 
