@@ -19,7 +19,6 @@ KINDS = ("H", "X", "Y", "Z", "S", "SDG", "T", "TDG", "RX", "RY", "RZ", "CNOT")
 ALIASES = {"CNOT": "X", "CX": "X", "CCX": "X", "CZ": "Z", "CY": "Y", "CH": "H", "CRZ": "RZ", "CRX": "RX", "CRY": "RY"}
 TOLERANCE = 1e-12
 
-_ENTRIES = ("u00r", "u00i", "u01r", "u01i", "u10r", "u10i", "u11r", "u11i")
 _R = 1 / math.sqrt(2)
 #: Matrices of the kinds without angle, row by row, real and imaginary parts in turn.
 _FIXED = {
@@ -68,38 +67,39 @@ def _snapped(value: Column) -> Column:
     return F.when(F.abs(value) < TOLERANCE, F.lit(0.0)).otherwise(value)
 
 
-def matrix_columns(kind: Column, theta: Column) -> dict[str, Column]:
-    """The eight matrix entries of each row's gate."""
-    base = kind
-    for name, of in ALIASES.items():
-        base = F.when(kind == name, F.lit(of)).otherwise(base)
+def _plain_kinds() -> dict[str, str]:
+    """Kinds without angle, composed names included, with their base."""
+    return {k: base_kind(k) for k in [*_FIXED, *ALIASES] if base_kind(k) in _FIXED}
+
+
+def _turns(kind: Column, name: str) -> Column:
+    return kind.isin([k for k in [name, *ALIASES] if base_kind(k) == name])
+
+
+def matrix_array(kind: Column, theta: Column) -> Column:
+    """The eight matrix entries of each row's gate, row by row, real and imaginary parts in turn."""
+    fixed = F.create_map(*[x for k, of in _plain_kinds().items() for x in (F.lit(k), F.array(*[F.lit(float(v)) for v in _FIXED[of]]))])
     half = theta / F.lit(2.0)
-    c, s = _snapped(F.cos(half)), _snapped(F.sin(half))
-    zero = F.lit(0.0)
-    turned = {"RX": (c, zero, zero, -s, zero, -s, c, zero), "RY": (c, zero, -s, zero, s, zero, c, zero), "RZ": (c, -s, zero, zero, zero, zero, c, s)}
-    out = {}
-    for i, entry in enumerate(_ENTRIES):
-        column = F.lit(None).cast("double")
-        for name, values in _FIXED.items():
-            column = F.when(base == name, F.lit(float(values[i]))).otherwise(column)
-        for name, values in turned.items():
-            column = F.when(base == name, values[i]).otherwise(column)
-        out[entry] = column
-    return out
+    c, s, zero = _snapped(F.cos(half)), _snapped(F.sin(half)), F.lit(0.0)
+    return (
+        F.when(_turns(kind, "RX"), F.array(c, zero, zero, -s, zero, -s, c, zero))
+        .when(_turns(kind, "RY"), F.array(c, zero, -s, zero, s, zero, c, zero))
+        .when(_turns(kind, "RZ"), F.array(c, -s, zero, zero, zero, zero, c, s))
+        .otherwise(F.element_at(fixed, kind))
+    )
 
 
 def shape_column(kind: Column, theta: Column) -> Column:
-    """:func:`shape` of each row's gate."""
-    u = matrix_columns(kind, theta)
-    near = lambda name, r: (F.abs(u[f"{name}r"] - r) < TOLERANCE) & (F.abs(u[f"{name}i"]) < TOLERANCE)
-    diagonal = near("u01", 0.0) & near("u10", 0.0)
+    """:func:`shape` of each row's gate: of plain kinds by their matrices, of rotations by their angle."""
+    of = {k: shape(base) for k, base in _plain_kinds().items()} | {"SWAP": "exchange"}
+    plain = F.create_map(*[F.lit(x) for kv in of.items() for x in kv])
+    c, s = F.cos(theta / F.lit(2.0)), F.sin(theta / F.lit(2.0))
+    whole = F.when(c > 0, "id").otherwise("full")
+    straight = F.abs(s) < TOLERANCE
     return (
-        F.when(kind == "SWAP", "exchange")
-        .when(diagonal & near("u00", 1.0) & near("u11", 1.0), "id")
-        .when(diagonal & near("u00", 1.0), "one")
-        .when(diagonal, "full")
-        .when(near("u00", 0.0) & near("u11", 0.0), "swap")
-        .otherwise("mix")
+        F.when(_turns(kind, "RZ"), F.when(straight, whole).otherwise("full"))
+        .when(_turns(kind, "RX") | _turns(kind, "RY"), F.when(straight, whole).when(F.abs(c) < TOLERANCE, "swap").otherwise("mix"))
+        .otherwise(F.element_at(plain, kind))
     )
 
 

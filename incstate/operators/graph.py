@@ -112,7 +112,7 @@ def waves_kernel(rows: list[dict]) -> dict[tuple[int, int], int]:
     return wave
 
 
-_NODE = T.ArrayType(T.StructType().add("slot_no", "int").add("part_no", "int").add("wave", "int"))
+_NODE = T.ArrayType(T.StructType().add("slot_no", "integer").add("part_no", "integer").add("wave", "integer"))
 
 
 @F.arrow_udf(_NODE)

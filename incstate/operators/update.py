@@ -36,7 +36,7 @@ def _nodes(parts: DataFrame) -> DataFrame:
     return parts.select(NODE).unionByName(sync)
 
 
-_PAIR = T.ArrayType(T.StructType().add("slot_no", "int").add("part_no", "int"))
+_PAIR = T.ArrayType(T.StructType().add("slot_no", "integer").add("part_no", "integer"))
 
 
 @F.arrow_udf(_PAIR)

@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.functions.gates import _ENTRIES, matrix_columns
+from incstate.functions.gates import matrix_array
 
 #: Amplitudes that a kernel call holds.
 KERNEL_AMPLITUDES = 1 << 20
@@ -31,13 +31,12 @@ def pack_gates(gates: DataFrame, order: list[str] | None = None) -> DataFrame:
     key = F.struct(*[F.col(c) for c in order or ["gate_no"]])
     controls = F.coalesce("controls", F.array().cast("array<int>"))
     swap = F.col("kind") == "SWAP"
-    u = matrix_columns(F.col("kind"), F.col("theta"))
     op = F.struct(
         key.alias("key"),
         F.col("target").cast("int").alias("t"),
         F.when(swap, F.element_at(controls, 1)).otherwise(F.lit(-1)).cast("int").alias("other"),
         _mask(F.when(swap, F.slice(controls, 2, 62)).otherwise(controls)).alias("held"),
-        F.array(*[F.coalesce(u[e], F.lit(0.0)) for e in _ENTRIES]).alias("u"),
+        F.coalesce(matrix_array(F.col("kind"), F.col("theta")), F.array_repeat(F.lit(0.0), 8)).alias("u"),
     )
     drop = lambda x: F.struct(x["t"].alias("t"), x["other"].alias("other"), x["held"].alias("held"), x["u"].alias("u"))
     return gates.groupBy("circuit_id").agg(F.transform(F.array_sort(F.collect_list(op)), drop).alias("ops"))
