@@ -9,6 +9,7 @@ token ids are written once, and moved once to meet their places.
 
 from __future__ import annotations
 
+import os
 import zlib
 
 import numpy as np
@@ -18,7 +19,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.llm.common import bound_batches, cut, flat, slices, written
+from incstate.llm.common import Ragged, bound_batches, cut, flat, slices, written
 
 VOCABULARY = "word_bpe_49k.json"
 SEQUENCE = 4096
@@ -27,7 +28,7 @@ AXES = 4
 AXIS_BITS = 10
 HASHED_TERMS = 4096
 #: Words whose ids a worker remembers before it starts anew.
-REMEMBERED = 300_000
+REMEMBERED = 2_000_000
 
 
 def hilbert_key(cells: np.ndarray, bits: int = AXIS_BITS) -> np.ndarray:
@@ -64,45 +65,74 @@ class WordIds:
     """The library's ids for texts, put together from those of blank-separated words.
 
     The vocabulary drops white space and never joins across it, so a text's ids are its words' ids in
-    turn; each distinct word goes to the library once.
+    turn.  Words are known by a 64-bit hash; new ones go to the library in long runs, with a mark of one
+    known id between them.
     """
 
+    MARK = "|"
+    RUN = 2000
+
     def __init__(self, path: str):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.place: dict[str, int] = {}
-        self.pool = np.zeros(1 << 20, np.uint32)
-        self.starts: list[int] = [0]
-
-    def _learn(self, words: list[str]) -> None:
-        for at in range(0, len(words), 20_000):
-            part = words[at : at + 20_000]
-            for word, code in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                end = self.starts[-1] + len(code.ids)
-                if end > len(self.pool):
-                    self.pool = np.concatenate((self.pool, np.zeros(max(len(self.pool), len(code.ids)), np.uint32)))
-                self.pool[self.starts[-1] : end] = code.ids
-                self.place[word] = len(self.starts) - 1
-                self.starts.append(end)
+        mark = self._encode([self.MARK])[0]
+        self.mark = int(mark[0]) if len(mark) == 1 else None
+        self._forget()
+
+    def _forget(self) -> None:
+        self.keys = np.zeros(0, np.uint64)
+        self.start, self.size = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.pool = np.zeros(0, np.uint32)
+
+    def _encode(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn(self, words: list[str], keys: np.ndarray) -> None:
+        plain = np.array([self.mark is not None and self.MARK not in w for w in words], bool)
+        order = np.concatenate((np.flatnonzero(plain), np.flatnonzero(~plain)))
+        simple = [words[i] for i in np.flatnonzero(plain)]
+        runs = [simple[at : at + self.RUN] for at in range(0, len(simple), self.RUN)]
+        ids, sizes = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)]
+        for run, code in zip(runs, self._encode([f" {self.MARK} ".join(r) for r in runs])):
+            edge = np.flatnonzero(code == self.mark)
+            if len(edge) != len(run) - 1:
+                raise AssertionError("a word gave the id of the mark")
+            sizes.append(np.diff(np.concatenate(([-1], edge, [len(code)]))) - 1)
+            ids.append(code[code != self.mark])
+        for code in self._encode([words[i] for i in np.flatnonzero(~plain)]):
+            ids.append(code)
+            sizes.append(np.array([len(code)]))
+        size = np.concatenate(sizes)
+        start = len(self.pool) + np.cumsum(size) - size
+        self.pool = np.concatenate((self.pool, *ids))
+        every = np.concatenate((self.keys, keys[order]))
+        sort = np.argsort(every)
+        self.keys = every[sort]
+        self.start, self.size = (np.concatenate(x)[sort] for x in ((self.start, start), (self.size, size)))
 
     def ids(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All texts' ids, text after text, and their numbers."""
-        words = pc.ascii_split_whitespace(texts)
-        bounds = words.offsets.to_numpy()
-        coded = words.flatten().dictionary_encode()
-        names = coded.dictionary.to_pylist()
-        new = [w for w in names if w not in self.place]
-        if len(self.place) + len(new) > REMEMBERED:
-            self.place, self.starts = {}, [0]
-            new = names
-        self._learn(new)
-        starts = np.array(self.starts)
-        code = np.array([self.place[w] for w in names], np.int64)[coded.indices.to_numpy()] if names else np.zeros(0, np.int64)
-        size = starts[code + 1] - starts[code] if len(code) else code
+        r = Ragged(texts)
+        key, first, code = np.unique(r.hashes(), return_index=True, return_inverse=True)
+        spot = np.searchsorted(self.keys, key)
+        new = np.ones(len(key), bool)
+        inside = spot < len(self.keys)
+        new[inside] = self.keys[spot[inside]] != key[inside]
+        if new.any():
+            if len(self.keys) + new.sum() > REMEMBERED:
+                self._forget()
+                new[:] = True
+            raw = r.bytes.tobytes()
+            words = [raw[x:y].decode() for x, y in zip(r.starts[first[new]].tolist(), r.ends[first[new]].tolist())]
+            self._learn(words, key[new])
+            spot = np.searchsorted(self.keys, key)
+        at = spot[code]
+        size = self.size[at]
         total = np.concatenate(([0], np.cumsum(size)))
-        out = self.pool[np.repeat(starts[code] - total[:-1], size) + np.arange(total[-1])] if len(code) else np.zeros(0, np.uint32)
-        return out, total[bounds[1:] - bounds[0]] - total[bounds[:-1] - bounds[0]]
+        out = self.pool[np.repeat(self.start[at] - total[:-1], size) + np.arange(total[-1])]
+        return out, total[r.first[1:]] - total[r.first[:-1]]
 
 
 _readers: dict[str, WordIds] = {}
@@ -124,12 +154,13 @@ def place_keys(ids: np.ndarray, counts: np.ndarray, seed: int = 11) -> np.ndarra
     return hilbert_key(np.clip(cell, 0, (1 << AXIS_BITS) - 1))
 
 
-def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, end_id: int = END_ID) -> DataFrame:
+def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, end_id: int = END_ID, with_ids: bool = True) -> DataFrame:
     """``docs(doc_id, text)`` to one row per piece with its token ids (uint32, little-endian) as ``ids``.
 
     Columns: ``doc_id, start, length, ids, ids_crc32, doc_tokens, sequence_id, offset``.  A null or empty
     text is the end id alone, so every row has a piece; repeated rows and null ids are separate documents;
     equal keys are ordered by a hash of the id.  An empty table gives no pieces; other columns are ignored.
+    Without ``with_ids`` the column ``ids`` is null.
     """
 
     @F.arrow_udf(T.StructType().add("ids", "binary").add("n", "long").add("key", "long"))
@@ -158,7 +189,7 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
             first = sequence - at % sequence
             marks = [0, *range(first, len(held), sequence), len(held)]
             raw = [held[x:y].tobytes() for x, y in zip(marks, marks[1:])]
-            out.append([{"start": x, "length": len(r) // 4, "ids": r, "crc": zlib.crc32(r)} for x, r in zip(marks, raw)])
+            out.append([{"start": x, "length": len(r) // 4, "ids": r if with_ids else None, "crc": zlib.crc32(r)} for x, r in zip(marks, raw)])
         kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64()), ("ids", pa.binary()), ("crc", pa.int64())]))
         return pa.array(out, kind)
 
@@ -194,6 +225,6 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
 
 def packing(docs: DataFrame, vocabulary: str, **kwargs) -> DataFrame:
     """:func:`packed_pieces` without the ids."""
-    return packed_pieces(docs, vocabulary, **kwargs).select(
+    return packed_pieces(docs, vocabulary, with_ids=False, **kwargs).select(
         "doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"
     )
