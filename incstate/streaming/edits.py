@@ -18,12 +18,13 @@ from incstate.plans.wide import Gate
 
 
 def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int | None = None) -> DataFrame:
-    """The ``events`` table as a stream."""
+    """The ``events`` table as a stream; its local times are taken as UTC whatever the session's zone."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
     reader = spark.readStream.schema(schema)
     if per_trigger:
         reader = reader.option("maxFilesPerTrigger", per_trigger)
-    return reader.parquet(f"{sf_dir}/events.parquet*")
+    utc = F.expr("timestamp_micros(timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01', ts))")
+    return reader.parquet(f"{sf_dir}/events.parquet*").withColumn("ts", utc)
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
