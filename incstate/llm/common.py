@@ -6,8 +6,10 @@ multi-byte character, so cutting bytes equals cutting characters.
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
+import time
 import uuid
 from collections.abc import Iterator
 
@@ -30,6 +32,12 @@ _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[ord("A") : ord("Z") + 1] += 32
 
+try:
+    _TRIM = ctypes.CDLL("libc.so.6").malloc_trim
+except (OSError, AttributeError):
+    _TRIM = None
+
+_gave = 0.0
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BASE_INVERSE = pow(_BASE, -1, 1 << 64)
 
@@ -45,11 +53,9 @@ def shared_dir(spark: SparkSession) -> str:
     return context._jsc.sc().getCheckpointDir().get()
 
 
-def bound_batches(df: DataFrame) -> None:
-    """Keep the session's Arrow batches small enough for rows with whole texts."""
-    conf = df.sparkSession.conf
-    if int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > ARROW_ROWS:
-        conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
+def bound_batches(df: DataFrame, rows: int = ARROW_ROWS) -> None:
+    """Set the session's Arrow batches to ``rows``, few enough for rows with whole texts."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -138,6 +144,18 @@ def slices(texts: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int]
         stop = max(at + 1, int(np.searchsorted(size, done + most, "right")))
         yield at, stop
         at = stop
+    give_back()
+
+
+def give_back() -> None:
+    """Return freed memory to the system, for the other workers of this machine; once a second is enough."""
+    global _gave
+    if time.monotonic() - _gave < 1:
+        return
+    _gave = time.monotonic()
+    pa.default_memory_pool().release_unused()
+    if _TRIM is not None:
+        _TRIM(0)
 
 
 def flat(array: pa.Array | pa.ChunkedArray) -> pa.Array:

@@ -13,6 +13,7 @@ import os
 import zlib
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
@@ -27,6 +28,8 @@ END_ID = 2
 AXES = 4
 AXIS_BITS = 10
 HASHED_TERMS = 4096
+#: Rows of an Arrow batch: the more, the fewer times a word is looked up.
+BATCH_ROWS = 2048
 #: Words whose ids a worker remembers before it starts anew.
 REMEMBERED = 2_000_000
 
@@ -61,12 +64,37 @@ def hilbert_key(cells: np.ndarray, bits: int = AXIS_BITS) -> np.ndarray:
     return key
 
 
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[ord("A") : ord("Z") + 1] += 32
+#: Signs that may close a word, without those of contractions and special tokens.
+_CLOSING = np.zeros(256, bool)
+_CLOSING[list(b"!#$%&*+,-./:;=?@^_~")] = True
+
+
+class _Growing:
+    """An array that grows at its end."""
+
+    def __init__(self, kind):
+        self.held, self.n = np.zeros(1024, kind), 0
+
+    def __len__(self) -> int:
+        return self.n
+
+    def add(self, more: np.ndarray) -> None:
+        if self.n + len(more) > len(self.held):
+            self.held = np.concatenate((self.held, np.zeros(max(len(self.held), len(more)), self.held.dtype)))
+        self.held[self.n : self.n + len(more)] = more
+        self.n += len(more)
+
+
 class WordIds:
     """The library's ids for texts, put together from those of blank-separated words.
 
     The vocabulary drops white space and never joins across it, so a text's ids are its words' ids in
-    turn.  Words are known by a 64-bit hash; new ones go to the library in long runs, with a mark of one
-    known id between them.
+    turn.  It lowers case and never joins a letter with a sign either, so words are taken in small ASCII
+    letters and a word's closing signs apart from its stem; words with the bar of special tokens are left
+    as they are.  Units are known by a 64-bit hash; new ones go to the library in long runs, with a mark of
+    one known id between them.
     """
 
     MARK = "|"
@@ -82,9 +110,20 @@ class WordIds:
         self._forget()
 
     def _forget(self) -> None:
-        self.keys = np.zeros(0, np.uint64)
-        self.start, self.size = np.zeros(0, np.int64), np.zeros(0, np.int64)
-        self.pool = np.zeros(0, np.uint32)
+        #: Sorted hashes with the units' numbers, in runs of falling length that are merged as they fill.
+        self.known: list[tuple[np.ndarray, np.ndarray]] = []
+        self.start, self.size, self.pool = _Growing(np.int64), _Growing(np.int64), _Growing(np.uint32)
+
+    def _find(self, key: np.ndarray) -> np.ndarray:
+        """The number of each unit, -1 if it's new."""
+        out = np.full(len(key), -1, np.int64)
+        left = np.arange(len(key))
+        for keys, numbers in self.known:
+            spot = np.minimum(np.searchsorted(keys, key[left]), len(keys) - 1)
+            hit = keys[spot] == key[left]
+            out[left[hit]] = numbers[spot[hit]]
+            left = left[~hit]
+        return out
 
     def _encode(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -105,34 +144,64 @@ class WordIds:
             ids.append(code)
             sizes.append(np.array([len(code)]))
         size = np.concatenate(sizes)
-        start = len(self.pool) + np.cumsum(size) - size
-        self.pool = np.concatenate((self.pool, *ids))
-        every = np.concatenate((self.keys, keys[order]))
-        sort = np.argsort(every)
-        self.keys = every[sort]
-        self.start, self.size = (np.concatenate(x)[sort] for x in ((self.start, start), (self.size, size)))
+        numbers = len(self.start) + np.arange(len(size))
+        self.start.add(len(self.pool) + np.cumsum(size) - size)
+        self.size.add(size)
+        self.pool.add(np.concatenate(ids))
+        self.known.append((keys[order], numbers))
+        while True:
+            keys, numbers = self.known.pop()
+            sort = np.argsort(keys)
+            self.known.append((keys[sort], numbers[sort]))
+            if len(self.known) < 2 or len(self.known[-2][0]) > 2 * len(keys):
+                break
+            self.known[-2:] = [tuple(np.concatenate(x) for x in zip(*self.known[-2:]))]
 
     def ids(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All texts' ids, text after text, and their numbers."""
         r = Ragged(texts)
-        key, first, code = np.unique(r.hashes(), return_index=True, return_inverse=True)
-        spot = np.searchsorted(self.keys, key)
-        new = np.ones(len(key), bool)
-        inside = spot < len(self.keys)
-        new[inside] = self.keys[spot[inside]] != key[inside]
-        if new.any():
-            if len(self.keys) + new.sum() > REMEMBERED:
+        starts, ends, counts = self._units(r)
+        code, key = pd.factorize(r.hash_of(starts, ends))
+        number = self._find(key)
+        if (number < 0).any():
+            if len(self.start) + int((number < 0).sum()) > REMEMBERED:
                 self._forget()
-                new[:] = True
+                number[:] = -1
+            new = number < 0
+            first = np.empty(len(key), np.int64)
+            first[code[::-1]] = np.arange(len(code))[::-1]
             raw = r.bytes.tobytes()
-            words = [raw[x:y].decode() for x, y in zip(r.starts[first[new]].tolist(), r.ends[first[new]].tolist())]
+            words = [raw[x:y].decode() for x, y in zip(starts[first[new]].tolist(), ends[first[new]].tolist())]
             self._learn(words, key[new])
-            spot = np.searchsorted(self.keys, key)
-        at = spot[code]
-        size = self.size[at]
+            number = self._find(key)
+        at = number[code]
+        size = self.size.held[at]
         total = np.concatenate(([0], np.cumsum(size)))
-        out = self.pool[np.repeat(self.start[at] - total[:-1], size) + np.arange(total[-1])]
-        return out, total[r.first[1:]] - total[r.first[:-1]]
+        out = self.pool.held[np.repeat(self.start.held[at] - total[:-1], size) + np.arange(total[-1])]
+        bounds = np.concatenate(([0], np.cumsum(counts)))
+        return out, total[bounds[1:]] - total[bounds[:-1]]
+
+    @staticmethod
+    def _units(r: Ragged) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Byte bounds of stems and closing signs, and their number in each text; lowers ``r.bytes``."""
+        raw = r.bytes
+        bars = np.concatenate(([0], np.cumsum(raw == ord("|"))))
+        barred = bars[r.ends] > bars[r.starts]
+        low = _LOWER[raw]
+        for x, y in zip(r.starts[barred].tolist(), r.ends[barred].tolist()):
+            low[x:y] = raw[x:y]
+        r.bytes = low
+        place = np.where(_CLOSING[raw], 0, np.arange(1, len(raw) + 1))
+        stem = np.maximum.accumulate(place)[r.ends - 1] if len(r.ends) else r.ends
+        last, before = (raw[np.maximum(stem - k, 0)] if len(stem) else raw[:0] for k in (1, 2))
+        letter = ((last | 32) >= ord("a")) & ((last | 32) <= ord("z"))
+        letter |= (before == 0xC3) & (last >= 0x80) & (last <= 0xBF) & (last != 0x97) & (last != 0xB7) & (stem - 2 >= r.starts)
+        two = (stem > r.starts) & (stem < r.ends) & letter & ~barred
+        at = np.arange(len(two)) + np.cumsum(two) - two
+        starts, ends = np.empty(len(two) + int(two.sum()), np.int64), np.empty(len(two) + int(two.sum()), np.int64)
+        starts[at], ends[at] = r.starts, np.where(two, stem, r.ends)
+        starts[at[two] + 1], ends[at[two] + 1] = stem[two], r.ends[two]
+        return starts, ends, r.counts + np.bincount(r.doc[two], minlength=r.n)
 
 
 _readers: dict[str, WordIds] = {}
@@ -169,7 +238,7 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
             _readers[vocabulary] = WordIds(vocabulary)
         text = pc.fill_null(flat(text), "")
         ids, n, key = [], [], []
-        for a, b in slices(text):
+        for a, b in slices(text, 4 << 20):
             all_ids, counts = _readers[vocabulary].ids(text[a:b])
             key.append(place_keys(all_ids, counts))
             ends = np.cumsum(counts)
@@ -193,7 +262,7 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
         kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64()), ("ids", pa.binary()), ("crc", pa.int64())]))
         return pa.array(out, kind)
 
-    bound_batches(docs)
+    bound_batches(docs, BATCH_ROWS)
     held = written(
         docs.select("doc_id", read(F.coalesce("text", F.lit(""))).alias("r"))
         .select("doc_id", "r.*")
