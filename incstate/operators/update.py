@@ -66,6 +66,7 @@ def affected(edges: DataFrame, start: DataFrame) -> DataFrame:
 def affected_by_hops(edges: DataFrame, start: DataFrame, cut_every: int = 4) -> DataFrame:
     """As :func:`affected` with ``hops``, for one large graph: each round joins only what the last one added."""
     shared_folder(edges.sparkSession)
+    edges = edges.checkpoint(eager=True)
     seen = start.select(*NODE, F.lit(0).alias("hops")).distinct().checkpoint(eager=True)
     delta, hop = seen, 0
     while not delta.isEmpty():
