@@ -212,15 +212,9 @@ def decisions(docs: DataFrame, **kwargs) -> DataFrame:
 
 def apply_mix(docs: DataFrame, **kwargs) -> DataFrame:
     """The mixed corpus: every row of ``docs`` as often as the mix takes it, with its columns unchanged."""
-    chosen = mix(docs, **kwargs).where("copies > 0").select(
-        F.col("doc_id").alias("__mix_id"), F.col("source").alias("__mix_source"), F.col("size").alias("__mix_length"), F.col("copies").alias("__mix_copies")
-    )
+    chosen = mix(docs, **kwargs).where("copies > 0").select("doc_id", "source", F.col("size").alias("length"), "copies")
     named = kwargs.get("size")
-    length = F.coalesce(F.col(named).cast("long"), F.lit(0)) if named else word_count(F.col("text"))
-    sized = docs.withColumn("__mix_size", length)
-    on = sized["doc_id"].eqNullSafe(chosen["__mix_id"]) & sized["source"].eqNullSafe(chosen["__mix_source"]) & (sized["__mix_size"] == chosen["__mix_length"])
-    return (
-        sized.join(chosen, on)
-        .withColumn("__mix_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__mix_copies"))))
-        .select(*[F.col(f"`{c}`") for c in docs.columns])
-    )
+    length = F.coalesce(F.col(f"row.{named}").cast("long"), F.lit(0)) if named else word_count(F.col("row.text"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")).withColumn("words", length)
+    on = F.col("row.doc_id").eqNullSafe(F.col("doc_id")) & F.col("row.source").eqNullSafe(F.col("source")) & (F.col("words") == F.col("length"))
+    return rows.join(chosen, on).withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select("row.*")

@@ -146,15 +146,15 @@ def learn(docs: DataFrame, labels: DataFrame, per_label: int = ROWS_PER_LABEL) -
     return fit_space(x, rows["y"].to_numpy(float), 0.5 if prior is None else float(prior))
 
 
-def scored(docs: DataFrame, space: Space, name: str = "score") -> DataFrame:
+def scored(docs: DataFrame, space: Space, name: str = "score", text: str = "text") -> DataFrame:
     """``docs`` with the score of each text; a null text counts as empty."""
 
     @F.arrow_udf(T.DoubleType())
-    def vote(text: pa.Array) -> pa.Array:
-        text = flat(text)
-        return pa.array(np.concatenate([np.zeros(0), *(space.score(term_counts(text[a:b])) for a, b in slices(text, SLICE))]))
+    def vote(texts: pa.Array) -> pa.Array:
+        texts = flat(texts)
+        return pa.array(np.concatenate([np.zeros(0), *(space.score(term_counts(texts[a:b])) for a, b in slices(texts, SLICE))]))
 
-    return docs.withColumn(name, vote(F.coalesce("text", F.lit(""))))
+    return docs.withColumn(name, vote(F.coalesce(F.col(text), F.lit(""))))
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame, per_label: int = ROWS_PER_LABEL) -> DataFrame:
@@ -173,4 +173,5 @@ def quality_scores(docs: DataFrame, labels: DataFrame, per_label: int = ROWS_PER
 
 def keep_good(docs: DataFrame, labels: DataFrame, per_label: int = ROWS_PER_LABEL) -> DataFrame:
     """The rows of ``docs`` that score ``THRESHOLD`` or more, with their columns unchanged."""
-    return scored(docs, learn(docs, labels, per_label), "__score").where(F.col("__score") >= THRESHOLD).drop("__score")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    return scored(rows, learn(docs, labels, per_label), "score", "row.text").where(F.col("score") >= THRESHOLD).select("row.*")

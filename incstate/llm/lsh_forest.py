@@ -304,5 +304,6 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
 
 def keep_one(docs: DataFrame, percent: int = 80) -> DataFrame:
     """The rows of ``docs`` whose id is the smallest of their component, with their columns unchanged."""
-    kept = near_duplicates(docs, percent).where("kept").select(F.col("doc_id").alias("__kept_id")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["__kept_id"])).drop("__kept_id")
+    kept = near_duplicates(docs, percent).where("kept").select(F.col("doc_id").alias("id")).distinct()
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    return rows.join(kept, F.col("row.doc_id").eqNullSafe(F.col("id"))).select("row.*")

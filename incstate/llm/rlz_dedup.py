@@ -7,7 +7,8 @@ least one, and the same one wherever the passage occurs.  An anchor that occurs
 the others deal the passages around them to reference blocks.  In its block every position of a document
 is looked up; the parse takes the first other occurrence as source and extends the factor while the
 source advances word by word.  Factors end at block and source borders, and the positions that straddle a
-border have anchors of their own, so the spans are exactly the words of passages that start twice.
+border have anchors of their own, so the spans are exactly the words of passages that start twice.  What
+a document copies from itself it settles alone, and the blocks get each passage of a document once.
 
 Documents of equal words are parsed once; such a class repeats itself and is one factor.  An anchor with
 more than ``HOT_ROWS`` occurrences isn't gathered in a block: they are dealt by document to blocks of
@@ -125,8 +126,40 @@ def _profile(text: pa.Array) -> pa.Array:
     )
 
 
+_FACTOR = "seq long, start int, length int, source_seq long, source_start int"
+_PASSAGE = "anchor long, rows long, seq long, start int, passages array<long>, length int, source_start int"
+
+
+def _own_repeats(doc: np.ndarray, value: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For passages in order of place: whether their document repeats them, the place (as an index) that they
+    copy, which is the one before or, for the first, the next, and whether they are the first."""
+    n = len(value)
+    key = value ^ mix64(doc.astype(np.uint64) + np.uint64(1))
+    order = np.argsort(key, kind="stable")
+    same = np.concatenate((key[order[1:]] == key[order[:-1]], [False])) if n else np.zeros(0, bool)
+    first, source = np.ones(n, bool), np.full(n, -1, np.int64)
+    first[order[1:][same[:-1]]] = False
+    source[order[:-1][same[:-1]]] = order[1:][same[:-1]]
+    source[order[1:][same[:-1]]] = order[:-1][same[:-1]]
+    return source >= 0, source, first
+
+
+def _runs(*steps: np.ndarray) -> np.ndarray:
+    """Where runs begin in arrays that grow by one within a run (``steps`` beyond the first may also stay)."""
+    if not len(steps[0]):
+        return np.zeros(0, np.int64)
+    new = np.diff(steps[0]) != 1
+    for s in steps[1:]:
+        new |= np.diff(s) != 0
+    return np.flatnonzero(np.concatenate(([True], new)))
+
+
 def _passages(batches):
-    """Texts with their repeated anchors to one row for each place of one: its run of passages."""
+    """Texts with their repeated anchors to rows of two kinds.
+
+    Factors that a text copies from itself have a ``length`` and a ``source_start``; for the blocks, each
+    place of an anchor has its run of ``passages``, those that the text has had before left out.
+    """
     for batch in batches:
         text, seq = batch.column("text"), batch.column("seq").to_numpy()
         spots = batch.column("spots")
@@ -142,9 +175,21 @@ def _passages(batches):
             wanted = np.zeros(len(p.ok) + 1, np.int64)
             wanted[(lists.flatten().to_numpy() + p.words.first[doc])[good]] = many[good]
             row = np.flatnonzero(p.ok & (wanted[p.anchor] > 0) if len(p.ok) else p.ok)
+            of = p.words.doc[row]
+            twice, source, first = _own_repeats(of, p.window_hash[row])
+            own, copied = row[twice], row[source[twice]]
+            new = _runs(own, of[twice], copied - own)
+            at = p.words.first[of[twice][new]]
+            length = np.diff(np.append(new, len(own))) + WINDOW - 1
+            none = pa.nulls(len(new), pa.int64())
+            yield pa.RecordBatch.from_arrays(
+                [none, none, pa.array(p.seq[of[twice][new]]), pa.array(own[new] - at, pa.int32()), pa.nulls(len(new), pa.list_(pa.int64())), pa.array(length, pa.int32()), pa.array(copied[new] - at, pa.int32())],
+                names=["anchor", "rows", "seq", "start", "passages", "length", "source_start"],
+            )
+            row, of = row[first], of[first]
             spot = p.anchor[row]
-            new = np.flatnonzero(np.concatenate(([True], (np.diff(spot) != 0) | (np.diff(row) != 1)))) if len(row) else row
-            of = p.words.doc[row[new]]
+            new = _runs(row, spot)
+            of = of[new]
             yield pa.RecordBatch.from_arrays(
                 [
                     pa.array(p.seed_hash[spot[new]].view(np.int64)),
@@ -152,12 +197,13 @@ def _passages(batches):
                     pa.array(p.seq[of]),
                     pa.array(row[new] - p.words.first[of], pa.int32()),
                     pa.ListArray.from_arrays(pa.array(np.append(new, len(row)), pa.int32()), pa.array(p.window_hash[row].view(np.int64))),
+                    pa.nulls(len(new), pa.int32()),
+                    pa.nulls(len(new), pa.int32()),
                 ],
-                names=["anchor", "rows", "seq", "start", "passages"],
+                names=["anchor", "rows", "seq", "start", "passages", "length", "source_start"],
             )
 
 
-_FACTOR = "seq long, start int, length int, source_seq long, source_start int"
 
 
 def _occurrences(table: pa.Table) -> tuple[np.ndarray, ...]:
@@ -271,13 +317,15 @@ def factors(docs: DataFrame, hot_rows: int = HOT_ROWS) -> tuple[DataFrame, DataF
         .select("seq", F.col("doc_id").alias("_rep"), F.explode(F.arrays_zip("at", "anchor")).alias("x"))
         .select("seq", "_rep", "x.at", "x.anchor")
     )
-    known = spots.groupBy("anchor").agg(F.sum(F.size("at")).alias("rows")).where("rows > 1")
+    known = spots.groupBy("anchor").agg(F.count("*").alias("rows"), F.sum(F.size("at")).alias("places")).where("places > 1").drop("places")
     shared = spots.join(known, "anchor").groupBy("seq", "_rep").agg(F.collect_list(F.struct("at", "rows")).alias("spots"))
     passages = written(
         base.join(shared, F.col("doc_id").eqNullSafe(F.col("_rep")))
         .select("seq", F.coalesce("text", F.lit("")).alias("text"), "spots")
-        .mapInArrow(_passages, "anchor long, rows long, seq long, start int, passages array<long>")
+        .mapInArrow(_passages, _PASSAGE)
     )
+    own = passages.where("length is not null").select("seq", "start", "length", F.col("seq").alias("source_seq"), "source_start")
+    passages = passages.where("length is null").drop("length", "source_start")
     total = passages.agg(F.sum(F.size("passages"))).first()[0] or 0
     blocks = max(int(base.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // BLOCK_POSITIONS))
     parsed = (
@@ -293,7 +341,7 @@ def factors(docs: DataFrame, hot_rows: int = HOT_ROWS) -> tuple[DataFrame, DataF
     first = written(crowd.groupBy("anchor", "salt").applyInArrow(_crowd_parse, _CROWD))
     names = [c.split(" ")[0] for c in _FACTOR.split(", ")]
     across = first.where("sub is not null").groupBy("anchor", "sub").applyInArrow(_meet, _FACTOR)
-    found = parsed.unionByName(first.where("sub is null").select(*names)).unionByName(across)
+    found = own.unionByName(parsed).unionByName(first.where("sub is null").select(*names)).unionByName(across)
     rows = profile.select("doc_id", "n", "seq").distinct().join(classes.select("seq", "copies"), "seq")
     return rows, found
 
@@ -331,38 +379,38 @@ def _cut_out(text: pa.Array, seq: pa.Array, whole: pa.Array, spans: pa.Array) ->
 
 
 def without_repeats(docs: DataFrame, hot_rows: int = HOT_ROWS) -> DataFrame:
-    """``docs`` with ``__n_words``, ``__n_removed`` and ``__kept`` (the words left, joined by one blank).
+    """``row, n_words, n_removed, kept``: the input rows as structs, with the words left joined by one blank.
 
     A word goes if some ``WINDOW``-word passage over it also starts at another place of any document, the
-    same one included; passages are judged on the input.  Null texts count as empty and stay null in
-    ``text``; texts of fewer than ``WINDOW`` words lose nothing; repeated rows repeat each other, so long
-    ones lose every word.  An empty table gives no rows.
+    same one included; passages are judged on the input.  Null texts count as empty; texts of fewer than
+    ``WINDOW`` words lose nothing; repeated rows repeat each other, so long ones lose every word.  An empty
+    table gives no rows.
     """
     rows, found = factors(docs, hot_rows)
     spans = found.groupBy("seq").agg(F.collect_list(F.struct("start", "length")).alias("spans"))
     none = F.array().cast("array<struct<start:int,length:int>>")
     per = rows.join(spans, "seq", "left").select(
-        F.col("doc_id").alias("__id"), F.col("seq").alias("__seq"), (F.col("copies") > 1).alias("__whole"), F.coalesce("spans", none).alias("__spans")
+        F.col("doc_id").alias("id"), "seq", (F.col("copies") > 1).alias("whole"), F.coalesce("spans", none).alias("spans")
     )
-    out = _cut_out(F.coalesce("text", F.lit("")), "__seq", "__whole", "__spans")
+    whole_rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    out = _cut_out(F.coalesce("row.text", F.lit("")), "seq", "whole", "spans")
     return (
-        docs.join(per, F.col("doc_id").eqNullSafe(F.col("__id")))
-        .withColumn("__out", out)
-        .where("__out.same")
-        .select(*[F.col(f"`{c}`") for c in docs.columns], *[F.col(f"__out.{c}").alias(f"__{c}") for c in ("n_words", "n_removed", "kept")])
+        whole_rows.join(per, F.col("row.doc_id").eqNullSafe(F.col("id")))
+        .select("row", out.alias("out"))
+        .where("out.same")
+        .select("row", "out.n_words", "out.n_removed", "out.kept")
     )
 
 
 def digest(docs: DataFrame, hot_rows: int = HOT_ROWS) -> DataFrame:
     """``doc_id, n_words, n_removed, kept_sha256`` of :func:`without_repeats`; other columns are ignored."""
     return without_repeats(docs.select("doc_id", "text"), hot_rows).select(
-        "doc_id", F.col("__n_words").alias("n_words"), F.col("__n_removed").alias("n_removed"), F.sha2("__kept", 256).alias("kept_sha256")
+        "row.doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256")
     )
 
 
 def drop_repeats(docs: DataFrame) -> DataFrame:
     """``docs`` with repeated passages cut from ``text`` where there are any; documents left without words go."""
-    done = without_repeats(docs)
-    return done.where("__n_removed < __n_words or __n_words = 0").select(
-        *[(F.when(F.col("__n_removed") > 0, F.col("__kept")).otherwise(F.col("text")).alias("text") if c == "text" else F.col(f"`{c}`")) for c in docs.columns]
-    )
+    done = without_repeats(docs).where("n_removed < n_words or n_words = 0")
+    text = F.when(F.col("n_removed") > 0, F.col("kept")).otherwise(F.col("row.text")).alias("text")
+    return done.select(*[text if c == "text" else F.col(f"row.`{c}`") for c in docs.columns])
