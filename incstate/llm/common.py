@@ -135,8 +135,11 @@ class Ragged:
         return mix64(value * powers[starts] + (ends - starts).astype(np.uint64))
 
 
-def slices(texts: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int]]:
-    """Consecutive row ranges of at most ``most`` text bytes (at least one row each)."""
+def slices(texts: pa.Array, most: int = SLICE_BYTES, pause: float = 0.0) -> Iterator[tuple[int, int]]:
+    """Consecutive row ranges of at most ``most`` text bytes (at least one row each).
+
+    When they have been worked on, freed memory goes back to the system if that was ``pause`` seconds ago.
+    """
     size = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
     at = 0
     while at < len(size):
@@ -144,13 +147,13 @@ def slices(texts: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int]
         stop = max(at + 1, int(np.searchsorted(size, done + most, "right")))
         yield at, stop
         at = stop
-    give_back()
+    give_back(pause)
 
 
-def give_back() -> None:
-    """Return freed memory to the system, for the other workers of this machine; once a second is enough."""
+def give_back(pause: float = 0.0) -> None:
+    """Return freed memory to the system, for the other workers of this machine."""
     global _gave
-    if time.monotonic() - _gave < 1:
+    if time.monotonic() - _gave < pause:
         return
     _gave = time.monotonic()
     pa.default_memory_pool().release_unused()

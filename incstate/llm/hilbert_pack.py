@@ -238,7 +238,7 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
             _readers[vocabulary] = WordIds(vocabulary)
         text = pc.fill_null(flat(text), "")
         ids, n, key = [], [], []
-        for a, b in slices(text, 4 << 20):
+        for a, b in slices(text, 4 << 20, pause=1.0):
             all_ids, counts = _readers[vocabulary].ids(text[a:b])
             key.append(place_keys(all_ids, counts))
             ends = np.cumsum(counts)
