@@ -13,10 +13,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.functions.gates import matrix_array
+from incstate.functions.gates import KINDS, matrix, matrix_array
 
 #: Amplitudes that a kernel call holds.
 KERNEL_AMPLITUDES = 1 << 20
+#: Code points of the texts that a kernel call holds, but for the last text.
+KERNEL_SIGNS = 1 << 23
 
 VECTOR = T.StructType().add("re", T.ArrayType(T.DoubleType())).add("im", T.ArrayType(T.DoubleType()))
 
@@ -79,6 +81,41 @@ def run_circuits(ops: pa.Array, psi: np.ndarray) -> np.ndarray:
     return psi
 
 
+def word_gates(text: str, n: int) -> tuple[np.ndarray, ...]:
+    """Kind code, target, control and length of every blank-separated word's gate."""
+    signs = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+    blank = np.flatnonzero(signs == 32)
+    start = np.concatenate(([0], blank + 1))
+    length = np.append(blank, len(signs)) - start
+    first = np.where(length > 0, np.append(signs, 0)[start], 0).astype(np.int64)
+    target = first % n
+    return (length + first) % len(KINDS), target, (target + 1 + length % (n - 1)) % n, length
+
+
+def run_texts(texts: list[str], n: int) -> np.ndarray:
+    """The final vectors of the circuits of whole texts, one row each."""
+    made = [word_gates(x, n) for x in texts]
+    # The longest first, so that the circuits still running are a leading slice.
+    order = sorted(range(len(made)), key=lambda i: -len(made[i][0]))
+    depth = np.array([len(made[i][0]) for i in order], np.int64)
+    start = np.cumsum(depth) - depth
+    code, target, control, length = (np.concatenate([made[i][c] for i in order]) for c in range(4))
+    held = np.where(code == KINDS.index("CNOT"), 1 << control, 0)
+    # A gate's matrix is that of its kind and its word's length.
+    known, which = np.unique(length * len(KINDS) + code, return_inverse=True)
+    u = np.stack([matrix(KINDS[k % len(KINDS)], np.pi * (k // len(KINDS)) / 6) for k in known.tolist()])
+    psi = np.zeros((len(made), 1 << n), complex)
+    psi[:, 0] = 1
+    none = np.full(len(made), -1)
+    running = np.searchsorted(-depth, -np.arange(depth[0]), side="left")
+    for k, on in enumerate(running.tolist()):
+        g = start[:on] + k
+        psi[:on] = _apply(psi[:on], target[g], none[:on], held[g], u[which[g]])
+    out = np.empty_like(psi)
+    out[order] = psi
+    return out
+
+
 def _vectors(psi: np.ndarray) -> pa.Array:
     ends = pa.array(np.arange(len(psi) + 1) * psi.shape[1], pa.int32())
     parts = [pa.ListArray.from_arrays(ends, pa.array(np.ascontiguousarray(x).ravel())) for x in (psi.real, psi.imag)]
@@ -117,6 +154,29 @@ def simulate_many(gates: DataFrame, n: int, start: DataFrame | None = None, orde
     return packed.select("circuit_id", _kernel(n)("ops", "_re", "_im").alias("v")).select("circuit_id", "v.re", "v.im")
 
 
+def simulate_texts(docs: DataFrame, n: int) -> DataFrame:
+    """``docs(doc_id, text)`` to final vectors ``circuit_id, re, im``: each row's words are the gates of one circuit.
+
+    Nothing is shuffled: a text stays one row and becomes gates in the kernel.  A null text is no circuit.
+    """
+
+    @F.arrow_udf(VECTOR)
+    def run(text: pa.Array) -> pa.Array:
+        out, part, signs = [], [], 0
+        for x in text.to_pylist():
+            part.append(x)
+            signs += len(x)
+            if signs >= KERNEL_SIGNS or len(part) >= KERNEL_AMPLITUDES >> n:
+                out.append(_vectors(run_texts(part, n)))
+                part, signs = [], 0
+        if part or not out:
+            out.append(_vectors(run_texts(part, n) if part else np.zeros((0, 1 << n), complex)))
+        return pa.concat_arrays(out)
+
+    text = F.coalesce("text", F.lit(""))
+    return docs.where("text is not null").select(F.col("doc_id").alias("circuit_id"), run(text).alias("v")).select("circuit_id", "v.re", "v.im")
+
+
 def to_rows(vectors: DataFrame) -> DataFrame:
     """``circuit_id, re, im`` arrays to ``circuit_id, idx, re, im`` rows."""
     return vectors.select("circuit_id", F.posexplode(F.arrays_zip("re", "im")).alias("idx", "a")).select(

@@ -63,9 +63,9 @@ def part_gates(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def document_gates(spark: SparkSession, sf_dir: str, n: int = 6, words: int = 200) -> DataFrame:
-    """One circuit per document; its first words are the gates."""
-    docs = table(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.slice(F.split("text", " "), 1, words)).alias("pos", "word"))
+def document_gates(spark: SparkSession, sf_dir: str, n: int = 6) -> DataFrame:
+    """One circuit per document; all its words are the gates."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.split("text", " ")).alias("pos", "word"))
     length, first = F.length("word"), F.ascii(F.col("word"))
     target = F.pmod(first, F.lit(n)).cast("int")
     return with_controls(
