@@ -136,11 +136,12 @@ def join_full_diff(spark, sf_dir):
     f"""SELECT circuit_id, gate_no, r AS row_bit, c AS col_bit, {sql.fixed('x')} AS re_q, {sql.fixed('y')} AS im_q FROM (
       SELECT circuit_id, gate_no, unnest([0, 0, 1, 1]) AS r, unnest([0, 1, 0, 1]) AS c, unnest([ar, br, cr, dr]) AS x, unnest([ai, bi, ci, di]) AS y FROM ({sql.entries(sql.ORDERS)}) WHERE circuit_id % 10 = 0)
     WHERE abs(x) + abs(y) > 1e-12""",
+    whole=False,
 )
 def join_lateral_terms(spark, sf_dir):
     """The nonzero matrix terms of each gate by a lateral call of a table function."""
     udfs.register_all(spark)
-    circuits.order_gates(spark, sf_dir).where("circuit_id % 10 = 0").createOrReplaceTempView("lateral_gates")
+    circuits.order_gates(spark, sf_dir).createOrReplaceTempView("lateral_gates")
     made = spark.sql("SELECT g.circuit_id, g.gate_no, t.row_bit, t.col_bit, t.re, t.im FROM lateral_gates g, LATERAL gate_terms(g.kind, g.theta) t")
     return made.select("circuit_id", "gate_no", "row_bit", "col_bit", fixed(F.col("re")).alias("re_q"), fixed(F.col("im")).alias("im_q"))
 
@@ -375,7 +376,7 @@ def udf_block_kernel(spark, sf_dir):
 )
 def udtf_partition_ranges(spark, sf_dir):
     udfs.register_all(spark)
-    circuits.order_gates(spark, sf_dir).where("circuit_id % 10 = 0").createOrReplaceTempView("range_gates")
+    circuits.order_gates(spark, sf_dir).createOrReplaceTempView("range_gates")
     return spark.sql(
         "SELECT g.circuit_id, g.gate_no, t.* FROM range_gates g, LATERAL partition_ranges(g.kind, g.target, CASE WHEN g.kind = 'CNOT' THEN g.control ELSE -1 END, g.theta, 5, 4) t"
     )

@@ -78,3 +78,52 @@ def test_text_circuits_equal_sql_where_it_reaches(spark, data):
     ours, theirs = QUERIES["full_documents"](spark, data).toPandas(), sql_rows("full_documents", data)
     assert set(ours.circuit_id) == set(theirs.circuit_id) > short
     same(ours[ours.circuit_id.isin(short)], theirs[theirs.circuit_id.isin(short)])
+
+
+def order_rows(spark, data):
+    """The gates of all orders, from the table itself."""
+    lines = spark.read.parquet(f"{data}/lineitem.parquet").toPandas()
+    lines = lines.sort_values(["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"])
+    lines["nth"] = lines.groupby("l_orderkey").cumcount() + 1
+    for r in lines.itertuples():
+        t = r.l_partkey % 5
+        kind = KINDS[(r.l_linenumber + r.l_partkey) % 12]
+        yield r.l_orderkey, r.nth, kind, t, (t + 1 + r.l_suppkey % 4) % 5, np.pi * float(r.l_quantity) / 25
+
+
+def test_lateral_terms_of_every_order(spark, data):
+    ours = QUERIES["join_lateral_terms"](spark, data).toPandas()
+    want = {}
+    for order, nth, kind, _, _, theta in order_rows(spark, data):
+        u = matrix(kind, theta)
+        want |= {(order, nth, r, c): u[r, c] for r in (0, 1) for c in (0, 1) if abs(u[r, c]) > 1e-12}
+    got = {(r.circuit_id, r.gate_no, r.row_bit, r.col_bit): (r.re_q, r.im_q) for r in ours.itertuples()}
+    assert len(ours) == len(want) and got.keys() == want.keys()
+    assert all(abs(got[k][0] - fixed(want[k].real)) <= 1 and abs(got[k][1] - fixed(want[k].imag)) <= 1 for k in want)
+    same(ours[ours.circuit_id % 10 == 0], sql_rows("join_lateral_terms", data))
+
+
+def test_partition_ranges_of_every_order(spark, data):
+    """Tasks of 4 operations, joined while their blocks overlap; a mixing gate has one task a block."""
+    want = set()
+    for order, nth, kind, t, c, theta in order_rows(spark, data):
+        u = matrix(kind, theta)
+        held = 1 << c if kind == "CNOT" else 0
+        apart = abs(u[0, 1]) + abs(u[1, 0]) > 1e-12
+        if apart and abs(u[0, 0]) + abs(u[1, 1]) > 1e-12:
+            want |= {(order, nth, k, k, k, 1) for k in range(8)}
+            continue
+        ones = [abs(u[b, b] - 1) < 1e-12 for b in (0, 1)]
+        if not apart and all(ones):
+            continue
+        keep = [i for i in range(32) if i & held == held and not (apart and i >> t & 1) and not (not apart and ones[0] and not i >> t & 1)]
+        ops, parts = [(i, i | 1 << t if apart else i) for i in keep], []
+        for at in range(0, len(ops), 4):
+            lo, hi = ops[at][0] // 4, max(x[1] for x in ops[at : at + 4]) // 4
+            if parts and lo <= parts[-1][1]:
+                parts[-1] = [parts[-1][0], max(hi, parts[-1][1]), parts[-1][2] + 1]
+            else:
+                parts.append([lo, hi, 1])
+        want |= {(order, nth, k, *p) for k, p in enumerate(parts)}
+    got = [tuple(r) for r in QUERIES["udtf_partition_ranges"](spark, data).select("circuit_id", "gate_no", "part_no", "lo_block", "hi_block", "n_tasks").collect()]
+    assert len(got) == len(want) and set(got) == want
