@@ -38,12 +38,12 @@ class PartitionRanges:
 
 @F.udtf(returnType="gate_no int, kind string, target int, theta double")
 class ParseGates:
-    """Gates of words: one per blank-separated word, by its length and first code point."""
+    """Gates of words: one per blank-separated word of the whole text, by its length and first code point."""
 
-    def eval(self, text: str, n: int, words: int):
+    def eval(self, text: str | None, n: int):
         from incstate.functions.gates import KINDS
 
-        for k, word in enumerate((text or "").split(" ")[:words]):
+        for k, word in enumerate([] if text is None else text.split(" ")):
             first = ord(word[0]) if word else 0
             yield k, KINDS[(len(word) + first) % 12], first % n, float(np.pi * len(word) / 6)
 

@@ -382,11 +382,11 @@ def udtf_partition_ranges(spark, sf_dir):
     )
 
 
-@register("udtf_parse_gates", f"SELECT circuit_id, CAST(gate_no AS INT) AS gate_no, kind, target, {sql.fixed('theta')} AS theta_q FROM ({sql.documents(6, 200)}) WHERE gate_no < 20")
+@register("udtf_parse_gates", f"SELECT circuit_id, CAST(gate_no AS INT) AS gate_no, kind, target, {sql.fixed('theta')} AS theta_q FROM ({sql.documents(6, 200)}) WHERE gate_no < 20", whole=False)
 def udtf_parse_gates(spark, sf_dir):
     udfs.register_all(spark)
     table(spark, sf_dir, "documents").createOrReplaceTempView("parse_documents")
-    made = spark.sql("SELECT d.doc_id AS circuit_id, t.* FROM parse_documents d, LATERAL parse_gates(d.text, 6, 20) t")
+    made = spark.sql("SELECT d.doc_id AS circuit_id, t.* FROM parse_documents d, LATERAL parse_gates(d.text, 6) t")
     return made.select("circuit_id", "gate_no", "kind", "target", fixed(F.col("theta")).alias("theta_q"))
 
 

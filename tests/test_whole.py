@@ -127,3 +127,12 @@ def test_partition_ranges_of_every_order(spark, data):
         want |= {(order, nth, k, *p) for k, p in enumerate(parts)}
     got = [tuple(r) for r in QUERIES["udtf_partition_ranges"](spark, data).select("circuit_id", "gate_no", "part_no", "lo_block", "hi_block", "n_tasks").collect()]
     assert len(got) == len(want) and set(got) == want
+
+
+def test_parse_gates_reads_every_word(spark, texts, data):
+    at, docs = texts
+    got = [tuple(r) for r in QUERIES["udtf_parse_gates"](spark, at).select("circuit_id", "gate_no", "kind", "target", "theta_q").collect()]
+    want = {(d, k, *gate(w)[:2], fixed(gate(w)[3])) for d, ws in docs.items() for k, w in enumerate(ws)}
+    assert len(got) == len(want) and set(got) == want
+    ours = QUERIES["udtf_parse_gates"](spark, data).toPandas()
+    same(ours[ours.gate_no < 20], sql_rows("udtf_parse_gates", data))
