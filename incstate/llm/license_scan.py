@@ -27,7 +27,7 @@ CONTAINED = 0.8
 GUARANTEE = 0.9999
 BAND_ROWS = 2
 
-#: License identifiers and the notices that announce them.
+#: License identifiers and the notices, headers and texts that announce them.
 TEMPLATES = {
     "MIT": "Released under the MIT License.",
     "Apache-2.0": "Licensed under the Apache License, Version 2.0.",
@@ -36,8 +36,42 @@ TEMPLATES = {
     "provided that the following conditions are met",
     "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
     "CC-BY-4.0": "This work is licensed under the Creative Commons Attribution 4.0 International License.",
+    "CC-BY-SA-4.0 (long)": "This work is licensed under the Creative Commons Attribution-ShareAlike 4.0 International License.",
+    "CC-BY-ND-4.0 (long)": "This work is licensed under the Creative Commons Attribution-NoDerivatives 4.0 International License.",
+    "CC-BY-NC-4.0 (long)": "This work is licensed under the Creative Commons Attribution-NonCommercial 4.0 International License.",
+    "CC-BY-NC-SA-4.0 (long)": "This work is licensed under the Creative Commons Attribution-NonCommercial-ShareAlike 4.0 International License.",
+    "CC-BY-NC-ND-4.0 (long)": "This work is licensed under the Creative Commons Attribution-NonCommercial-NoDerivatives 4.0 International License.",
+    "CC-BY-4.0 (short)": "Licensed under CC BY 4.0.",
+    "CC-BY-SA-4.0": "Licensed under CC BY-SA 4.0.",
+    "CC-BY-ND-4.0": "Licensed under CC BY-ND 4.0.",
+    "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0.",
+    "CC-BY-NC-SA-4.0": "Licensed under CC BY-NC-SA 4.0.",
+    "CC-BY-NC-ND-4.0": "Licensed under CC BY-NC-ND 4.0.",
+    "MIT (text)": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated "
+    'documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to '
+    "use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the "
+    "Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall "
+    'be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, '
+    "EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND "
+    "NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER "
+    "IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS "
+    "IN THE SOFTWARE.",
+    "ISC (text)": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, "
+    "provided that the above copyright notice and this permission notice appear in all copies.",
+    "Apache-2.0 (header)": 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with '
+    "the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or "
+    'agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF '
+    "ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.",
+    "GPL-3.0 (header)": "under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License",
+    "GPL-2.0 (header)": "under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License",
 }
 
+
+def identifier(name: str) -> str:
+    """The license that a template announces; one has several templates, told apart in brackets."""
+    return name.split(" (")[0]
+
+
 _PACE = np.array([1, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3], np.uint64)
 
 
@@ -147,6 +181,17 @@ def scan(texts: pa.Array, index: Index, contained: float = CONTAINED) -> list[li
     return out
 
 
+def regions(found: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
+    """The windows of :func:`scan` by license, overlapping ones of several templates merged."""
+    out: list[tuple[str, int, int]] = []
+    for name, first, words in sorted((identifier(n), x, w) for n, x, w in found):
+        if out and out[-1][0] == name and first <= out[-1][1] + out[-1][2]:
+            _, x, w = out.pop()
+            first, words = x, max(x + w, first + words) - x
+        out.append((name, first, words))
+    return out
+
+
 def license_matches(docs: DataFrame, templates: dict[str, str] | None = None) -> DataFrame:
     """``docs(doc_id, text)`` to ``doc_id, n_matches, licenses, spans``, one row per input row.
 
@@ -164,7 +209,7 @@ def license_matches(docs: DataFrame, templates: dict[str, str] | None = None) ->
         text = flat(text)
         kind = pa.list_(pa.struct([("license", pa.string()), ("first_word", pa.int64()), ("words", pa.int64())]))
         rows = [
-            [{"license": n, "first_word": x, "words": w} for n, x, w in found] for a, b in slices(text) for found in scan(text[a:b], index)
+            [{"license": n, "first_word": x, "words": w} for n, x, w in regions(found)] for a, b in slices(text) for found in scan(text[a:b], index)
         ]
         return pa.array(rows, kind)
 

@@ -374,6 +374,18 @@ def test_license_scan(odd, odd_rows, none):
             assert name in {x[0] for x in license_scan.scan(pa.array([text]), index)[0]}
 
 
+def test_license_lines_headers_and_texts(spark):
+    held = license_scan.TEMPLATES
+    texts = {
+        "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0.", "CC-BY-NC-SA-4.0": "Licensed under CC BY-NC-SA 4.0.", "CC-BY-4.0": "Licensed under CC BY 4.0.",
+        "MIT": held["MIT (text)"], "Apache-2.0": held["Apache-2.0 (header)"], "GPL-3.0": f"This program may be used {held['GPL-3.0 (header)']}, or any later one.",
+        "GPL-2.0": f"You can modify it {held['GPL-2.0 (header)']}.", "": "All rights reserved by the licensor of this software and its authors.",
+    }
+    rows = [(k, f"{prose(20 + k, 12)} {t} {prose(40 + k, 12)}") for k, t in enumerate(texts.values())]
+    out = license_scan.license_digest(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {r.doc_id: (r.n_licenses, r.licenses) for r in out} == {k: (int(bool(name)), name) for k, name in enumerate(texts)}
+
+
 def test_pipeline(spark, data):
     import corpus_pipeline as p
 
