@@ -1,11 +1,11 @@
 """MinHash near-duplicates by an LSH forest.
 
-A document is the set of its distinct word shingles.  Equal sets are one class, which gets ``TREES *
-DEPTH`` MinHash values; every tree sorts the classes by its own ``DEPTH`` of them.  Classes next to each
-other in a tree are candidates if their longest common prefix reaches the depth of their region:
-``SHORTEST``, or up to ``DEEPEST`` where the region joins more than ``CROWD`` classes.  A pair at the
-threshold 0.8 shares a prefix of ``SHORTEST`` in some tree with probability 1 - (1 - 0.8**4)**16 = 0.9998,
-and one of ``DEEPEST`` with 0.992.
+A document is the set of its distinct word shingles.  Equal sets are one class, which gets ``HASHES``
+MinHash values; every tree sorts the classes by its own ``DEPTH`` of them.  Classes next to each other in
+a tree are candidates if they share a prefix of ``SHORTEST`` values.  Where candidates join more than
+``CROWD`` classes, these get trees of 5 and then, where still crowded, of 6 values: as many of them
+(``MORE_TREES``) that a pair at the threshold 0.8 keeps its odds of 0.9998 to share a key in some tree, since
+(1 - 0.8**4)**16, (1 - 0.8**5)**22 and (1 - 0.8**6)**28 are all about 0.0002.
 
 Candidates that hang together form a cluster, and all links of a cluster are confirmed on full sets, so
 a pair need not be next to each other to be found.  Each set is read once for its cluster, which is
@@ -33,7 +33,9 @@ WORDS = 4
 TREES = 16
 DEPTH = 8
 SHORTEST = 4
-DEEPEST = 6
+#: Trees of crowded regions by depth.
+MORE_TREES = {5: 22, 6: 28}
+HASHES = max(TREES * DEPTH, *(d * t for d, t in MORE_TREES.items()))
 #: Classes that a region may join at one depth before it is cut deeper.
 CROWD = 20_000
 BLOCK = 1024
@@ -62,7 +64,7 @@ def shingle_sets(texts: pa.Array, words: int = WORDS) -> tuple[np.ndarray, np.nd
     return (np.concatenate(sets) if sets else np.zeros(0, np.uint64)), np.array([len(s) for s in sets], np.int64)
 
 
-def signatures(values: np.ndarray, counts: np.ndarray, hashes: int = TREES * DEPTH, seed: int = 5) -> np.ndarray:
+def signatures(values: np.ndarray, counts: np.ndarray, hashes: int = HASHES, seed: int = 5) -> np.ndarray:
     """``uint32[documents, hashes]`` of MinHash values; rows of empty sets hold the largest value."""
     out = np.full((len(counts), hashes), 0xFFFFFFFF, np.uint32)
     some = counts > 0
@@ -172,18 +174,30 @@ def _adjacent(trees: DataFrame) -> DataFrame:
     return pairs.groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.max("common").alias("common"))
 
 
-def _clusters(near: DataFrame, crowd: int) -> DataFrame:
-    """``(node, cluster)`` of candidates; clusters above ``crowd`` are cut by deeper prefixes."""
+def _crowded(classes: DataFrame, depth: int) -> DataFrame:
+    """Links ``(u, v)`` of classes that share all ``depth`` values of some of the trees for this depth.
+
+    One link to the smallest class of a key joins all that share it.
+    """
+    keys = [F.struct(F.lit(t).alias("tree"), F.substring("sig", 4 * depth * t + 1, 4 * depth).alias("key")) for t in range(MORE_TREES[depth])]
+    trees = written(classes.select("node", F.explode(F.array(*keys)).alias("x")).select("x.tree", "x.key", "node"))
+    low = trees.groupBy("tree", "key").agg(F.min("node").alias("u"), F.count("*").alias("size")).where("size > 1").drop("size")
+    return trees.join(low, ["tree", "key"]).where("node <> u").select("u", F.col("node").alias("v")).distinct()
+
+
+def _clusters(near: DataFrame, classes: DataFrame, crowd: int) -> DataFrame:
+    """``(node, cluster)`` of candidates; classes in clusters above ``crowd`` are dealt anew by deeper trees."""
     done: list[DataFrame] = []
-    for depth in range(SHORTEST, DEEPEST + 1):
-        found = cut(connected_components(near.where(F.col("common") >= depth).select(F.col("a").alias("u"), F.col("b").alias("v"))))
+    links = near.select(F.col("a").alias("u"), F.col("b").alias("v"))
+    for depth in (*MORE_TREES, None):
+        found = cut(connected_components(links))
         large = found.groupBy("component").agg(F.count("*").alias("size")).where(F.col("size") > crowd)
-        if depth == DEEPEST or large.isEmpty():
+        if depth is None or large.isEmpty():
             done.append(found)
             break
         done.append(found.join(large, "component", "left_anti"))
-        inside = found.join(large, "component", "left_semi")
-        near = cut(near.join(inside.select(F.col("id").alias("a")), "a", "left_semi"))
+        inside = found.join(large, "component", "left_semi").select(F.col("id").alias("node"))
+        links = cut(_crowded(classes.join(inside, "node", "left_semi"), depth))
     out = done[0]
     for more in done[1:]:
         out = out.unionByName(more)
@@ -262,7 +276,7 @@ def forest_links(docs: DataFrame, percent: int = 80, crowd: int = CROWD, block:
     classes = profile.where("n > 0").groupBy("node").agg(F.first("sig").alias("sig"))
     keys = [F.struct(F.lit(t).alias("tree"), F.substring("sig", 4 * DEPTH * t + 1, 4 * DEPTH).alias("key")) for t in range(TREES)]
     trees = classes.select("node", F.explode(F.array(*keys)).alias("x")).select("x.tree", "x.key", "node")
-    clusters = cut(_clusters(cut(_adjacent(written(trees))), crowd))
+    clusters = cut(_clusters(cut(_adjacent(written(trees))), classes, crowd))
     sizes = clusters.groupBy("cluster").agg(F.ceil(F.count("*") / F.lit(block)).cast("int").alias("blocks"))
     member = clusters.join(sizes, "cluster").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     member = cut(member)

@@ -236,6 +236,17 @@ def test_near_duplicates(odd, odd_rows, none):
     assert kept.columns == odd.columns
 
 
+def test_crowded_regions_keep_their_pairs(spark):
+    """Pairs at similarity 0.8: 0.8% of them fall out if crowded regions get deeper keys but no more trees."""
+    draw, rows = np.random.default_rng(6), []
+    for k in range(3000):
+        w = [f"{x:x}" for x in draw.integers(1 << 40, size=103)]
+        rows += [(2 * k, " ".join(w[:93])), (2 * k + 1, " ".join(w[:83] + w[93:]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    classes, labels = lsh_forest.forest_links(df, crowd=1)
+    assert classes.count() == 6000 and labels.count() >= 2 * (3000 - 6)
+
+
 def test_near_copies_with_many_edits(spark):
     draw = np.random.default_rng(5)
     base = prose(7, 150).split()
