@@ -136,3 +136,11 @@ def test_parse_gates_reads_every_word(spark, texts, data):
     assert len(got) == len(want) and set(got) == want
     ours = QUERIES["udtf_parse_gates"](spark, data).toPandas()
     same(ours[ours.gate_no < 20], sql_rows("udtf_parse_gates", data))
+
+
+def test_family_ising_has_a_step_for_every_line_number(spark, data, monkeypatch):
+    made, real = [], measures.families.ising
+    monkeypatch.setattr(measures.families, "ising", lambda n, steps: made.append(len(steps)) or real(n, steps))
+    rows = QUERIES["family_ising"](spark, data).collect()
+    assert made == [spark.read.parquet(f"{data}/lineitem.parquet").select("l_linenumber").distinct().count()] and made[0] > 3
+    assert abs(sum(r.p_q for r in rows) - 10**8) < 1000
