@@ -7,6 +7,7 @@ multi-byte character, so cutting bytes equals cutting characters.
 from __future__ import annotations
 
 import ctypes
+import hashlib
 import os
 import tempfile
 import time
@@ -38,8 +39,11 @@ except (OSError, AttributeError):
     _TRIM = None
 
 _gave = 0.0
-_BASE = 0x9E3779B97F4A7C15 | 1
-_BASE_INVERSE = pow(_BASE, -1, 1 << 64)
+#: Masks of the first bytes of an eight-byte load.
+_HEAD = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
+_STIR = np.uint64(0x9FB21C651E98DF25)
+#: Words of this many bytes or more are hashed one by one.
+LONG_WORD = 64
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -111,28 +115,31 @@ class Ragged:
         after = np.concatenate((inside, [False]))
         self.starts = np.flatnonzero(after & (~before | edge))
         self.ends = np.flatnonzero(before & (~after | edge))
-        self.doc = np.searchsorted(self.bounds, self.starts, "right") - 1
-        self.counts = np.bincount(self.doc, minlength=self.n).astype(np.int64)
-        self.first = np.concatenate(([0], np.cumsum(self.counts)))
+        self.first = np.searchsorted(self.starts, self.bounds)
+        self.counts = np.diff(self.first)
+        self.doc = np.repeat(np.arange(self.n), self.counts)
 
     def hashes(self) -> np.ndarray:
         """One 64-bit hash per word."""
         return self.hash_of(self.starts, self.ends)
 
     def hash_of(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """One 64-bit hash for each run of bytes, from one running polynomial over all bytes."""
-        size = len(self.bytes)
-        powers = np.full(size + 1, _BASE, np.uint64)
-        powers[0] = 1
-        np.multiply.accumulate(powers, out=powers)
-        run = np.zeros(size + 1, np.uint64)
-        np.cumsum(powers[:size] * (self.bytes.astype(np.uint64) + np.uint64(1)), out=run[1:])
-        value = run[ends] - run[starts]
-        del run
-        powers[1:] = _BASE_INVERSE
-        powers[0] = 1
-        np.multiply.accumulate(powers, out=powers)
-        return mix64(value * powers[starts] + (ends - starts).astype(np.uint64))
+        """One 64-bit hash for each run of bytes, eight bytes at a time."""
+        padded = np.zeros(len(self.bytes) + 8, np.uint8)
+        padded[:-8] = self.bytes
+        eight = np.ndarray((len(self.bytes) + 1,), "<u8", padded, strides=(1,))
+        size = ends - starts
+        out = size.astype(np.uint64) * _STIR
+        rest, at = np.arange(len(starts)), 0
+        while len(rest) and at < LONG_WORD:
+            left = size[rest] - at
+            held = (out[rest] ^ (eight[starts[rest] + at] & _HEAD[np.minimum(left, 8)])) * _STIR
+            out[rest] = held ^ (held >> np.uint64(29))
+            at += 8
+            rest = rest[left > 8]
+        for k in rest.tolist():
+            out[k] = int.from_bytes(hashlib.blake2b(self.bytes[starts[k] : ends[k]].tobytes(), digest_size=8).digest(), "little")
+        return mix64(out)
 
 
 def slices(texts: pa.Array, most: int = SLICE_BYTES, pause: float = 0.0) -> Iterator[tuple[int, int]]:

@@ -10,10 +10,10 @@ token ids are written once, and moved once to meet their places.
 from __future__ import annotations
 
 import os
+import re
 import zlib
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from incstate.llm.common import Ragged, bound_batches, cut, flat, slices, written
+from incstate.llm.rank_bpe import RankMerger
 
 VOCABULARY = "word_bpe_49k.json"
 SEQUENCE = 4096
@@ -28,10 +29,14 @@ END_ID = 2
 AXES = 4
 AXIS_BITS = 10
 HASHED_TERMS = 4096
-#: Rows of an Arrow batch: the more, the fewer times a word is looked up.
-BATCH_ROWS = 2048
-#: Words whose ids a worker remembers before it starts anew.
-REMEMBERED = 2_000_000
+#: Whole units of an axis.
+AXIS_UNIT = 4096
+#: Units whose ids a worker remembers before it starts anew, about 80 bytes each.
+REMEMBERED = 1_000_000
+#: Units that are looked up at a time, whatever the length of a text.
+UNITS = 1 << 18
+#: Closing signs that are taken off a word; a longer run stays on it.
+MOST_CLOSING = 4
 
 
 def hilbert_key(cells: np.ndarray, bits: int = AXIS_BITS) -> np.ndarray:
@@ -69,32 +74,92 @@ _LOWER[ord("A") : ord("Z") + 1] += 32
 #: Signs that may close a word, without those of contractions and special tokens.
 _CLOSING = np.zeros(256, bool)
 _CLOSING[list(b"!#$%&*+,-./:;=?@^_~")] = True
+#: Small letters of ASCII and Latin-1, which are one pre-token together.
+_LETTERS = re.compile(rb"(?:[a-z]|\xc3[\x9f-\xb6\xb8-\xbf])+")
 
 
 class _Growing:
     """An array that grows at its end."""
 
-    def __init__(self, kind):
-        self.held, self.n = np.zeros(1024, kind), 0
+    def __init__(self, kind, width: int = 1):
+        self.held, self.n = np.zeros((1024, width) if width > 1 else 1024, kind), 0
 
     def __len__(self) -> int:
         return self.n
 
     def add(self, more: np.ndarray) -> None:
         if self.n + len(more) > len(self.held):
-            self.held = np.concatenate((self.held, np.zeros(max(len(self.held), len(more)), self.held.dtype)))
+            room = np.zeros((max(len(self.held) // 2, len(more)), *self.held.shape[1:]), self.held.dtype)
+            self.held = np.concatenate((self.held, room))
         self.held[self.n : self.n + len(more)] = more
         self.n += len(more)
 
 
+class _Numbers:
+    """64-bit keys to running numbers, in one open table that is probed with whole arrays."""
+
+    def __init__(self):
+        self.bits, self.n = 16, 0
+        self.key, self.number = np.zeros(1 << 16, np.uint64), np.zeros(1 << 16, np.int32)
+
+    def _walk(self, key: np.ndarray):
+        """Rounds of (indices still open, their slots)."""
+        left, slot = np.arange(len(key)), (key >> np.uint64(64 - self.bits)).astype(np.int64)
+        while len(left):
+            open_ = yield left, slot
+            left, slot = left[open_], (slot[open_] + 1) & ((1 << self.bits) - 1)
+
+    def find(self, key: np.ndarray) -> np.ndarray:
+        """The number of each key, -1 if it isn't known."""
+        key = np.maximum(key, np.uint64(1))
+        out = np.full(len(key), -1, np.int64)
+        walk = self._walk(key)
+        step = next(walk, None)
+        while step is not None:
+            left, slot = step
+            held = self.key[slot]
+            hit = held == key[left]
+            out[left[hit]] = self.number[slot[hit]]
+            try:
+                step = walk.send(~hit & (held != 0))
+            except StopIteration:
+                break
+        return out
+
+    def add(self, key: np.ndarray) -> None:
+        """Number new, distinct keys in turn."""
+        key = np.maximum(key, np.uint64(1))
+        if 2 * (self.n + len(key)) > len(self.key):
+            used = self.key != 0
+            old = self.key[used][np.argsort(self.number[used])]
+            while 2 * (self.n + len(key)) > 1 << self.bits:
+                self.bits += 1
+            self.key, self.number = np.zeros(1 << self.bits, np.uint64), np.zeros(1 << self.bits, np.int32)
+            key, self.n = np.concatenate((old, key)), 0
+        walk = self._walk(key)
+        step = next(walk, None)
+        while step is not None:
+            left, slot = step
+            free = self.key[slot] == 0
+            self.key[slot[free]] = key[left[free]]
+            put = free & (self.key[slot] == key[left])
+            self.number[slot[put]] = self.n + left[put]
+            try:
+                step = walk.send(~put)
+            except StopIteration:
+                break
+        self.n += len(key)
+
+
 class WordIds:
     """The library's ids for texts, put together from those of blank-separated words.
 
     The vocabulary drops white space and never joins across it, so a text's ids are its words' ids in
     turn.  It lowers case and never joins a letter with a sign either, so words are taken in small ASCII
-    letters and a word's closing signs apart from its stem; words with the bar of special tokens are left
-    as they are.  Units are known by a 64-bit hash; new ones go to the library in long runs, with a mark of
-    one known id between them.
+    and Latin-1 letters and a word's closing signs apart from its stem; words with the bar of special
+    tokens are left as they are.  Units are known by a 64-bit hash.  New ones of such letters alone are one
+    pre-token each and are merged by rank as whole arrays; the others go to the library in long runs, with
+    a mark of one known id between them.
     """
 
     MARK = "|"
@@ -105,119 +170,133 @@ class WordIds:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.merger = RankMerger(path)
         mark = self._encode([self.MARK])[0]
         self.mark = int(mark[0]) if len(mark) == 1 else None
+        self.axes = _axes()
         self._forget()
 
     def _forget(self) -> None:
-        #: Sorted hashes with the units' numbers, in runs of falling length that are merged as they fill.
-        self.known: list[tuple[np.ndarray, np.ndarray]] = []
-        self.start, self.size, self.pool = _Growing(np.int64), _Growing(np.int64), _Growing(np.uint32)
-
-    def _find(self, key: np.ndarray) -> np.ndarray:
-        """The number of each unit, -1 if it's new."""
-        out = np.full(len(key), -1, np.int64)
-        left = np.arange(len(key))
-        for keys, numbers in self.known:
-            spot = np.minimum(np.searchsorted(keys, key[left]), len(keys) - 1)
-            hit = keys[spot] == key[left]
-            out[left[hit]] = numbers[spot[hit]]
-            left = left[~hit]
-        return out
+        self.known = _Numbers()
+        self.start, self.size, self.pool = _Growing(np.int32), _Growing(np.int32), _Growing(np.uint32)
+        self.moved = _Growing(np.int32, AXES)
 
     def _encode(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, words: list[str], keys: np.ndarray) -> None:
-        plain = np.array([self.mark is not None and self.MARK not in w for w in words], bool)
-        order = np.concatenate((np.flatnonzero(plain), np.flatnonzero(~plain)))
-        simple = [words[i] for i in np.flatnonzero(plain)]
-        runs = [simple[at : at + self.RUN] for at in range(0, len(simple), self.RUN)]
-        ids, sizes = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)]
-        for run, code in zip(runs, self._encode([f" {self.MARK} ".join(r) for r in runs])):
+    def _learn(self, units: list[bytes], keys: np.ndarray) -> np.ndarray:
+        """The numbers of new units."""
+        kind = np.array([0 if _LETTERS.fullmatch(u) else 2 if self.mark is None or b"|" in u else 1 for u in units])
+        letters, plain, barred = ([units[i] for i in np.flatnonzero(kind == k)] for k in range(3))
+        made, size = self.merger.tokens(letters)
+        ids, sizes = [made.astype(np.uint32)], [size]
+        for at in range(0, len(plain), self.RUN):
+            run = plain[at : at + self.RUN]
+            code = self._encode([f" {self.MARK} ".join(u.decode() for u in run)])[0]
             edge = np.flatnonzero(code == self.mark)
             if len(edge) != len(run) - 1:
                 raise AssertionError("a word gave the id of the mark")
             sizes.append(np.diff(np.concatenate(([-1], edge, [len(code)]))) - 1)
             ids.append(code[code != self.mark])
-        for code in self._encode([words[i] for i in np.flatnonzero(~plain)]):
-            ids.append(code)
-            sizes.append(np.array([len(code)]))
-        size = np.concatenate(sizes)
-        numbers = len(self.start) + np.arange(len(size))
+        for u in barred:
+            ids += self._encode([u.decode()])
+            sizes.append(np.array([len(ids[-1])]))
+        size, ids = np.concatenate(sizes), np.concatenate(ids)
+        order = np.argsort(kind, kind="stable")
+        number = np.empty(len(keys), np.int64)
+        number[order] = len(self.start) + np.arange(len(keys))
+        self.known.add(keys[order])
         self.start.add(len(self.pool) + np.cumsum(size) - size)
         self.size.add(size)
-        self.pool.add(np.concatenate(ids))
-        self.known.append((keys[order], numbers))
-        while True:
-            keys, numbers = self.known.pop()
-            sort = np.argsort(keys)
-            self.known.append((keys[sort], numbers[sort]))
-            if len(self.known) < 2 or len(self.known[-2][0]) > 2 * len(keys):
-                break
-            self.known[-2:] = [tuple(np.concatenate(x) for x in zip(*self.known[-2:]))]
+        self.pool.add(ids)
+        run = np.concatenate((np.zeros((1, AXES), np.int64), np.cumsum(self.axes[_slots(ids)], axis=0, dtype=np.int64)))
+        ends = np.cumsum(size)
+        self.moved.add(run[ends] - run[ends - size])
+        return number
+
+    def _numbers(self, r: Ragged, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        key = r.hash_of(starts, ends)
+        number = self.known.find(key)
+        new = np.flatnonzero(number < 0)
+        if not len(new):
+            return number
+        if len(self.start) + len(new) > REMEMBERED:
+            self._forget()
+            new = np.arange(len(key))
+        keys, first, which = np.unique(key[new], return_index=True, return_inverse=True)
+        first = new[first]
+        raw = memoryview(r.bytes)
+        units = [bytes(raw[x:y]) for x, y in zip(starts[first].tolist(), ends[first].tolist())]
+        number[new] = self._learn(units, keys)[which]
+        return number
+
+    def read(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """All texts' ids, text after text, their numbers, and the sum of each text's hashed places."""
+        r = Ragged(texts)
+        starts, ends, doc = self._units(r)
+        out, counts, moved = [np.zeros(0, np.uint32)], np.zeros(r.n, np.int64), np.zeros((r.n, AXES), np.int64)
+        for at in range(0, len(starts), UNITS):
+            s = slice(at, at + UNITS)
+            number, of = self._numbers(r, starts[s], ends[s]), doc[s]
+            size = self.size.held[number].astype(np.int64)
+            total = np.cumsum(size)
+            out.append(self.pool.held[np.repeat(self.start.held[number] - total + size, size) + np.arange(total[-1])])
+            head = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1])))
+            counts[of[head]] += np.add.reduceat(size, head)
+            for axis in range(AXES):
+                moved[of[head], axis] += np.add.reduceat(self.moved.held[number, axis], head, dtype=np.int64)
+        return np.concatenate(out), counts, moved
 
     def ids(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All texts' ids, text after text, and their numbers."""
-        r = Ragged(texts)
-        starts, ends, counts = self._units(r)
-        code, key = pd.factorize(r.hash_of(starts, ends))
-        number = self._find(key)
-        if (number < 0).any():
-            if len(self.start) + int((number < 0).sum()) > REMEMBERED:
-                self._forget()
-                number[:] = -1
-            new = number < 0
-            first = np.empty(len(key), np.int64)
-            first[code[::-1]] = np.arange(len(code))[::-1]
-            raw = r.bytes.tobytes()
-            words = [raw[x:y].decode() for x, y in zip(starts[first[new]].tolist(), ends[first[new]].tolist())]
-            self._learn(words, key[new])
-            number = self._find(key)
-        at = number[code]
-        size = self.size.held[at]
-        total = np.concatenate(([0], np.cumsum(size)))
-        out = self.pool.held[np.repeat(self.start.held[at] - total[:-1], size) + np.arange(total[-1])]
-        bounds = np.concatenate(([0], np.cumsum(counts)))
-        return out, total[bounds[1:]] - total[bounds[:-1]]
+        return self.read(texts)[:2]
 
     @staticmethod
     def _units(r: Ragged) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Byte bounds of stems and closing signs, and their number in each text; lowers ``r.bytes``."""
-        raw = r.bytes
-        bars = np.concatenate(([0], np.cumsum(raw == ord("|"))))
-        barred = bars[r.ends] > bars[r.starts]
-        low = _LOWER[raw]
+        """Byte bounds of stems and closing signs, and the text of each; lowers ``r.bytes``."""
+        raw, stem = r.bytes, r.ends.copy()
+        barred = np.zeros(len(stem), bool)
+        bars = np.flatnonzero(raw == ord("|"))
+        barred[np.searchsorted(r.starts, bars, "right") - 1] = True
+        r.bytes = _LOWER[raw]
+        latin = np.flatnonzero(raw == 0xC3) + 1
+        latin = latin[(raw[latin] < 0x9F) & (raw[latin] != 0x97)]
+        r.bytes[latin] += 0x20
         for x, y in zip(r.starts[barred].tolist(), r.ends[barred].tolist()):
-            low[x:y] = raw[x:y]
-        r.bytes = low
-        place = np.where(_CLOSING[raw], 0, np.arange(1, len(raw) + 1))
-        stem = np.maximum.accumulate(place)[r.ends - 1] if len(r.ends) else r.ends
-        last, before = (raw[np.maximum(stem - k, 0)] if len(stem) else raw[:0] for k in (1, 2))
+            r.bytes[x:y] = raw[x:y]
+        more = np.flatnonzero(~barred)
+        for _ in range(MOST_CLOSING):
+            more = more[_CLOSING[raw[stem[more] - 1]]]
+            stem[more] -= 1
+            more = more[stem[more] > r.starts[more]]
+        two = np.flatnonzero((stem > r.starts) & (stem < r.ends))
+        last, before = raw[stem[two] - 1], raw[np.maximum(stem[two] - 2, 0)]
         letter = ((last | 32) >= ord("a")) & ((last | 32) <= ord("z"))
-        letter |= (before == 0xC3) & (last >= 0x80) & (last <= 0xBF) & (last != 0x97) & (last != 0xB7) & (stem - 2 >= r.starts)
-        two = (stem > r.starts) & (stem < r.ends) & letter & ~barred
-        at = np.arange(len(two)) + np.cumsum(two) - two
-        starts, ends = np.empty(len(two) + int(two.sum()), np.int64), np.empty(len(two) + int(two.sum()), np.int64)
-        starts[at], ends[at] = r.starts, np.where(two, stem, r.ends)
-        starts[at[two] + 1], ends[at[two] + 1] = stem[two], r.ends[two]
-        return starts, ends, r.counts + np.bincount(r.doc[two], minlength=r.n)
+        letter |= (before == 0xC3) & (last >= 0x80) & (last <= 0xBF) & (last != 0x97) & (last != 0xB7) & (stem[two] - 2 >= r.starts[two])
+        two = two[letter]
+        count = np.ones(len(stem), np.int64)
+        count[two] = 2
+        at = np.cumsum(count) - count
+        starts, ends = np.repeat(r.starts, count), np.repeat(r.ends, count)
+        ends[at[two]] = starts[at[two] + 1] = stem[two]
+        return starts, ends, np.repeat(r.doc, count)
 
 
 _readers: dict[str, WordIds] = {}
 
 
-def _axes(seed: int) -> np.ndarray:
-    return np.random.default_rng(seed).standard_normal((HASHED_TERMS, AXES))
+def _axes(seed: int = 11) -> np.ndarray:
+    """Whole-number places of the hashed terms, so that sums don't depend on their order."""
+    return np.rint(AXIS_UNIT * np.random.default_rng(seed).standard_normal((HASHED_TERMS, AXES))).astype(np.int32)
+
 
+def _slots(ids: np.ndarray) -> np.ndarray:
+    return ((ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(52)).astype(np.int64)
 
-def place_keys(ids: np.ndarray, counts: np.ndarray, seed: int = 11) -> np.ndarray:
+
+def place_keys(moved: np.ndarray, counts: np.ndarray) -> np.ndarray:
     """The Hilbert key of each document's hashed token vector; one without tokens lies in the middle."""
-    slot = (ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(52)
-    moved = _axes(seed)[slot.astype(np.int64)]
-    run = np.concatenate((np.zeros((1, AXES)), np.cumsum(moved, axis=0)))
-    ends = np.cumsum(counts)
-    point = (run[ends] - run[ends - counts]) / np.sqrt(np.maximum(counts, 1))[:, None]
+    point = moved / AXIS_UNIT / np.sqrt(np.maximum(counts, 1))[:, None]
     # The spread of one axis over its cells, by a logistic curve near the normal one.
     cell = np.floor((1 << AXIS_BITS) / (1 + np.exp(-1.702 * point))).astype(np.int64)
     return hilbert_key(np.clip(cell, 0, (1 << AXIS_BITS) - 1))
@@ -237,32 +316,37 @@ def packed_pieces(docs: DataFrame, vocabulary: str, sequence: int = SEQUENCE, en
         if vocabulary not in _readers:
             _readers[vocabulary] = WordIds(vocabulary)
         text = pc.fill_null(flat(text), "")
-        ids, n, key = [], [], []
-        for a, b in slices(text, 4 << 20, pause=1.0):
-            all_ids, counts = _readers[vocabulary].ids(text[a:b])
-            key.append(place_keys(all_ids, counts))
+        ids, n, key = [], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for a, b in slices(text, pause=1.0):
+            all_ids, counts, moved = _readers[vocabulary].read(text[a:b])
+            key.append(place_keys(moved, counts))
             ends = np.cumsum(counts)
             # Ids fit two bytes in such vocabularies; four where they don't.
             kind = "<u2" if not len(all_ids) or all_ids.max() < 1 << 16 else "<u4"
-            for x, y in zip((ends - counts).tolist(), ends.tolist()):
-                ids.append(kind[-1].encode() + np.append(all_ids[x:y], np.uint32(end_id)).astype(kind).tobytes())
+            all_ids, head, end = memoryview(all_ids.astype(kind)), kind[-1].encode(), np.array([end_id], kind).tobytes()
+            ids += [b"".join((head, all_ids[x:y], end)) for x, y in zip((ends - counts).tolist(), ends.tolist())]
             n.append(counts + 1)
-        whole = lambda x: pa.array(np.concatenate([np.zeros(0, np.int64), *x]))
-        return pa.StructArray.from_arrays([pa.array(ids, pa.binary()), whole(n), whole(key)], names=["ids", "n", "key"])
+        return pa.StructArray.from_arrays(
+            [pa.array(ids, pa.binary()), pa.array(np.concatenate(n)), pa.array(np.concatenate(key))], names=["ids", "n", "key"]
+        )
 
     @F.arrow_udf(T.ArrayType(T.StructType().add("start", "long").add("length", "long").add("ids", "binary").add("crc", "long")))
     def split(ids: pa.Array, begin: pa.Array) -> pa.Array:
-        out = []
-        for packed, at in zip(flat(ids).to_pylist(), begin.to_pylist()):
-            held = np.frombuffer(packed, "<u" + packed[:1].decode(), offset=1).astype("<u4")
-            first = sequence - at % sequence
-            marks = [0, *range(first, len(held), sequence), len(held)]
-            raw = [held[x:y].tobytes() for x, y in zip(marks, marks[1:])]
-            out.append([{"start": x, "length": len(r) // 4, "ids": r if with_ids else None, "crc": zlib.crc32(r)} for x, r in zip(marks, raw)])
-        kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64()), ("ids", pa.binary()), ("crc", pa.int64())]))
-        return pa.array(out, kind)
-
-    bound_batches(docs, BATCH_ROWS)
+        ends, marks, raw, crc = [0], [], [], []
+        for packed, at in zip(flat(ids), begin.to_pylist()):
+            packed = packed.as_buffer()
+            held = np.frombuffer(packed, "<u" + packed[:1].to_pybytes().decode(), offset=1).astype("<u4")
+            edge = [0, *range(sequence - at % sequence, len(held), sequence), len(held)]
+            for x, y in zip(edge, edge[1:]):
+                marks.append((x, y - x))
+                crc.append(zlib.crc32(held[x:y]))
+                raw.append(held[x:y].tobytes() if with_ids else None)
+            ends.append(len(crc))
+        place = np.array(marks, np.int64).reshape(-1, 2)
+        parts = [pa.array(place[:, 0]), pa.array(place[:, 1]), pa.array(raw, pa.binary()), pa.array(crc, pa.int64())]
+        return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.StructArray.from_arrays(parts, names=["start", "length", "ids", "crc"]))
+
+    bound_batches(docs)
     held = written(
         docs.select("doc_id", read(F.coalesce("text", F.lit(""))).alias("r"))
         .select("doc_id", "r.*")

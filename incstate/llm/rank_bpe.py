@@ -76,6 +76,9 @@ class RankMerger:
         vocab = spec["model"]["vocab"]
         names = _byte_symbols()
         self.base = np.array([vocab[names[b]] for b in range(256)], np.int64)
+        #: Symbols of a sequence's last byte; -1 where the vocabulary has none.
+        suffix = spec["model"].get("end_of_word_suffix") or ""
+        self.last = np.array([vocab.get(names[b] + suffix, -1) for b in range(256)], np.int64)
         self.width = max(vocab.values()) + 1
         merges = [m.split(" ") if isinstance(m, str) else m for m in spec["model"]["merges"]]
         pairs = np.array([vocab[a] * self.width + vocab[b] for a, b in merges], np.int64)
@@ -89,7 +92,10 @@ class RankMerger:
     def tokens(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All pieces' token ids, piece after piece, and the number of tokens of each."""
         sizes = np.array([len(p) for p in pieces], np.int64)
-        symbol = self.base[np.frombuffer(b"".join(pieces), np.uint8)]
+        raw = np.frombuffer(b"".join(pieces), np.uint8)
+        symbol = self.base[raw]
+        ends = np.cumsum(sizes)[sizes > 0] - 1
+        symbol[ends] = self.last[raw[ends]]
         owner = np.repeat(np.arange(len(pieces)), sizes)
         place = np.arange(len(symbol))
         done: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
