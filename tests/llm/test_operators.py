@@ -418,3 +418,50 @@ def test_pipeline(spark, data):
     assert set(mixed.doc_id) <= set(cut_.doc_id)
     assert packed.groupby("doc_id").length.sum().sum() == packed.drop_duplicates(["sequence_id", "offset"]).length.sum()
     assert Counter(mixed.doc_id).keys() == set(packed.doc_id)
+
+
+def test_collision_links_tell_vectors_apart_by_themselves(spark):
+    """Two vectors of one id, and two without an id, keep their own links."""
+    draw = np.random.default_rng(11)
+    a, b = draw.standard_normal((2, 16))
+    near = lambda x: [float(v) for v in x + 0.01 * draw.standard_normal(16)]
+    rows = [(5, near(a)), (5, near(b)), (6, near(a)), (7, near(a)), (8, near(b)), (None, near(-a)), (None, near(-a)), (None, near(-b)), (9, near(-b))]
+    out = collision_links.collision_links(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()
+    got = Counter((r.vec_id, r.n_links, r.component_id, r.kept) for r in out)
+    want = Counter({(5, 2, 5, True): 1, (5, 1, 5, True): 1, (6, 2, 5, False): 1, (7, 2, 5, False): 1, (8, 1, 5, False): 1})
+    assert got == want + Counter({(None, 1, None, True): 2, (None, 1, 9, False): 1, (9, 1, 9, True): 1})
+
+
+def test_collision_settings_are_calibrated_at_every_size():
+    for n in (100, 5_000, 51_282, 10**6, 10**8, 10**11):
+        plan = collision_links.calibrate(n, 0.9)
+        both = 1.0 if plan.directions == 1 else collision_links.both_tails(plan.tail, 0.9)
+        odds = collision_links.NormalDist().cdf(collision_links.WINDOW_SIGMAS) * 2 - 1
+        draw = np.random.default_rng(1).binomial(collision_links.PROJECTIONS, odds, 200_000)
+        region = (1 - (1 - both) ** plan.directions) ** plan.families
+        assert plan.count > 10 and region * (draw >= plan.count).mean() >= 0.98 and plan.directions <= collision_links.MOST_DIRECTIONS
+
+
+def test_windows_and_counts_equal_brute_force():
+    draw = np.random.default_rng(12)
+    x = collision_links._unit(draw.standard_normal((300, 8)))
+    w = collision_links.windows(x, 0.4, 3, 12)
+    v = x @ collision_links.directions_of(8, 12, -1 % (1 << 32), 3).astype(float)
+    count = (np.abs(v[:, None] - v[None]) <= 0.4).sum(axis=2)
+    left, right = collision_links.collided(w, slice(0, 300), slice(0, 300), 7)
+    assert set(zip(left.tolist(), right.tolist())) == set(zip(*(i.tolist() for i in np.nonzero(count >= 7))))
+    assert 0 < (count >= 7).mean() < 0.3
+
+
+def test_collision_links_with_many_regions(spark, monkeypatch):
+    """Regions of about 64 rows: recall and counting once hold where most pairs share several regions."""
+    monkeypatch.setattr(collision_links, "REGION_ROWS", 64)
+    draw = np.random.default_rng(13)
+    x = draw.standard_normal((3000, 24))
+    x[2000:] = x[:1000] + 0.3 * draw.standard_normal((1000, 24))
+    df = spark.createDataFrame([(k, [float(v) for v in r]) for k, r in enumerate(x)], "vec_id long, embedding array<double>")
+    out = collision_links.collision_links(df).toPandas().sort_values("vec_id")
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    true = u @ u.T >= 0.9
+    np.fill_diagonal(true, False)
+    assert (out.n_links.to_numpy() <= true.sum(1)).all() and out.n_links.sum() >= 0.97 * true.sum()
