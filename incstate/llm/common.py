@@ -43,7 +43,7 @@ _gave = 0.0
 _HEAD = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 _STIR = np.uint64(0x9FB21C651E98DF25)
 #: Words of this many bytes or more are hashed one by one.
-LONG_WORD = 64
+LONG_WORD = 1024
 
 
 def shared_dir(spark: SparkSession) -> str:

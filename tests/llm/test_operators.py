@@ -465,3 +465,56 @@ def test_collision_links_with_many_regions(spark, monkeypatch):
     true = u @ u.T >= 0.9
     np.fill_diagonal(true, False)
     assert (out.n_links.to_numpy() <= true.sum(1)).all() and out.n_links.sum() >= 0.97 * true.sum()
+
+
+def test_license_of_any_offset_and_edit_is_found():
+    """A copy that holds 80 to 85% of a template's shingles, at every offset from the grid of windows."""
+    draw = np.random.default_rng(14)
+    for n in (30, 120, 400):
+        body = prose(60 + n, n).split()
+        index = license_scan.build_index({"T": " ".join(body), "other": prose(61, 90)})
+        mine = index.shingles[0]
+        step = license_scan.window_of(index.sizes[0])[1]
+        tried = 0
+        for offset in range(2 * step):
+            for _ in range(3):
+                w = list(body)
+                while True:
+                    at = int(draw.integers(n))
+                    was, w[at] = w[at], f"q{draw.integers(1 << 30)}"
+                    share = np.isin(mine, license_scan.word_shingles(pa.array([" ".join(w)]))[1][: n - 4]).mean()
+                    if share < 0.85:
+                        break
+                if share < 0.8:
+                    w[at] = was
+                tried += 1
+                text = f"{prose(62, offset)} {' '.join(w)} {prose(63, int(draw.integers(0, 90)))}"
+                assert "T" in {x[0] for x in license_scan.scan(pa.array([text]), index)[0]}, (n, offset)
+        assert tried == 6 * step
+
+
+def test_license_bands_retrieve_and_containment_decides():
+    """Results equal exact counting over every window; without its bands nothing is found."""
+    draw = np.random.default_rng(15)
+    templates = {"A": prose(70, 40), "B": prose(71, 12), "C": prose(72, 6), "D": prose(73, 200)}
+    index = license_scan.build_index(templates)
+    texts = [None, "", "one two", prose(73, 150)]
+    for k in range(150):
+        w = f"{prose(100 + k, int(draw.integers(0, 40)))} {templates['ABCD'[k % 4]]} {prose(300 + k, int(draw.integers(0, 40)))}".split()
+        for at in draw.choice(len(w), int(len(w) * draw.random() * 0.1), replace=False):
+            w[at] = "edit"
+        texts.append(" ".join(w))
+    got = [{x[0] for x in found} for found in license_scan.scan(pa.array(texts, pa.string()), index)]
+    r, run, _ = license_scan.word_shingles(pa.array(texts, pa.string()))
+    want = []
+    for d in range(r.n):
+        mine = run[r.first[d] : max(r.first[d], r.first[d + 1] - 4)]
+        held = set()
+        for t, name in enumerate(index.names):
+            for a in range(len(mine)):
+                if len(np.intersect1d(mine[a : a + index.sizes[t]], index.shingles[t])) >= 0.8 * len(index.shingles[t]) - 1e-9:
+                    held.add(name)
+        want.append(held)
+    assert got == want and sum(map(len, want)) > 60
+    blind = index._replace(keys=index.keys + np.uint32(1))
+    assert not any(license_scan.scan(pa.array(texts, pa.string()), blind))
