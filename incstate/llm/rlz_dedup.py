@@ -4,11 +4,13 @@ Documents are parsed into factors copied from elsewhere in the corpus.  Only fac
 ``WINDOW`` words can become duplicate spans, so only those are sought: the reference is indexed by
 anchors, the winnowing minima of ``SEED``-word hashes, of which every ``WINDOW``-word passage holds at
 least one, and the same one wherever the passage occurs.  An anchor that occurs once can start no factor;
-the others deal the passages around them to reference blocks.  In its block every position of a document
-is looked up; the parse takes the first other occurrence as source and extends the factor while the
-source advances word by word.  Factors end at block and source borders, and the positions that straddle a
-border have anchors of their own, so the spans are exactly the words of passages that start twice.  What
-a document copies from itself it settles alone, and the blocks get each passage of a document once.
+the others deal the passages around them to reference blocks.  A block's passages are sorted as suffixes,
+so that the longest match of every place stands next to it; the parse goes greedily from the left, takes
+the longest match as a factor and goes on at the first passage that reaches over the factor's end, so
+boundaries are checked passage by passage.  Factors also end where the text around an anchor does; the
+passages that reach over that border have anchors of their own, and :func:`stitched` joins factors that go
+on in their source there.  So the spans are exactly the words of passages that start twice.  What a
+document copies from itself it settles alone, and the blocks get each passage of a document once.
 
 Documents of equal words are parsed once; such a class repeats itself and is one factor.  An anchor with
 more than ``HOT_ROWS`` occurrences isn't gathered in a block: they are dealt by document to blocks of
@@ -21,7 +23,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -35,6 +37,8 @@ BLOCK_POSITIONS = 400_000
 _ROLL = 0xD1342543DE82EF95 | 1
 _UNROLL = pow(_ROLL, -1, 1 << 64)
 _PLACE = 26
+#: Words whose anchors are sought at a time.
+PIECE = 1 << 25
 
 
 class Parsed:
@@ -74,14 +78,16 @@ class Parsed:
         return mix64(run[self.words.first[1:]] - run[self.words.first[:-1]] + self.words.counts.astype(np.uint64)).view(np.int64)
 
     @staticmethod
-    def _minima(values: np.ndarray, span: int) -> np.ndarray:
+    def _minima(values: np.ndarray, span: int, piece: int | None = None) -> np.ndarray:
         """For each position the place of the least of the next ``span`` values, the first of equals."""
+        piece = piece or PIECE
+        if len(values) > piece:
+            parts = range(0, len(values), piece)
+            return np.concatenate([x + Parsed._minima(values[x : x + piece + span - 1], span, 2 * piece)[:piece] for x in parts])
         n = len(values)
         if not n:
             return np.zeros(0, np.int64)
         most = np.uint64((1 << _PLACE) - 1)
-        if n > int(most):
-            raise ValueError("one text has more than 2**26 words")
         key = np.full(-(-(n + span) // span) * span, np.iinfo(np.uint64).max, np.uint64)
         key[:n] = (values & ~most) | np.arange(n, dtype=np.uint64)
         grid = key.reshape(-1, span)
@@ -222,47 +228,74 @@ def _occurrences(table: pa.Table) -> tuple[np.ndarray, ...]:
     return row, lists.flatten().to_numpy()[use], seq[row], start[row] + offset
 
 
-def _sources(value: np.ndarray, who: np.ndarray, where: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Whether each occurrence has another one, the place of its source, and whether it's its passage's first."""
-    order = np.lexsort((where, who, value))
+def _sources(value: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Whether each occurrence of a passage has another one, and whether it's the passage's first."""
+    order = np.argsort(value, kind="stable")
     v = value[order]
     new = np.concatenate(([True], np.diff(v) != 0)) if len(v) else np.zeros(0, bool)
-    head = np.flatnonzero(new)
-    count = np.diff(np.append(head, len(v)))
-    group = np.cumsum(new) - 1
-    first = head[group]
-    # The source is the first occurrence, and for that one the second.
-    pick = np.where(new, np.minimum(first + 1, len(v) - 1), first)
-    dup, source, lead = np.zeros(len(v), bool), np.zeros(len(v), np.int64), np.zeros(len(v), bool)
-    dup[order], source[order], lead[order] = count[group] > 1, order[pick], new
-    return dup, source, lead
+    count = np.diff(np.append(np.flatnonzero(new), len(v)))
+    dup, lead = np.zeros(len(v), bool), np.zeros(len(v), bool)
+    dup[order], lead[order] = np.repeat(count, count) > 1, new
+    return dup, lead
+
+
+def longest_matches(value: np.ndarray, left: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of each place the length of its longest match elsewhere, in passages, and the place that it matches.
+
+    ``left`` counts the places from each one to the end of its text, itself included.  Texts are sorted as
+    suffixes by doubling; a longest match is the common prefix with a neighbour in that order.
+    """
+    n = len(value)
+    place, rank = np.arange(n), np.unique(value, return_inverse=True)[1].astype(np.int64)
+    ranks, p = [rank], 1
+    while p < left.max(initial=0):
+        more = left > p
+        after = np.zeros(n, np.int64)
+        after[more] = rank[place[more] + p] + 1
+        rank = np.unique(rank * (n + 1) + after, return_inverse=True)[1].astype(np.int64)
+        ranks.append(rank)
+        p *= 2
+    order = np.argsort(rank, kind="stable")
+    a, b = order[:-1], order[1:]
+    room, common = np.minimum(left[a], left[b]), np.zeros(max(n - 1, 0), np.int64)
+    for j in range(len(ranks) - 1, -1, -1):
+        fits = np.flatnonzero(common + (1 << j) <= room)
+        same = fits[ranks[j][a[fits] + common[fits]] == ranks[j][b[fits] + common[fits]]]
+        common[same] += 1 << j
+    before, behind = np.concatenate(([0], common)), np.concatenate((common, [0]))
+    length, source = np.zeros(n, np.int64), np.zeros(n, np.int64)
+    length[order] = np.maximum(before, behind)[:n]
+    source[order] = np.where(before >= behind, np.concatenate((order[:1], a)), np.concatenate((b, order[-1:])))[:n]
+    return length, source
 
 
 def _parse(table: pa.Table) -> pa.Table:
     """Factors of the passages of one reference block."""
     row, value, who, where = _occurrences(table)
-    dup, source, _ = _sources(value, who, where)
-    return _factors(row, who, where, dup, source)
+    return _factors(row, value, who, where, _sources(value)[0])
 
 
-def _factors(row: np.ndarray, who: np.ndarray, where: np.ndarray, dup: np.ndarray, source: np.ndarray) -> pa.Table:
-    """Runs of repeated passages whose source advances with them, as one factor each."""
-    from_seq, from_start = who[source], where[source]
+def _factors(row: np.ndarray, value: np.ndarray, who: np.ndarray, where: np.ndarray, dup: np.ndarray) -> pa.Table:
+    """The greedy parse of repeated passages: the longest match from the left, then the next passage over its end."""
     keep = np.flatnonzero(dup)
-    follows = np.zeros(len(keep), bool)
-    if len(keep):
-        i, j = keep[1:], keep[:-1]
-        follows[1:] = (i == j + 1) & (row[i] == row[j]) & (from_seq[i] == from_seq[j]) & (from_start[i] == from_start[j] + 1)
-    begin = np.flatnonzero(~follows)
-    length = np.diff(np.append(begin, len(keep))) + WINDOW - 1
-    at = keep[begin]
+    head = np.flatnonzero(np.concatenate(([True], (np.diff(keep) != 1) | (np.diff(row[keep]) != 0)))) if len(keep) else keep
+    size = np.diff(np.append(head, len(keep)))
+    end = np.repeat(head + size, size)
+    length, source = longest_matches(value[keep], end - np.arange(len(keep)))
+    at, found = head, []
+    while len(at):
+        found.append(at)
+        ahead = at + length[at]
+        at = ahead[ahead < end[at]]
+    at = np.sort(np.concatenate(found)) if found else keep
+    copy = keep[source[at]]
     return pa.table(
         {
-            "seq": pa.array(who[at], pa.int64()),
-            "start": pa.array(where[at], pa.int32()),
-            "length": pa.array(length, pa.int32()),
-            "source_seq": pa.array(from_seq[at], pa.int64()),
-            "source_start": pa.array(from_start[at], pa.int32()),
+            "seq": pa.array(who[keep[at]], pa.int64()),
+            "start": pa.array(where[keep[at]], pa.int32()),
+            "length": pa.array(length[at] + WINDOW - 1, pa.int32()),
+            "source_seq": pa.array(who[copy], pa.int64()),
+            "source_start": pa.array(where[copy], pa.int32()),
         }
     )
 
@@ -273,8 +306,8 @@ _CROWD = _FACTOR + ", anchor long, sub int, values array<long>, seqs array<long>
 def _crowd_parse(table: pa.Table) -> pa.Table:
     """A first block of a crowded anchor: its factors, and one occurrence of each passage, dealt by passage."""
     row, value, who, where = _occurrences(table)
-    dup, source, lead = _sources(value, who, where)
-    made = _factors(row, who, where, dup, source)
+    dup, lead = _sources(value)
+    made = _factors(row, value, who, where, dup)
     subs = int(table.column("subs")[0].as_py())
     sub = (value[lead].view(np.uint64) % np.uint64(subs)).astype(np.int64)
     order = np.argsort(sub, kind="stable")
@@ -294,34 +327,60 @@ def _crowd_parse(table: pa.Table) -> pa.Table:
 def _meet(table: pa.Table) -> pa.Table:
     """Passages that repeat only across first blocks."""
     value, who, where, sure = (flat(table.column(c)).flatten().to_numpy(zero_copy_only=False) for c in ("values", "seqs", "starts", "sure"))
-    dup, source, _ = _sources(value, who, where)
-    open_ = dup & ~sure.astype(bool)
-    return _factors(np.arange(len(value)), who, where, open_, source)
+    length, source = longest_matches(value, np.ones(len(value), np.int64))
+    at = np.flatnonzero((length > 0) & ~sure.astype(bool))
+    return pa.table(
+        {
+            "seq": pa.array(who[at], pa.int64()),
+            "start": pa.array(where[at], pa.int32()),
+            "length": pa.array(np.full(len(at), WINDOW), pa.int32()),
+            "source_seq": pa.array(who[source[at]], pa.int64()),
+            "source_start": pa.array(where[source[at]], pa.int32()),
+        }
+    )
 
 
-def factors(docs: DataFrame, hot_rows: int = HOT_ROWS) -> tuple[DataFrame, DataFrame]:
-    """The parse of ``docs(doc_id, text)``.
+def _rows(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """``(profile, classes)``: one row per (id, text) with its anchors, and the classes of equal word sequences.
 
-    Returns ``(rows, found)``: ``rows(doc_id, n, seq, copies)`` has one row for each distinct (doc_id, word
-    sequence), ``copies`` counting the input rows of that sequence; ``found(seq, start, length, source_seq,
-    source_start)`` the factors of ``WINDOW`` words or more of sequences, in words from 0.
+    A row is known by its id and a hash of its text, so null and repeated ids stay apart.  A class has one
+    such row as ``rep`` (one that isn't repeated, where there is any) and the number of its ``copies``.
     """
+    text = F.coalesce("text", F.lit(""))
+    profile = written(docs.select("doc_id", F.xxhash64(text).alias("mark"), _profile(text).alias("p")).select("doc_id", "mark", "p.*"))
+    rows = profile.groupBy("seq", "doc_id", "mark").agg(F.count("*").alias("times"), F.max("n").alias("n"))
+    classes = cut(
+        rows.groupBy("seq").agg(F.sum("times").alias("copies"), F.min(F.struct("times", "doc_id", "mark")).alias("rep"), F.max("n").alias("n"))
+    )
+    return profile, classes
+
+
+def _by_row(rows: DataFrame, per: DataFrame) -> DataFrame:
+    """``rows`` with (doc_id, mark) joined to ``per`` with (_id, _mark)."""
+    return rows.join(per, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("mark") == F.col("_mark"))).drop("_id", "_mark")
+
+
+def _found(docs: DataFrame, hot_rows: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """``(profile, classes, found)``: see :func:`_rows`; ``found`` are the factors of classes."""
     bound_batches(docs)
     base = docs.select("doc_id", "text")
-    profile = written(base.select("doc_id", _profile(F.coalesce("text", F.lit(""))).alias("p")).select("doc_id", "p.*"))
-    classes = cut(profile.groupBy("seq").agg(F.count("*").alias("copies"), F.min("doc_id").alias("rep"), F.max("n").alias("n")))
+    profile, classes = _rows(base)
     long_ones = classes.where(F.col("n") >= WINDOW)
-    spots = (
-        profile.join(long_ones.select("seq", "rep"), "seq")
-        .where(F.col("doc_id").eqNullSafe(F.col("rep")))
-        .select("seq", F.col("doc_id").alias("_rep"), F.explode(F.arrays_zip("at", "anchor")).alias("x"))
-        .select("seq", "_rep", "x.at", "x.anchor")
-    )
-    known = spots.groupBy("anchor").agg(F.count("*").alias("rows"), F.sum(F.size("at")).alias("places")).where("places > 1").drop("places")
-    shared = spots.join(known, "anchor").groupBy("seq", "_rep").agg(F.collect_list(F.struct("at", "rows")).alias("spots"))
+    reps = long_ones.select("seq", F.col("rep.doc_id").alias("_id"), F.col("rep.mark").alias("_mark"))
+    again = not long_ones.where("rep.times > 1").isEmpty()
+
+    def once(rows: DataFrame) -> DataFrame:
+        """One row of each class, where rows of one id and text are its only ones."""
+        return rows.dropDuplicates(["seq"]) if again else rows
+
+    spots = once(_by_row(profile.drop("seq"), reps)).select("seq", F.explode(F.arrays_zip("at", "anchor")).alias("x")).select("seq", "x.at", "x.anchor")
+    # Cut off, so that a join with a frequent anchor can be split.
+    known = cut(spots.groupBy("anchor").agg(F.count("*").alias("rows"), F.sum(F.size("at")).alias("places")).where("places > 1").drop("places"))
+    shared = spots.join(known, "anchor").groupBy("seq").agg(F.collect_list(F.struct("at", "rows")).alias("spots"))
+    text = F.coalesce("text", F.lit(""))
     passages = written(
-        base.join(shared, F.col("doc_id").eqNullSafe(F.col("_rep")))
-        .select("seq", F.coalesce("text", F.lit("")).alias("text"), "spots")
+        once(_by_row(base.select("doc_id", F.xxhash64(text).alias("mark"), text.alias("text")), shared.join(reps, "seq")))
+        .select("seq", "text", "spots")
         .mapInArrow(_passages, _PASSAGE)
     )
     own = passages.where("length is not null").select("seq", "start", "length", F.col("seq").alias("source_seq"), "source_start")
@@ -342,14 +401,39 @@ def factors(docs: DataFrame, hot_rows: int = HOT_ROWS) -> tuple[DataFrame, DataF
     names = [c.split(" ")[0] for c in _FACTOR.split(", ")]
     across = first.where("sub is not null").groupBy("anchor", "sub").applyInArrow(_meet, _FACTOR)
     found = own.unionByName(parsed).unionByName(first.where("sub is null").select(*names)).unionByName(across)
-    rows = profile.select("doc_id", "n", "seq").distinct().join(classes.select("seq", "copies"), "seq")
-    return rows, found
+    return profile, classes, found
 
 
-@F.arrow_udf(T.StructType().add("same", "boolean").add("n_words", "long").add("n_removed", "long").add("kept", "string"))
+def stitched(found: DataFrame) -> DataFrame:
+    """Factors that go on in their source without a gap, as one factor each."""
+    shift = F.col("source_start") - F.col("start")
+    line = Window.partitionBy("seq", "source_seq", "shift").orderBy("start", "length")
+    end = F.max(F.col("start") + F.col("length")).over(line.rowsBetween(Window.unboundedPreceding, -1))
+    # A factor's last passage starts WINDOW words before its end, and the next one at most one word on.
+    begins = (end.isNull() | (F.col("start") > end - WINDOW + 1)).cast("int")
+    return (
+        found.withColumn("shift", shift).withColumn("begins", begins).withColumn("nth", F.sum("begins").over(line.rowsBetween(Window.unboundedPreceding, 0)))
+        .groupBy("seq", "source_seq", "shift", "nth")
+        .agg(F.min("start").alias("start"), (F.max(F.col("start") + F.col("length")) - F.min("start")).alias("length"))
+        .select("seq", "start", "length", "source_seq", (F.col("start") + F.col("shift")).alias("source_start"))
+    )
+
+
+def factors(docs: DataFrame, hot_rows: int = HOT_ROWS) -> tuple[DataFrame, DataFrame]:
+    """The parse of ``docs(doc_id, text)``.
+
+    Returns ``(rows, found)``: ``rows(doc_id, n, seq, copies)`` has one row for each distinct (doc_id, word
+    sequence), ``copies`` counting the input rows of that sequence; ``found(seq, start, length, source_seq,
+    source_start)`` the factors of ``WINDOW`` words or more of sequences, in words from 0.
+    """
+    profile, classes, found = _found(docs, hot_rows)
+    return profile.select("doc_id", "n", "seq").distinct().join(classes.select("seq", "copies"), "seq"), stitched(found)
+
+
+@F.arrow_udf(T.StructType().add("n_words", "long").add("n_removed", "long").add("kept", "string"))
 def _cut_out(text: pa.Array, seq: pa.Array, whole: pa.Array, spans: pa.Array) -> pa.Array:
     text, seq, whole, spans = (flat(x) for x in (text, seq, whole, spans))
-    same, n_words, n_removed, kept = [], [], [], []
+    n_words, n_removed, kept = [], [], []
     for a, b in slices(text):
         p = Parsed(text[a:b])
         w = p.words
@@ -364,7 +448,6 @@ def _cut_out(text: pa.Array, seq: pa.Array, whole: pa.Array, spans: pa.Array) ->
         np.add.at(gone, (begin + held.field("length").to_numpy())[ok], -1)
         lost = np.cumsum(gone[:-1]) > 0
         lost |= (whole[a:b].to_numpy(zero_copy_only=False) & (w.counts >= WINDOW))[w.doc]
-        same += match.tolist()
         n_words += w.counts.tolist()
         n_removed += np.bincount(w.doc[lost], minlength=b - a).tolist()
         raw = w.bytes.tobytes()
@@ -373,8 +456,8 @@ def _cut_out(text: pa.Array, seq: pa.Array, whole: pa.Array, spans: pa.Array) ->
             s = np.s_[w.first[i] : w.first[i + 1]]
             kept.append(b" ".join([raw[x:y] for x, y in zip(w.starts[s][left[s]].tolist(), w.ends[s][left[s]].tolist())]).decode())
     return pa.StructArray.from_arrays(
-        [pa.array(same, pa.bool_()), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(kept, pa.string())],
-        names=["same", "n_words", "n_removed", "kept"],
+        [pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(kept, pa.string())],
+        names=["n_words", "n_removed", "kept"],
     )
 
 
@@ -383,23 +466,24 @@ def without_repeats(docs: DataFrame, hot_rows: int = HOT_ROWS) -> DataFrame:
 
     A word goes if some ``WINDOW``-word passage over it also starts at another place of any document, the
     same one included; passages are judged on the input.  Null texts count as empty; texts of fewer than
-    ``WINDOW`` words lose nothing; repeated rows repeat each other, so long ones lose every word.  An empty
-    table gives no rows.
+    ``WINDOW`` words lose nothing; repeated rows repeat each other, so long ones lose every word.  Null and
+    repeated ids are rows of their own.  A text of any length is worked on as a whole, about 150 bytes of
+    memory a word.  An empty table gives no rows.
     """
-    rows, found = factors(docs, hot_rows)
+    profile, classes, found = _found(docs, hot_rows)
     spans = found.groupBy("seq").agg(F.collect_list(F.struct("start", "length")).alias("spans"))
     none = F.array().cast("array<struct<start:int,length:int>>")
-    per = rows.join(spans, "seq", "left").select(
-        F.col("doc_id").alias("id"), "seq", (F.col("copies") > 1).alias("whole"), F.coalesce("spans", none).alias("spans")
-    )
-    whole_rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
-    out = _cut_out(F.coalesce("row.text", F.lit("")), "seq", "whole", "spans")
-    return (
-        whole_rows.join(per, F.col("row.doc_id").eqNullSafe(F.col("id")))
-        .select("row", out.alias("out"))
-        .where("out.same")
-        .select("row", "out.n_words", "out.n_removed", "out.kept")
+    # Repeated classes lose all their words and need no spans; the others are one row each.
+    single = classes.where("copies = 1").join(spans, "seq").select("seq", F.col("rep.doc_id").alias("_id"), F.col("rep.mark").alias("_mark"), "spans")
+    many = classes.where(f"copies > 1 and n >= {WINDOW}").select("seq")
+    lost = profile.join(many, "seq").select("seq", F.col("doc_id").alias("_id"), F.col("mark").alias("_mark")).distinct()
+    per = single.withColumn("whole", F.lit(False)).unionByName(lost.withColumn("whole", F.lit(True)).withColumn("spans", none))
+    whole_rows = docs.select(
+        F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("mark")
     )
+    met = whole_rows.join(per, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("mark") == F.col("_mark")), "left")
+    out = _cut_out(F.coalesce("row.text", F.lit("")), F.coalesce("seq", F.lit(0)), F.coalesce("whole", F.lit(False)), F.coalesce("spans", none))
+    return met.select("row", out.alias("out")).select("row", "out.n_words", "out.n_removed", "out.kept")
 
 
 def digest(docs: DataFrame, hot_rows: int = HOT_ROWS) -> DataFrame:

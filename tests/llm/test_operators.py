@@ -518,3 +518,45 @@ def test_license_bands_retrieve_and_containment_decides():
     assert got == want and sum(map(len, want)) > 60
     blind = index._replace(keys=index.keys + np.uint32(1))
     assert not any(license_scan.scan(pa.array(texts, pa.string()), blind))
+
+
+def test_longest_matches_equal_brute_force():
+    draw = np.random.default_rng(16)
+    size = draw.integers(1, 30, 40)
+    value = draw.integers(0, 4, size.sum())
+    end = np.repeat(np.cumsum(size), size)
+    length, source = rlz_dedup.longest_matches(value, end - np.arange(len(value)))
+    for i in range(len(value)):
+        best = 0
+        for j in range(len(value)):
+            k = 0
+            while j != i and i + k < end[i] and j + k < end[j] and value[i + k] == value[j + k]:
+                k += 1
+            best = max(best, k)
+        assert length[i] == best and (not best or (value[i : i + best] == value[source[i] : source[i] + best]).all())
+
+
+def test_greedy_factors_reach_over_anchors(spark):
+    """A long copy is one factor from end to end, whatever blocks its anchors lie in."""
+    body = prose(80, 900).split()
+    rows = [(1, " ".join(prose(81, 40).split() + body)), (2, " ".join(body[100:800])), (3, " ".join(body[100:140] + prose(82, 50).split()))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    known, found = rlz_dedup.factors(df)
+    by = {r.seq: r.doc_id for r in known.collect()}
+    got = {(by[f.seq], f.start, f.length, by[f.source_seq], f.source_start) for f in found.collect()}
+    assert (2, 0, 700, 1, 140) in got or ((2, 40 - 34, 700 - 6, 1, 146) in got)
+    assert max(f[2] for f in got if f[0] == 1) >= 690 and {f[:3] for f in got if f[0] == 3} == {(3, 0, 40)}
+
+
+def test_rows_without_ids_are_not_multiplied(spark):
+    """Null and repeated ids: as many rows out as in, each with its own text, however often a row is repeated."""
+    body = prose(90, 60)
+    rows = [(None, prose(100 + k, 40) + " " + (body if k % 2 else prose(200 + k, 45))) for k in range(30)] + [(None, body)] * 4 + [(3, prose(91, 50))] * 3 + [(3, body + " x"), (3, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    out = rlz_dedup.digest(df).toPandas().astype(object)
+    assert Counter((None if r[0] != r[0] else int(r[0]), int(r[1]), int(r[2]), r[3]) for r in out.itertuples(index=False)) == repeats(rows)
+
+
+def test_anchors_of_a_text_longer_than_a_piece():
+    value = np.random.default_rng(17).integers(0, 1 << 63, 5000).astype(np.uint64) << np.uint64(1)
+    assert (rlz_dedup.Parsed._minima(value, 28) == rlz_dedup.Parsed._minima(value, 28, 700)).all()
