@@ -266,13 +266,14 @@ def _confirm(percent: int):
 def forest_links(docs: DataFrame, percent: int = 80, crowd: int = CROWD, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
     """The classes of ``docs(doc_id, text)`` and their components.
 
-    Returns ``(rows, labels)``: ``rows(doc_id, n, node)`` for every input row (``node`` names the set) and
-    ``labels(id, component)`` for every class that is linked with another.
+    Returns ``(rows, labels)``: ``rows(doc_id, mark, n, node)`` for every input row (``mark`` is a hash of the
+    text, ``node`` names the set) and ``labels(id, component)`` for every class that is linked with another.
     """
     bound_batches(docs)
-    base = docs.select("doc_id", "text")
-    profile = written(base.select("doc_id", _profile(F.coalesce("text", F.lit(""))).alias("p")).select("doc_id", "p.*"))
-    rows = profile.select("doc_id", "n", "node")
+    text = F.coalesce("text", F.lit(""))
+    base = docs.select("doc_id", F.xxhash64(text).alias("mark"), text.alias("text"))
+    profile = written(base.select("doc_id", "mark", _profile("text").alias("p")).select("doc_id", "mark", "p.*"))
+    rows = profile.select("doc_id", "mark", "n", "node")
     classes = profile.where("n > 0").groupBy("node").agg(F.first("sig").alias("sig"))
     keys = [F.struct(F.lit(t).alias("tree"), F.substring("sig", 4 * DEPTH * t + 1, 4 * DEPTH).alias("key")) for t in range(TREES)]
     trees = classes.select("node", F.explode(F.array(*keys)).alias("x")).select("x.tree", "x.key", "node")
@@ -280,9 +281,12 @@ def forest_links(docs: DataFrame, percent: int = 80, crowd: int = CROWD, block:
     sizes = clusters.groupBy("cluster").agg(F.ceil(F.count("*") / F.lit(block)).cast("int").alias("blocks"))
     member = clusters.join(sizes, "cluster").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     member = cut(member)
-    # One row for each member: a repeated id with another text falls out by its own class.
-    first = rows.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("rep")).join(member, "node").select("rep").distinct()
-    texts = base.join(first, F.col("doc_id").eqNullSafe(F.col("rep"))).select(F.coalesce("text", F.lit("")).alias("text"))
+    # One row's text for each member: null and repeated ids are told apart by their texts' hashes.
+    first = (
+        rows.where("n > 0").groupBy("node").agg(F.min(F.struct("doc_id", "mark")).alias("rep")).join(member, "node")
+        .select(F.col("rep.doc_id").alias("_id"), F.col("rep.mark").alias("_mark"))
+    )
+    texts = base.join(first, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("mark") == F.col("_mark"))).select("text")
     sets = texts.select(_keyed_set("text").alias("s")).select("s.node", "s.set").join(member, "node").dropDuplicates(["node"])
     dealt = (
         sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -294,22 +298,29 @@ def forest_links(docs: DataFrame, percent: int = 80, crowd: int = CROWD, block:
     return rows, connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v")))
 
 
+def _named(classes: DataFrame, labels: DataFrame) -> DataFrame:
+    """``classes(node, low)`` to ``(node, low)`` with the lowest ``low`` of each class's component.
+
+    What is joined is cut off first, so that the planner can split a join with the classes of a large component.
+    """
+    labelled = cut(classes.join(labels, F.col("node") == F.col("id"), "left").select("node", "low", F.coalesce("component", "node").alias("label")))
+    lowest = cut(labelled.groupBy("label").agg(F.min("low").alias("low")))
+    return cut(labelled.select("node", "label").join(lowest, "label").select("node", "low"))
+
+
 def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
     """``docs(doc_id, text)`` to ``doc_id, n_shingles, component_id, kept``, one row per input row.
 
     ``component_id`` is the smallest doc_id reachable by links of Jaccard similarity ``percent``/100 or
     more, ``kept`` whether that is the row's own.  A document of fewer than four words has its whole
     sequence as its one shingle; null, empty and blank texts have none and link with nothing.  Repeated
-    rows are linked with each other (a null id stays null and is kept).  An empty table gives no rows;
-    other columns are ignored.
+    rows are linked with each other (a null id stays null and is kept).  A text of any length is one set,
+    held whole by one task.  An empty table gives no rows; other columns are ignored.
     """
     rows, labels = forest_links(docs, percent)
-    labelled = cut(
-        rows.where("n > 0").join(labels, F.col("node") == F.col("id"), "left")
-        .select("doc_id", "n", F.coalesce("component", "node").alias("label"))
-    )
-    lowest = labelled.groupBy("label").agg(F.min("doc_id").alias("component_id"))
-    linked = labelled.join(lowest, "label").select("doc_id", "n", "component_id")
+    some = rows.where("n > 0")
+    names = _named(some.groupBy("node").agg(F.min("doc_id").alias("low")), labels)
+    linked = some.join(names, "node").select("doc_id", "n", F.col("low").alias("component_id"))
     alone = rows.where("n = 0").select("doc_id", "n", F.col("doc_id").alias("component_id"))
     return linked.unionByName(alone).select(
         "doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept")
@@ -317,7 +328,18 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, percent: int = 80) -> DataFrame:
-    """The rows of ``docs`` whose id is the smallest of their component, with their columns unchanged."""
-    kept = near_duplicates(docs, percent).where("kept").select(F.col("doc_id").alias("id")).distinct()
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
-    return rows.join(kept, F.col("row.doc_id").eqNullSafe(F.col("id"))).select("row.*")
+    """One row of ``docs`` for each component, that of the smallest id, with its columns unchanged.
+
+    Null ids come last, and of rows of one id that of the smallest text hash stays, of equal rows any one.
+    Documents without words are linked with nothing and all stay.
+    """
+    rows, labels = forest_links(docs, percent)
+    some = rows.where("n > 0").groupBy("node", "doc_id", "mark").agg(F.count("*").alias("times"))
+    low = F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "mark", "times")).alias("low")
+    one = _named(some.groupBy("node").agg(low), labels).select("low").distinct().select("low.doc_id", "low.mark", "low.times")
+    kept = cut(one.unionByName(rows.where("n = 0").select("doc_id", "mark", F.lit(1).cast("long").alias("times")).distinct()))
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("_mark"))
+    met = whole.join(kept, F.col("row.doc_id").eqNullSafe(F.col("doc_id")) & (F.col("_mark") == F.col("mark")))
+    if not kept.where("times > 1").isEmpty():
+        met = met.where("times = 1").unionByName(met.where("times > 1").dropDuplicates(["doc_id", "mark"]))
+    return met.select("row.*")

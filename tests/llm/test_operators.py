@@ -560,3 +560,26 @@ def test_rows_without_ids_are_not_multiplied(spark):
 def test_anchors_of_a_text_longer_than_a_piece():
     value = np.random.default_rng(17).integers(0, 1 << 63, 5000).astype(np.uint64) << np.uint64(1)
     assert (rlz_dedup.Parsed._minima(value, 28) == rlz_dedup.Parsed._minima(value, 28, 700)).all()
+
+
+def test_one_row_of_each_component_stays(spark):
+    """Ids that repeat, or lack, don't bring back a row whose component has a smaller one."""
+    a, b, c = prose(300, 30), prose(301, 30), prose(302, 30)
+    rows = [(5, b, 1), (9, a, 2), (9, b, 3), (None, a, 4), (None, c, 5), (None, c, 5), (7, c + " x", 6), (8, None, 7), (8, "", 8), (None, " ", 9), (11, prose(303, 9), 10), (11, prose(303, 9), 10)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, node long")
+    out = [(r.doc_id, r.node) for r in lsh_forest.keep_one(df).collect()]
+    assert sorted(out, key=str) == sorted([(5, 1), (9, 2), (7, 6), (8, 7), (8, 8), (None, 9), (11, 10)], key=str)
+    only = spark.createDataFrame([(None, c)] * 3 + [(None, c + " y")], "doc_id long, text string")
+    assert lsh_forest.keep_one(only).count() == 1
+
+
+def test_pipeline_stages_on_odd_rows(odd, odd_rows, none, spark, tmp_path):
+    """Every stage on nulls, repeated rows and clashing names, and on an empty table."""
+    import corpus_pipeline as p
+
+    spark.createDataFrame([(7, 1, 0), (8, 1, 0), (13, 0, 0), (None, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    for name, stage in p.STAGES:
+        out = stage(spark, odd.withColumn("n_chars", F.length("text").cast("long")), str(tmp_path))
+        assert out.count() <= 3 * len(odd_rows) + 8, name
+        empty = stage(spark, none.withColumn("n_chars", F.lit(0).cast("long")), str(tmp_path))
+        assert empty.count() == 0 and empty.columns == out.columns, name
