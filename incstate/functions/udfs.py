@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -60,9 +61,16 @@ def hadamard_blocks(block: pa.Array) -> pa.Array:
     return pa.ListArray.from_arrays(ends, pa.array(y.ravel()))
 
 
+@F.pandas_udf("double")
+def overlap(ar: pd.Series, ai: pd.Series, br: pd.Series, bi: pd.Series) -> float:
+    """Aggregate: the squared overlap of two states given as rows of amplitudes."""
+    return float(abs(np.vdot(ar.to_numpy() + 1j * ai.to_numpy(), br.to_numpy() + 1j * bi.to_numpy())) ** 2)
+
+
 def register_all(spark: SparkSession) -> None:
-    """Make ``gate_terms``, ``partition_ranges``, ``parse_gates`` and ``hadamard_blocks`` usable in SQL."""
+    """Make ``gate_terms``, ``partition_ranges``, ``parse_gates``, ``hadamard_blocks`` and ``overlap`` usable in SQL."""
     spark.udtf.register("gate_terms", GateTerms)
     spark.udtf.register("partition_ranges", PartitionRanges)
     spark.udtf.register("parse_gates", ParseGates)
     spark.udf.register("hadamard_blocks", hadamard_blocks)
+    spark.udf.register("overlap", overlap)

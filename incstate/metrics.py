@@ -22,6 +22,40 @@ def time_runs(run: Callable[[], object], repeats: int = 10) -> dict[str, float]:
     return {"mean": mean(took), "median": median(took), "runs": repeats}
 
 
+def time_inc(steps: Callable[[], list[Callable[[], object]]], repeats: int = 1) -> dict[str, float | list[float]]:
+    """Seconds of an incremental run, one update after another: the sum over ``steps`` (made anew for each repeat) and each step's mean."""
+    took = []
+    for _ in range(repeats):
+        one = []
+        for step in steps():
+            began = time.perf_counter()
+            step()
+            one.append(time.perf_counter() - began)
+        took.append(one)
+    per_step = [mean(x) for x in zip(*took)]
+    return {"total": sum(per_step), "per_step": per_step, "runs": repeats}
+
+
+def saturation(seconds: dict[int, float], gain: float = 0.05) -> int:
+    """The number of cores from which the next larger one saves less than ``gain`` of the time."""
+    cores = sorted(seconds)
+    for a, b in zip(cores, cores[1:]):
+        if seconds[a] - seconds[b] < gain * seconds[a]:
+            return a
+    return cores[-1]
+
+
+def write_measures(rows: DataFrame, folder: str) -> None:
+    """Add measure rows (with a column ``run``) to a table that is partitioned by run."""
+    rows.write.mode("append").partitionBy("run").parquet(folder)
+
+
+def wave_width(waves: DataFrame) -> DataFrame:
+    """``circuit_id, widest, mean_width``: how many nodes of a graph can run together."""
+    per = waves.groupBy("circuit_id", "wave").agg(F.count("*").alias("nodes"))
+    return per.groupBy("circuit_id").agg(F.max("nodes").alias("widest"), F.avg("nodes").alias("mean_width"))
+
+
 def speedup(base: list[float], ours: list[float]) -> dict[str, float]:
     """The ratio of totals (the headline form), and the arithmetic and geometric means of ratios."""
     ratios = [a / b for a, b in zip(base, ours, strict=True)]

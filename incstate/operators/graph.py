@@ -8,12 +8,15 @@ synchronisation node (part ``SYNC``) on which its one-block partitions depend.
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from incstate.operators.partition import expand, gate_patterns
+from incstate.plans.store import shared_folder
 from incstate.schema import SYNC
 
 
@@ -88,37 +91,75 @@ def link_by_intersection(parts: DataFrame) -> DataFrame:
 def relink(parts: DataFrame, edges: DataFrame, blocks: DataFrame) -> DataFrame:
     """Edges after an edit that touched ``blocks(circuit_id, block_id)``.
 
-    Only partitions over touched blocks are linked anew; edges of which neither end lies over one stay.
+    Slots keep their numbers.  Partitions over a touched block are linked anew (a superposition slot as a
+    whole, since all its partitions read through one node), and only the blocks that these cover take part
+    in the window; the other edges stay where their target does.
     """
-    over = written_blocks(parts).join(blocks.distinct(), ["circuit_id", "block_id"], "left_semi").select("circuit_id", "slot_no", "part_no").distinct()
-    fresh = link_partitions(parts)
-    sync = F.when(F.col("dst_part") == SYNC, F.lit(True)).otherwise(F.lit(False))
-    touched = over.select("circuit_id", F.col("slot_no").alias("dst_slot"), F.col("part_no").alias("dst_part"))
-    again = fresh.join(touched, ["circuit_id", "dst_slot", "dst_part"], "left_semi").unionByName(fresh.where(sync))
-    kept = (
-        edges.where(~sync).join(touched, ["circuit_id", "dst_slot", "dst_part"], "left_anti")
-        .join(parts.select("circuit_id", F.col("slot_no").alias("dst_slot"), F.col("part_no").alias("dst_part")), ["circuit_id", "dst_slot", "dst_part"], "left_semi")
+    part, block = ["circuit_id", "slot_no", "part_no"], ["circuit_id", "block_id"]
+    shared_folder(parts.sparkSession)
+    parts = parts.select(*part, "mode", "lo_block", "hi_block").checkpoint(eager=True)
+    written = written_blocks(parts)
+    hit = written.join(blocks.select(block).distinct(), block, "left_semi")
+    shared = parts.where("mode = 'sup'").join(hit.where("mode = 'sup'").select("circuit_id", "slot_no").distinct(), ["circuit_id", "slot_no"], "left_semi")
+    again = hit.where("mode <> 'sup'").select(part).distinct().unionByName(shared.select(part)).withColumn("again", F.lit(True))
+    marked = written.join(again, part, "left")
+    local = marked.join(marked.where("again").select(block).distinct(), block, "left_semi")
+    before = Window.partitionBy(*block).orderBy("slot_no")
+    reader = F.when(F.col("mode") == "sup", F.lit(SYNC)).otherwise(F.col("part_no"))
+    fresh = (
+        local.withColumn("src", F.lag(F.struct("slot_no", "part_no")).over(before)).where("again and src is not null")
+        .select("circuit_id", F.col("src.slot_no").alias("src_slot"), F.col("src.part_no").alias("src_part"), F.col("slot_no").alias("dst_slot"), reader.alias("dst_part"))
+        .distinct()
+    )
+    target = ["circuit_id", "dst_slot", "dst_part"]
+    touched = again.join(parts.select(*part, "mode"), part).select("circuit_id", F.col("slot_no").alias("dst_slot"), reader.alias("dst_part")).distinct()
+    there = parts.select("circuit_id", F.col("slot_no").alias("dst_slot"), reader.alias("dst_part")).distinct()
+    kept = edges.where(F.col("src_part") != SYNC).join(touched, target, "left_anti").join(there, target, "left_semi")
+    sync = parts.where("mode = 'sup'").select(
+        "circuit_id", F.col("slot_no").alias("src_slot"), F.lit(SYNC).alias("src_part"), F.col("slot_no").alias("dst_slot"), F.col("part_no").alias("dst_part")
     )
-    return again.unionByName(kept).distinct()
+    return fresh.unionByName(kept.select(fresh.columns)).unionByName(sync)
 
 
-def waves_kernel(rows: list[dict]) -> dict[tuple[int, int], int]:
-    """Longest-path wave of every node of one circuit's edges (sources before targets by slot)."""
-    wave: dict[tuple[int, int], int] = {}
-    for e in sorted(rows, key=lambda e: (e["dst_slot"], e["dst_part"] != SYNC, e["dst_part"])):
-        a, b = (e["src_slot"], e["src_part"]), (e["dst_slot"], e["dst_part"])
-        wave.setdefault(a, 0)
-        wave[b] = max(wave.get(b, 0), wave[a] + 1)
-    return wave
+def packed_edges(edges: pa.Array, *more: tuple[np.ndarray, np.ndarray, np.ndarray]) -> tuple[np.ndarray, ...]:
+    """Lists of edges, a list per circuit, as arrays over the whole batch.
+
+    Returns ``(node, circuit, slot, part, src, dst, steps)``: the batch's distinct nodes by circuit, slot and
+    part, each edge's ends as node numbers in the order in which ends are settled (by target slot, a slot's
+    sync node before its partitions), and the bounds of the steps in that order.  ``more`` are further nodes,
+    as (circuit, slot, part).
+    """
+    edges = edges.combine_chunks() if isinstance(edges, pa.ChunkedArray) else edges
+    of = np.repeat(np.arange(len(edges)), pc.fill_null(pc.list_value_length(edges), 0).to_numpy(zero_copy_only=False))
+    rows = edges.flatten()
+    src_slot, src_part, dst_slot, dst_part = (rows.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in ("src_slot", "src_part", "dst_slot", "dst_part"))
+    circuit, slot, part = (np.concatenate(x) for x in zip((of, src_slot, src_part), (of, dst_slot, dst_part), *more))
+    wide, deep = part.max(initial=0) + 2, slot.max(initial=0) + 1
+    code, number = np.unique((circuit * deep + slot) * wide + part + 1, return_inverse=True)
+    step = 2 * dst_slot + (dst_part != SYNC)
+    order = np.argsort(step, kind="stable")
+    cuts = np.concatenate(([0], np.flatnonzero(np.diff(step[order])) + 1, [len(order)])) if len(order) else np.zeros(1, np.int64)
+    src, dst = number[: len(of)][order], number[len(of) : 2 * len(of)][order]
+    return number[2 * len(of) :], code // wide // deep, code // wide % deep, code % wide - 1, src, dst, cuts
 
 
 _NODE = T.ArrayType(T.StructType().add("slot_no", "integer").add("part_no", "integer").add("wave", "integer"))
 
 
+def node_lists(n: int, circuit: np.ndarray, **columns: np.ndarray) -> pa.Array:
+    """Rows (in circuit order) as one list of structs for each of ``n`` circuits."""
+    ends = np.concatenate(([0], np.cumsum(np.bincount(circuit, minlength=n))))
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.StructArray.from_arrays([pa.array(c, pa.int32()) for c in columns.values()], names=list(columns)))
+
+
 @F.arrow_udf(_NODE)
 def _waves(edges: pa.Array) -> pa.Array:
-    rows = [[{"slot_no": s, "part_no": p, "wave": w} for (s, p), w in waves_kernel(e).items()] for e in edges.to_pylist()]
-    return pa.array(rows, pa.list_(pa.struct([("slot_no", pa.int32()), ("part_no", pa.int32()), ("wave", pa.int32())])))
+    """Longest-path wave of every node, for all circuits of a batch at once, slot by slot."""
+    _, circuit, slot, part, src, dst, steps = packed_edges(edges)
+    wave = np.zeros(len(circuit), np.int64)
+    for a, b in zip(steps, steps[1:]):
+        np.maximum.at(wave, dst[a:b], wave[src[a:b]] + 1)
+    return node_lists(len(edges), circuit, slot_no=slot, part_no=part, wave=wave)
 
 
 def task_waves(parts: DataFrame, edges: DataFrame) -> DataFrame:

@@ -11,7 +11,7 @@ from __future__ import annotations
 
 from typing import NamedTuple
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from incstate.functions.gates import classify, shape
@@ -127,6 +127,44 @@ def derive_partitions(gates: DataFrame, n: int, block_size: int) -> DataFrame:
     )
 
 
+def enumerate_partitions(gates: DataFrame, n: int, block_size: int) -> DataFrame:
+    """As :func:`derive_partitions` by walking every gate's operations, ``2**n`` rows a gate.
+
+    Operations in index order are dealt to tasks of ``block_size``; tasks whose spans overlap are one partition.
+    The truth that the closed form is held against, for small vectors.
+    """
+    b = log2(block_size, n)
+    seen = (classify(gates) if "shape" not in gates.columns else gates).where("mode <> 'id'")
+    form, target, i = F.col("shape"), F.col("target"), F.col("i")
+    controls = F.coalesce(F.col("controls"), F.array().cast("array<int>"))
+    other = F.element_at(controls, 1)
+    held = _mask(F.when(form == "exchange", F.slice(controls, 2, 62)).otherwise(controls))
+    pair = _bit(target).bitwiseOR(_bit(other))
+    acts = (
+        F.when(form == "swap", i.bitwiseAND(_bit(target)) == 0).when(form == "one", i.bitwiseAND(_bit(target)) != 0)
+        .when(form == "exchange", i.bitwiseAND(pair) == _bit(F.least(target, other))).otherwise(True)
+    )
+    end = F.when(form == "swap", i.bitwiseOR(_bit(target))).when(form == "exchange", i.bitwiseXOR(pair)).otherwise(i)
+    gate = ["circuit_id", "gate_no"]
+    ops = (
+        seen.where("shape <> 'mix'").withColumn("held", held).withColumn("i", F.explode(F.sequence(F.lit(0).cast("long"), F.lit((1 << n) - 1).cast("long"))))
+        .where((i.bitwiseAND(F.col("held")) == F.col("held")) & acts)
+        .select(*gate, "i", end.alias("end"))
+    )
+    nth = F.row_number().over(Window.partitionBy(*gate).orderBy("i")) - 1
+    tasks = (
+        ops.withColumn("task", F.floor(nth / F.lit(1 << b))).groupBy(*gate, "task")
+        .agg(F.shiftright(F.min("i"), b).alias("lo"), F.shiftright(F.max(F.greatest("i", "end")), b).alias("hi"))
+    )
+    order = Window.partitionBy(*gate).orderBy("task")
+    ahead = F.max("hi").over(order.rowsBetween(Window.unboundedPreceding, -1))
+    isle = tasks.withColumn("new", (ahead.isNull() | (F.col("lo") > ahead)).cast("int")).withColumn("part_no", (F.sum("new").over(order) - 1).cast("int"))
+    mono = isle.groupBy(*gate, "part_no").agg(F.min("lo").alias("lo_block"), F.max("hi").alias("hi_block"), F.count("*").alias("n_tasks"))
+    k = F.col("lo_block")
+    mix = seen.where("shape = 'mix'").select(*gate, F.explode(F.sequence(F.lit(0).cast("long"), F.lit((1 << (n - b)) - 1).cast("long"))).alias("lo_block"))
+    return mono.unionByName(mix.select(*gate, k.cast("int").alias("part_no"), "lo_block", k.alias("hi_block"), F.lit(1).cast("long").alias("n_tasks")))
+
+
 def log2(block_size: int, n: int) -> int:
     """Bits of a block; a block is no larger than the vector."""
     if block_size < 1 or block_size & (block_size - 1):

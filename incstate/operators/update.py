@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from incstate.operators.graph import node_lists, packed_edges
 from incstate.plans.store import shared_folder
 from incstate.schema import SYNC
 
@@ -41,15 +44,17 @@ _PAIR = T.ArrayType(T.StructType().add("slot_no", "integer").add("part_no", "int
 
 @F.arrow_udf(_PAIR)
 def _reach(edges: pa.Array, start: pa.Array) -> pa.Array:
-    out = []
-    for es, fs in zip(edges.to_pylist(), start.to_pylist()):
-        seen = {(f["slot_no"], f["part_no"]) for f in fs}
-        # By target slot, a slot's sync node before its partitions: every source is settled when it's read.
-        for e in sorted(es or (), key=lambda e: (e["dst_slot"], e["dst_part"])):
-            if (e["src_slot"], e["src_part"]) in seen:
-                seen.add((e["dst_slot"], e["dst_part"]))
-        out.append([{"slot_no": s, "part_no": p} for s, p in sorted(seen)])
-    return pa.array(out, pa.list_(pa.struct([("slot_no", pa.int32()), ("part_no", pa.int32())])))
+    """Nodes reachable from ``start``, for all circuits of a batch at once, slot by slot."""
+    start = start.combine_chunks() if isinstance(start, pa.ChunkedArray) else start
+    of = np.repeat(np.arange(len(start)), pc.list_value_length(start).to_numpy(zero_copy_only=False))
+    rows = start.flatten()
+    held = (of, *(rows.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in ("slot_no", "part_no")))
+    first, circuit, slot, part, src, dst, steps = packed_edges(edges, held)
+    seen = np.zeros(len(circuit), bool)
+    seen[first] = True
+    for a, b in zip(steps, steps[1:]):
+        seen[dst[a:b][seen[src[a:b]]]] = True
+    return node_lists(len(edges), circuit[seen], slot_no=slot[seen], part_no=part[seen])
 
 
 def affected(edges: DataFrame, start: DataFrame) -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incstate.operators.partition import log2, pattern
+from incstate.operators.partition import Pattern, log2, pattern
 from incstate.plans.wide import Gate, block_kernel, coupled_bits
 
 
@@ -23,6 +23,9 @@ class SmallCircuit:
         self.n_blocks = 1 << (n - self.b)
         self.gates: dict[int, tuple[int, Gate]] = {}
         self.slots: list[tuple] = []
+        self.patterns: dict[int, Pattern | None] = {}
+        #: Of each slot met: its partitions' spans, its gates and the block bits that they couple.
+        self.known: dict[tuple, tuple[list[tuple[int, int]], list[Gate], int]] = {}
         self.versions: dict[tuple, dict[int, np.ndarray]] = {}
         start = np.zeros((self.n_blocks, 1 << self.b), complex)
         start[0, 0] = 1
@@ -34,6 +37,7 @@ class SmallCircuit:
 
     def insert(self, number: int, net: int, gate: Gate) -> None:
         self.gates[number] = (net, gate)
+        self.patterns[number] = pattern(gate.kind, gate.target, gate.controls, gate.theta, self.n, self.b)
 
     def remove(self, number: int) -> None:
         self.gates.pop(number, None)
@@ -45,14 +49,15 @@ class SmallCircuit:
             if g.form == "mix":
                 mixing.setdefault(net, []).append(number)
             elif g.form != "id":
-                lo, hi = self._pattern(number).bounds(0, self.b)
+                lo, hi = self.patterns[number].bounds(0, self.b)
                 single.append((net, 1, hi - lo, number, (number,)))
         return sorted([(net, 0, 0, 0, tuple(m)) for net, m in mixing.items()] + single)
 
-    def _pattern(self, number: int):
-        g = self.gates[number][1]
-        controls = g.qubits[1:]
-        return pattern(g.kind, g.target, controls, g.theta, self.n, self.b)
+    def _slot(self, slot: tuple) -> tuple[list[tuple[int, int]], list[Gate], int]:
+        if slot not in self.known:
+            gates, p = [self.gates[k][1] for k in slot[4]], self.patterns[slot[4][0]]
+            self.known[slot] = [p.bounds(k, self.b) for k in range(p.count)], gates, coupled_bits(gates, self.b)
+        return self.known[slot]
 
     def update(self) -> dict[str, int]:
         """Recompute what changed since the last update; the counts of what was done."""
@@ -70,21 +75,21 @@ class SmallCircuit:
         for s in slots:
             while waiting and waiting[0][0] < s:
                 removed[list(waiting.pop(0)[1])] = True
-            gates = [self.gates[k][1] for k in s[4]]
-            p = self._pattern(s[4][0])
-            spans = [p.bounds(k, self.b) for k in range(p.count)]
+            spans, gates, mask = self._slot(s)
             if s not in before:
                 hit = spans
+            elif not (dirty.any() or removed.any()):
+                hit = []
             elif s[1] == 0:
-                hit = spans if (dirty | removed).any() and self.sync == "global" else self._coupled(spans, gates, dirty | removed)
+                hit = spans if self.sync == "global" else self._coupled(spans, mask, dirty | removed)
             else:
-                hit = [(lo, hi) for lo, hi in spans if (dirty[lo : hi + 1] | removed[lo : hi + 1]).any()]
+                open_ = dirty | removed
+                hit = [(lo, hi) for lo, hi in spans if open_[lo : hi + 1].any()]
             fresh = hit if s not in before else [(lo, hi) for lo, hi in hit if removed[lo : hi + 1].any() or s[1] == 0 and removed.any()]
             report["frontier_parts"] += len(fresh)
             report["affected_parts"] += len(hit)
             blocks = sorted({k for lo, hi in hit for k in range(lo, hi + 1)})
             if blocks:
-                mask = coupled_bits(gates, self.b)
                 need = set(blocks)
                 for q in range(self.n - self.b):
                     if mask >> q & 1:
@@ -102,13 +107,13 @@ class SmallCircuit:
             latest.update(self.versions.get(s, {}))
         for s in gone:
             del self.versions[s]
+            del self.known[s]
         report["span_amplitudes"] = len(spanned) << self.b
         self.slots = slots
         self.final = np.concatenate([latest[k] for k in range(self.n_blocks)])
         return report
 
-    def _coupled(self, spans, gates, dirty) -> list[tuple[int, int]]:
-        mask = coupled_bits(gates, self.b)
+    def _coupled(self, spans, mask, dirty) -> list[tuple[int, int]]:
         groups = set((np.flatnonzero(dirty) & ~mask).tolist())
         return [(lo, hi) for lo, hi in spans if lo & ~mask in groups]
 

@@ -169,12 +169,12 @@ def blocks_table(circuit: np.ndarray, block: np.ndarray, psi: np.ndarray) -> pa.
 
 def block_kernel(psi: np.ndarray, block: np.ndarray, gates: list[Gate], b: int) -> np.ndarray:
     """Gates on a set of blocks that is closed under the block bits they couple."""
-    row = {int(k): i for i, k in enumerate(block)}
+    order = np.argsort(block)
     inside = np.arange(psi.shape[1])
     index = (block[:, None] << b) | inside[None, :]
 
     def at(source: np.ndarray) -> np.ndarray:
-        where = np.vectorize(row.__getitem__, otypes=[np.int64])(source >> b) if len(block) else source
+        where = order[np.searchsorted(block, source >> b, sorter=order)] if len(block) else source
         return psi[where, source & (psi.shape[1] - 1)]
 
     for g in gates:

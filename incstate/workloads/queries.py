@@ -8,9 +8,10 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from incstate import metrics
 from incstate.functions.gates import classify
 from incstate.operators import graph, update
-from incstate.operators.partition import derive_partitions
+from incstate.operators.partition import derive_partitions, enumerate_partitions
 from incstate.plans import many, small
 from incstate.plans.wide import Gate, apply_mono, apply_superposition
 from incstate.sources.tables import table
@@ -19,15 +20,13 @@ from incstate.workloads import circuits, sql, states
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
-#: SQL that covers only some of a query's rows: no oracle, tests compare those rows.
-PARTIAL: dict[str, str] = {}
 
 
-def register(name: str, oracle: str | None = None, whole: bool = True) -> Callable[[Query], Query]:
+def register(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
     def put(f: Query) -> Query:
         QUERIES[name] = f
         if oracle:
-            (ORACLES if whole else PARTIAL)[name] = oracle
+            ORACLES[name] = oracle
         return f
 
     return put
@@ -118,7 +117,7 @@ def circuit_from_part(spark, sf_dir):
     return _gate_rows(circuits.part_gates(spark, sf_dir))
 
 
-@register("circuit_from_text", f"SELECT {_GATE} FROM ({sql.documents(6, 200)})", whole=False)
+@register("circuit_from_text", f"SELECT {_GATE} FROM ({sql.documents(6)})")
 def circuit_from_text(spark, sf_dir):
     return _gate_rows(circuits.document_gates(spark, sf_dir))
 
@@ -154,6 +153,12 @@ def partitions_closed(spark, sf_dir):
     return derive_partitions(circuits.supplier_gates(spark, sf_dir), 6, 4)
 
 
+@register("partitions_enum", sql.partitions(sql.ORDERS, 5, 2))
+def partitions_enum(spark, sf_dir):
+    """Partitions by walking every operation, the truth that the closed form is held against."""
+    return enumerate_partitions(circuits.order_gates(spark, sf_dir), 5, 2)
+
+
 @register("partitions_orders", sql.partitions(sql.ORDERS, 5, 4))
 def partitions_orders(spark, sf_dir):
     return derive_partitions(circuits.order_gates(spark, sf_dir), 5, 4)
@@ -236,6 +241,17 @@ def graph_waves(spark, sf_dir):
     return graph.task_waves(parts, graph.link_partitions(parts))
 
 
+@register(
+    "graph_width",
+    f"""WITH w AS ({ORACLES['graph_waves']}) SELECT circuit_id, max(nodes) AS widest, CAST(FLOOR(avg(nodes) * 1e8 + 0.37) AS BIGINT) AS mean_q
+    FROM (SELECT circuit_id, wave, count(*) AS nodes FROM w GROUP BY ALL) GROUP BY circuit_id""",
+)
+def graph_width(spark, sf_dir):
+    """How many partitions of a circuit can run together."""
+    width = metrics.wave_width(graph_waves(spark, sf_dir))
+    return width.select("circuit_id", "widest", fixed(F.col("mean_width")).alias("mean_q"))
+
+
 _NAME = "CASE WHEN {p} = -1 THEN 'sync_' || {s} ELSE 's' || {s} || '_p' || {p} END"
 
 
@@ -333,7 +349,7 @@ def frontiers(spark, sf_dir):
 
 @register("relink_after_edit", f"WITH np AS MATERIALIZED ({_stable_sql(_AFTER_BOTH)}) SELECT * FROM ({sql.edges('SELECT * FROM np')})")
 def relink_after_edit(spark, sf_dir):
-    """Old edges kept where no touched block is concerned, the rest linked anew."""
+    """Old edges kept where no touched block is concerned, the partitions over touched blocks linked anew."""
     gates = circuits.order_gates(spark, sf_dir)
     old, new = _stable(_numbered(gates)), _stable(edited(gates, True, True))
     slot = ["circuit_id", "slot_no"]
@@ -370,7 +386,7 @@ def full_parts(spark, sf_dir):
     return amplitude_rows(many.simulate_many(circuits.part_gates(spark, sf_dir), 5))
 
 
-@register("full_documents", sql.amplitude_rows(sql.states(sql.documents(6, 200), 6)), whole=False)
+@register("full_documents", sql.amplitude_rows(sql.states(sql.documents(6), 6)))
 def full_documents(spark, sf_dir):
     return amplitude_rows(many.simulate_texts(table(spark, sf_dir, "documents"), 6))
 
@@ -448,12 +464,31 @@ _net_query("super_two_qubit_terms", [Gate("H", (1,)), Gate("RY", (4,), 0.3)])
 BLOCK = 4
 
 
+def _summary_sql(size: int) -> str:
+    """Two probabilities and two sums over all amplitudes, with weights that tell each amplitude and its phase."""
+    over = f"FOR i IN range(0, {size})"
+    return f"""{sql.fixed(f'list_sum([re[i + 1] * re[i + 1] + im[i + 1] * im[i + 1] {over} IF (i & 1) = 1])')} AS p1_q,
+      {sql.fixed('re[1] * re[1] + im[1] * im[1]')} AS p0_q,
+      {sql.fixed(f'list_sum([re[i + 1] * cos(i + 1) + im[i + 1] * sin(2 * i + 1) {over}])')} AS probe_a_q,
+      {sql.fixed(f'list_sum([re[i + 1] * sin(i + 2) - im[i + 1] * cos(3 * i + 1) {over}])')} AS probe_b_q"""
+
+
+def _summary(done: DataFrame) -> DataFrame:
+    p = F.zip_with("re", "im", lambda a, b: a * a + b * b)
+    odd = F.aggregate(F.filter(p, lambda x, i: F.pmod(i, F.lit(2)) == 1), F.lit(0.0), lambda s, x: s + x)
+    total = lambda terms: F.aggregate(terms, F.lit(0.0), lambda s, x: s + x)
+    a = total(F.transform(F.arrays_zip("re", "im"), lambda x, i: x["re"] * F.cos(i + 1) + x["im"] * F.sin(2 * i + 1)))
+    b = total(F.transform(F.arrays_zip("re", "im"), lambda x, i: x["re"] * F.sin(i + 2) - x["im"] * F.cos(3 * i + 1)))
+    return done.select(
+        "circuit_id", "iter", fixed(odd).alias("p1_q"), fixed(F.element_at(p, 1)).alias("p0_q"), fixed(a).alias("probe_a_q"), fixed(b).alias("probe_b_q")
+    )
+
+
 @register(
     "inc_level_by_level",
     f"""WITH g AS MATERIALIZED ({_LINES}), lv AS (SELECT *, dense_rank() OVER (PARTITION BY circuit_id ORDER BY net_no) AS iter FROM g),
     r AS (SELECT circuit_id, row_number() OVER (PARTITION BY circuit_id ORDER BY net_no, gate_no) AS gate_no, net_no, kind, target, control, theta, iter FROM lv)
-    SELECT circuit_id, iter, {sql.fixed('list_sum([re[i + 1] * re[i + 1] + im[i + 1] * im[i + 1] FOR i IN range(0, 32) IF (i & 1) = 1])')} AS p1_q,
-      {sql.fixed('re[1] * re[1] + im[1] * im[1]')} AS p0_q
+    SELECT circuit_id, iter, {_summary_sql(32)}
     FROM (SELECT s.*, iter FROM ({sql.states('SELECT circuit_id, gate_no, net_no, kind, target, control, theta FROM r', 5, steps=True)}) s
       JOIN (SELECT circuit_id, iter, max(gate_no) AS step FROM r GROUP BY ALL) e ON e.circuit_id = s.circuit_id AND e.step = s.step)""",
 )
@@ -463,12 +498,6 @@ def inc_level_by_level(spark, sf_dir):
     return _summary(done)
 
 
-def _summary(done: DataFrame) -> DataFrame:
-    p = F.zip_with("re", "im", lambda a, b: a * a + b * b)
-    odd = F.aggregate(F.filter(p, lambda x, i: F.pmod(i, F.lit(2)) == 1), F.lit(0.0), lambda s, x: s + x)
-    return done.select("circuit_id", "iter", fixed(odd).alias("p1_q"), fixed(F.element_at(p, 1)).alias("p0_q"))
-
-
 def _per_iter(insert: bool) -> str:
     """The circuit after every iteration, as (circuit_id, iter) keyed gates."""
     ranked = f"SELECT *, (dense_rank() OVER (PARTITION BY circuit_id ORDER BY {_RANK.replace('gate_no', 'net_no')}, net_no) - 1) // 3 AS in_iter FROM ({sql.ORDERS})"
@@ -479,13 +508,17 @@ def _per_iter(insert: bool) -> str:
     return f"SELECT r.circuit_id, i.iter, gate_no, net_no, kind, target, control, theta FROM ({ranked}) r JOIN ({iters}) i ON i.circuit_id = r.circuit_id AND {keep}"
 
 
+def _empty_sql(size: int) -> str:
+    """The lists of the zero state."""
+    return f"[CAST(CASE WHEN i = 0 THEN 1 ELSE 0 END AS DOUBLE) FOR i IN range(0, {size})] AS re, [CAST(0 AS DOUBLE) FOR i IN range(0, {size})] AS im"
+
+
 def _inc_sql(insert: bool) -> str:
-    odd = "list_sum([re[i + 1] * re[i + 1] + im[i + 1] * im[i + 1] FOR i IN range(0, 32) IF (i & 1) = 1])"
-    some = f"SELECT circuit_id, iter, {sql.fixed(odd)} AS p1_q, {sql.fixed('re[1] * re[1] + im[1] * im[1]')} AS p0_q FROM ({sql.states(_per_iter(insert), 5, key='circuit_id, iter')})"
+    some = f"SELECT circuit_id, iter, {_summary_sql(32)} FROM ({sql.states(_per_iter(insert), 5, key='circuit_id, iter')})"
     if insert:
         return some
     last = f"SELECT circuit_id, max((nth - 1) // 3) AS iter FROM (SELECT circuit_id, row_number() OVER (PARTITION BY circuit_id ORDER BY gate_no) AS nth FROM ({sql.ORDERS})) GROUP BY circuit_id"
-    return f"{some} UNION ALL SELECT circuit_id, iter, CAST(0 AS BIGINT), CAST(100000000 AS BIGINT) FROM ({last})"
+    return f"{some} UNION ALL SELECT circuit_id, iter, {_summary_sql(32)} FROM (SELECT *, {_empty_sql(32)} FROM ({last}))"
 
 
 @register("inc_insert", _inc_sql(True))
@@ -498,13 +531,42 @@ def inc_remove(spark, sf_dir):
     return _summary(small.incremental_many(circuits.removal_log(circuits.order_gates(spark, sf_dir)), 5, BLOCK))
 
 
-@register("inc_mixed")
+#: Users' events as a stack of live gates, folded event by event; the stack at the end of each day is a circuit.
+_EVENT_GATES = """
+  SELECT circuit_id, iter, g.seq AS gate_no, g.seq AS net_no, kind, target, control, theta FROM (SELECT circuit_id, iter, unnest(stack) AS seq FROM days) s
+  JOIN ev g ON g.user_id = s.circuit_id AND g.seq = s.seq"""
+_EVENT_DAYS = """WITH RECURSIVE ev AS MATERIALIZED (
+    SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY seq) AS nth, CASE WHEN event_type = 'error' THEN -1 ELSE 1 END AS d FROM (
+      SELECT user_id, event_type, CAST(ts AS DATE) AS day, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS seq,
+        CASE event_type WHEN 'click' THEN 'CNOT' WHEN 'view' THEN 'H' WHEN 'purchase' THEN 'RZ' END AS kind, CAST(k % 4 AS INT) AS target,
+        CAST((k % 4 + 1 + (k // 4) % 3) % 4 AS INT) AS control, pi() * 2 * k / CAST(100 AS DOUBLE) AS theta
+      FROM (SELECT *, CAST(json_extract(props, '$.k') AS INT) AS k FROM events))
+    WHERE event_type IN ('click', 'view', 'purchase', 'error')
+  ), fold AS (
+    SELECT user_id, CAST(0 AS BIGINT) AS nth, CAST([] AS BIGINT[]) AS stack, CAST(NULL AS DATE) AS day, FALSE AS edit FROM (SELECT DISTINCT user_id FROM ev)
+    UNION ALL
+    SELECT f.user_id, e.nth, CASE WHEN d = 1 THEN list_append(stack, e.seq) WHEN len(stack) > 0 THEN stack[1:len(stack) - 1] ELSE stack END, e.day, d = 1 OR len(stack) > 0
+    FROM fold f JOIN ev e ON e.user_id = f.user_id AND e.nth = f.nth + 1
+  ), days AS MATERIALIZED (
+    SELECT user_id AS circuit_id, dense_rank() OVER (PARTITION BY user_id ORDER BY day) AS iter, stack
+    FROM (SELECT user_id, day, arg_max(stack, nth) AS stack FROM fold WHERE edit GROUP BY user_id, day))"""
+
+
+@register(
+    "inc_mixed",
+    f"""{_EVENT_DAYS} SELECT circuit_id, iter, {_summary_sql(16)} FROM ({sql.states(_EVENT_GATES, 4, key='circuit_id, iter')})
+    UNION ALL SELECT circuit_id, iter, {_summary_sql(16)} FROM (SELECT circuit_id, iter, {_empty_sql(16)} FROM days WHERE len(stack) = 0)""",
+)
 def inc_mixed(spark, sf_dir):
-    """Days of events as iterations; the counts of every update and the state's summary."""
+    """Days of events as iterations of mixed edits; the state after every update."""
+    return _summary(small.incremental_many(circuits.event_log(spark, sf_dir), 4, 2))
+
+
+@register("inc_mixed_counts")
+def inc_mixed_counts(spark, sf_dir):
+    """What every update of :func:`inc_mixed` recomputed (bounds and totals are tested)."""
     done = small.incremental_many(circuits.event_log(spark, sf_dir), 4, 2)
-    return done.select("circuit_id", "iter", "frontier_parts", "affected_parts", "span_amplitudes", "written_blocks", "total_blocks").join(
-        _summary(done), ["circuit_id", "iter"]
-    )
+    return done.select("circuit_id", "iter", "frontier_parts", "affected_parts", "span_amplitudes", "written_blocks", "total_blocks")
 
 
 @register(

@@ -40,14 +40,14 @@ PARTS = f"""
     JOIN part ON l.l_partkey = p_partkey)"""
 
 
-def documents(n: int, words: int) -> str:
+def documents(n: int) -> str:
     return f"""
   SELECT circuit_id, gate_no, gate_no AS net_no, {_KINDS}[(len + a) % 12 + 1] AS kind, CAST(a % {n} AS INT) AS target,
     CAST((a % {n} + 1 + len % {n - 1}) % {n} AS INT) AS control, pi() * len / CAST(6 AS DOUBLE) AS theta
   FROM (
     SELECT circuit_id, gate_no, CAST(length(word) AS BIGINT) AS len, CASE WHEN word = '' THEN 0 ELSE unicode(word) END AS a FROM (
       SELECT doc_id AS circuit_id, unnest(range(0, len(w))) AS gate_no, unnest(w) AS word
-      FROM (SELECT doc_id, string_split(text, ' ')[1:{words}] AS w FROM documents)))"""
+      FROM (SELECT doc_id, string_split(text, ' ') AS w FROM documents)))"""
 
 
 def accepted(gates: str) -> str:
@@ -137,7 +137,7 @@ def partitions(gates: str, n: int, block: int) -> str:
     """Partitions of every gate by walking its operations in index order, ``block`` of them a task."""
     size = 1 << n
     return f"""
-  WITH e AS (SELECT * FROM ({entries(gates)}) WHERE shape <> 'id'),
+  WITH e AS MATERIALIZED (SELECT * FROM ({entries(gates)}) WHERE shape <> 'id'),
   ops AS (
     SELECT circuit_id, gate_no, i AS lo, CASE WHEN shape = 'swap' THEN i | (1 << target) ELSE i END AS hi
     FROM e, range(0, {size}) r(i)

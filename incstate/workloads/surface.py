@@ -134,9 +134,8 @@ def join_full_diff(spark, sf_dir):
 @register(
     "join_lateral_terms",
     f"""SELECT circuit_id, gate_no, r AS row_bit, c AS col_bit, {sql.fixed('x')} AS re_q, {sql.fixed('y')} AS im_q FROM (
-      SELECT circuit_id, gate_no, unnest([0, 0, 1, 1]) AS r, unnest([0, 1, 0, 1]) AS c, unnest([ar, br, cr, dr]) AS x, unnest([ai, bi, ci, di]) AS y FROM ({sql.entries(sql.ORDERS)}) WHERE circuit_id % 10 = 0)
+      SELECT circuit_id, gate_no, unnest([0, 0, 1, 1]) AS r, unnest([0, 1, 0, 1]) AS c, unnest([ar, br, cr, dr]) AS x, unnest([ai, bi, ci, di]) AS y FROM ({sql.entries(sql.ORDERS)}))
     WHERE abs(x) + abs(y) > 1e-12""",
-    whole=False,
 )
 def join_lateral_terms(spark, sf_dir):
     """The nonzero matrix terms of each gate by a lateral call of a table function."""
@@ -193,6 +192,15 @@ def win_moving_avg(spark, sf_dir):
     return table(spark, sf_dir, "events").select("user_id", "event_id", fixed(F.avg("value").over(w)).alias("avg_q"))
 
 
+@register("win_range_frame", f"SELECT user_id, event_id, count(*) OVER w AS edits, {sql.fixed('sum(value) OVER w')} AS sum_q FROM events WINDOW w AS (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW)")
+def win_range_frame(spark, sf_dir):
+    """Edits of the day before each one, ties included."""
+    w = Window.partitionBy("user_id").orderBy("at").rangeBetween(-86_400_000_000, 0)
+    at = F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01', ts)")
+    e = table(spark, sf_dir, "events").select("user_id", "event_id", "value", at.alias("at"))
+    return e.select("user_id", "event_id", F.count("*").over(w).alias("edits"), fixed(F.sum("value").over(w)).alias("sum_q"))
+
+
 @register("win_last_value", "SELECT user_id, event_id, coalesce(last_value(CASE WHEN event_type = 'signup' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), -1) AS net FROM events")
 def win_last_value(spark, sf_dir):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, 0)
@@ -245,10 +253,12 @@ def approx_basis_distinct(spark, sf_dir):
     return lines.groupBy("l_linenumber").agg(F.approx_count_distinct("l_partkey", 0.02).alias("near"), F.countDistinct("l_partkey").alias("exact"))
 
 
-@register("approx_heavy_outcomes")
+@register("approx_heavy_outcomes", "SELECT l_partkey % 32 AS item, count(*) AS count FROM lineitem GROUP BY 1 QUALIFY rank() OVER (ORDER BY count(*) DESC) <= 5")
 def approx_heavy_outcomes(spark, sf_dir):
-    top = table(spark, sf_dir, "lineitem").agg(F.expr("approx_top_k(l_partkey % 32, 5)").alias("top"))
-    return top.select(F.explode("top").alias("x")).select("x.*")
+    """The five most frequent outcomes and ties with the fifth; the sketch is exact for so few distinct ones."""
+    top = table(spark, sf_dir, "lineitem").agg(F.expr("approx_top_k(l_partkey % 32, 32)").alias("top"))
+    fifth = F.element_at("top", F.least(F.size("top"), F.lit(5)))["count"]
+    return top.select(fifth.alias("least"), F.explode("top").alias("x")).where("x.count >= least").select("x.*")
 
 
 @register("approx_prob_quantile")
@@ -354,7 +364,11 @@ def stream_stateful_circuit(spark, sf_dir):
     return last.select("circuit_id", "x.live_gates", "x.edits", fixed(F.col("x.p0")).alias("p0_q"))
 
 
-@register("stream_late")
+@register(
+    "stream_late",
+    """SELECT user_id, epoch_us(day) AS start, count(*) AS edits FROM (SELECT user_id, date_trunc('day', ts) AS day FROM events)
+    WHERE day + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR GROUP BY user_id, day""",
+)
 def stream_late(spark, sf_dir):
     """Windows that the watermark has closed by the end of the input (append mode)."""
     done = edits.drained(edits.iterations(edits.event_stream(spark, sf_dir)))
@@ -370,9 +384,19 @@ def udf_block_kernel(spark, sf_dir):
     return made.select("circuit_id", F.col("idx").cast("long").alias("idx"), fixed(F.col("x")).alias("re_q"))
 
 
+@register("udaf_fidelity", f"""SELECT a.circuit_id, {sql.fixed('pow(list_sum(list_transform(list_zip(a.re, b.re), lambda x: x[1] * x[2])), 2) + pow(list_sum(list_transform(list_zip(a.re, b.im), lambda x: x[1] * x[2])), 2)')} AS fidelity_q
+    FROM ({_EMB}) a JOIN ({sql.states(_literal(_CROSS), 6, _EMB)}) b ON a.circuit_id = b.circuit_id""")
+def udaf_fidelity(spark, sf_dir):
+    """The squared overlap of each state with itself after three gates, by an aggregate function over rows."""
+    before = _rows_of(spark, sf_dir).select("circuit_id", "idx", F.col("re").alias("ar"), F.col("im").alias("ai"))
+    after = dense_unitary_apply(_rows_of(spark, sf_dir), 6, _CROSS)
+    met = before.join(after, ["circuit_id", "idx"])
+    return met.groupBy("circuit_id").agg(udfs.overlap("ar", "ai", "re", "im").alias("f")).select("circuit_id", fixed(F.col("f")).alias("fidelity_q"))
+
+
 @register(
     "udtf_partition_ranges",
-    f"SELECT circuit_id, gate_no, part_no, lo_block, hi_block, n_tasks FROM ({sql.partitions(sql.ORDERS + ' WHERE circuit_id % 10 = 0', 5, 4)})",
+    f"SELECT circuit_id, gate_no, part_no, lo_block, hi_block, n_tasks FROM ({sql.partitions(sql.ORDERS, 5, 4)})",
 )
 def udtf_partition_ranges(spark, sf_dir):
     udfs.register_all(spark)
@@ -382,7 +406,7 @@ def udtf_partition_ranges(spark, sf_dir):
     )
 
 
-@register("udtf_parse_gates", f"SELECT circuit_id, CAST(gate_no AS INT) AS gate_no, kind, target, {sql.fixed('theta')} AS theta_q FROM ({sql.documents(6, 200)}) WHERE gate_no < 20", whole=False)
+@register("udtf_parse_gates", f"SELECT circuit_id, CAST(gate_no AS INT) AS gate_no, kind, target, {sql.fixed('theta')} AS theta_q FROM ({sql.documents(6)})")
 def udtf_parse_gates(spark, sf_dir):
     udfs.register_all(spark)
     table(spark, sf_dir, "documents").createOrReplaceTempView("parse_documents")

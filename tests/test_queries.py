@@ -11,8 +11,8 @@ from incstate.workloads.queries import ORACLES, QUERIES
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: Quick ones; the driver compares all.
 CHECKED = [
-    "encode_embeddings", "circuit_from_orders", "net_accept", "partitions_orders", "slots", "edges", "graph_waves", "affected_mixed", "full_orders",
-    "full_embeddings", "mono_swap_cz_ccx", "super_h_net", "inc_insert", "inc_remove", "inc_report_counts", "cow_saving", "levelize", "sample_shots",
+    "encode_embeddings", "circuit_from_orders", "net_accept", "partitions_orders", "slots", "edges", "graph_waves", "affected_mixed", "relink_after_edit", "partitions_enum", "partitions_closed", "full_orders",
+    "full_embeddings", "mono_swap_cz_ccx", "super_h_net", "inc_insert", "inc_remove", "inc_mixed", "inc_report_counts", "circuit_from_text", "join_lateral_terms", "udtf_parse_gates", "full_documents", "cow_saving", "levelize", "sample_shots",
     "worked_after_insert", "worked_affected", "family_adder", "stats_cube", "join_interval", "join_asof", "win_running_max", "stream_tumbling", "udtf_partition_ranges",
 ]
 
@@ -45,7 +45,7 @@ def test_contract(spark):
 
 
 def test_rows_only_queries(spark, data):
-    mixed = QUERIES["inc_mixed"](spark, data).toPandas()
+    mixed = QUERIES["inc_mixed_counts"](spark, data).toPandas()
     assert (mixed.written_blocks <= mixed.total_blocks).all() and len(mixed)
     near = QUERIES["approx_basis_distinct"](spark, data).toPandas()
     assert ((near.near - near.exact).abs() <= 0.1 * near.exact + 1).all()
