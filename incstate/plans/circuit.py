@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from incstate.operators.partition import Pattern, log2, pattern
-from incstate.plans.store import START, CowStore
+from incstate.plans.store import START, CowStore, within
 from incstate.plans.wide import Gate, apply_blocks, blocks_to_rows
 
 
@@ -62,6 +62,8 @@ class UpdateReport:
     touched_amplitudes: int = 0
     written_blocks: int = 0
     slots: int = 0
+    #: Jobs of the update: partitions of a wave run together.
+    waves: int = 0
     seconds: float = 0.0
 
 
@@ -206,6 +208,7 @@ class Circuit:
         dirty = np.zeros(self.n_blocks, bool)
         spanned: set[int] = set()
         touched: set[int] = set()
+        work: list[tuple[Slot, int, list[set[int]]]] = []
         for place, slot in enumerate(slots, 1):
             for s in lost.get(slot.id, ()):
                 for lo, hi in s.partitions(self.b):
@@ -225,9 +228,14 @@ class Circuit:
             spanned.update(blocks)
             touched.update(self._touched(slot, blocks))
             report.slots += 1
-            if execute:
-                report.written_blocks += self._run(slot, place, set(blocks))
+            work.append((slot, place, [set(range(parts[p][0], parts[p][1] + 1)) for p in hit]))
+        waves = self._waves(work)
+        report.waves = len(waves)
         if execute:
+            for wave in waves:
+                made = [self._made(*one) for one in wave]
+                store.write_wave(made)
+                report.written_blocks += sum(len(ids) for _, _, ids in made)
             self._slots = slots
         report.span_amplitudes, report.touched_amplitudes = len(spanned) * self.block_size, len(touched) * self.block_size
         report.seconds = time.time() - began
@@ -246,23 +254,39 @@ class Circuit:
         self.store.write(START, start, set(range(self.n_blocks)))
         self._started = True
 
-    def _run(self, slot: Slot, place: int, blocks: set[int]) -> int:
-        gates = [g.gate for g in slot.gates]
-        keep = blocks
-        if self.store.materialize_all:
-            blocks = set(range(self.n_blocks))
-            keep = blocks
+    def _wanted(self, slot: Slot, blocks: set[int]) -> set[int]:
+        """Blocks that a slot reads to write ``blocks``."""
         wanted = set(blocks)
         if slot.id.startswith("mix"):
-            for g in gates:
+            for g in (g.gate for g in slot.gates):
                 if g.target >= self.b:
                     wanted |= {k ^ (1 << (g.target - self.b)) for k in wanted}
-        state = self.store.read(place - 1, wanted)
-        made = apply_blocks(state, gates, self.block_size)
-        if wanted != keep:
-            made = made.where(F.col("block_id").isin(sorted(keep)))
-        self.store.write(slot.id, made, keep)
-        return len(keep)
+        return wanted
+
+    def _waves(self, work: list[tuple[Slot, int, list[set[int]]]]) -> list[list[tuple[Slot, int, set[int]]]]:
+        """Partitions in waves: one comes after the last wave that writes a block it reads; those of a slot in a
+        wave are taken together, and the mixing ones of a slot all at once, behind their common node.
+
+        Slots read versions by place, so an earlier slot may run after or beside one that writes what it read.
+        """
+        if self.store.materialize_all:
+            return [[(slot, place, set(range(self.n_blocks)))] for slot, place, _ in work]
+        out: list[dict[int, tuple[Slot, int, set[int]]]] = []
+        ready = np.zeros(self.n_blocks, np.int64)
+        for slot, place, parts in work:
+            for blocks in [set().union(*parts)] if slot.id.startswith("mix") else parts:
+                read, write = (np.fromiter(x, np.int64, len(x)) for x in (self._wanted(slot, blocks), blocks))
+                wave = int(ready[read].max(initial=0))
+                if wave == len(out):
+                    out.append({})
+                out[wave].setdefault(place, (slot, place, set()))[2].update(blocks)
+                ready[write] = wave + 1
+        return [list(w.values()) for w in out]
+
+    def _made(self, slot: Slot, place: int, blocks: set[int]) -> tuple[str, DataFrame, set[int]]:
+        wanted = self._wanted(slot, blocks)
+        made = apply_blocks(self.store.read(place - 1, wanted), [g.gate for g in slot.gates], self.block_size)
+        return slot.id, made.where(within(blocks)) if wanted != blocks else made, blocks
 
     def _touched(self, slot: Slot, blocks: list[int]) -> list[int]:
         """Those of ``blocks`` in which some amplitude changes, not only lies in a span."""
@@ -328,7 +352,9 @@ class Circuit:
         within = Window.partitionBy("block_id").orderBy("idx")
         steps = per.join(base, "block_id").withColumn("hi", F.col("base") + F.sum("p").over(within)).withColumn("lo", F.col("hi") - F.col("p"))
         draws = self.spark.range(shots).select(F.col("id").alias("shot"), F.rand(seed).alias("u"))
-        spots = draws.join(F.broadcast(base), (F.col("u") >= F.col("base")) & (F.col("u") < F.col("base") + F.col("w")))
+        # One row a block: broadcast up to a fixed number of blocks, else left to the planner.
+        small = F.broadcast(base) if self.n_blocks <= 1 << 16 else base
+        spots = draws.join(small, (F.col("u") >= F.col("base")) & (F.col("u") < F.col("base") + F.col("w")))
         return spots.select("shot", "u", "block_id").join(steps.select("block_id", "idx", "lo", "hi"), "block_id").where("u >= lo and u < hi").select("shot", "idx")
 
     def dump_graph(self) -> str:

@@ -1,17 +1,18 @@
 """Copy-on-write versions of blocks.
 
 A slot stores only the blocks it writes; reading the state after a slot takes each block's latest version
-up to it.  Versions are Parquet, one folder per write; the driver holds the folders' names and positions,
+up to it.  Versions are Parquet, one table per wave of slots that run together; the driver holds the folders' names and positions,
 never blocks.
 """
 
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from incstate.plans.wide import BLOCK_SCHEMA
@@ -20,11 +21,14 @@ START = "start"
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The checkpoint folder that the cluster shares; a temporary one only where none is set."""
+    """The checkpoint folder that the cluster shares; a temporary one only in one process where none is set."""
     chosen = spark.sparkContext._jsc.sc().getCheckpointDir()
     if chosen.isDefined():
         return chosen.get()
-    spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="incstate-"))
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the cluster shares")
+    spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="incstate-"))
     return spark.sparkContext._jsc.sc().getCheckpointDir().get()
 
 
@@ -50,6 +54,21 @@ class CowStore:
         self.folders.setdefault(slot, []).append(folder)
         self.blocks.setdefault(slot, set()).update(ids)
 
+    def write_wave(self, made: list[tuple[str, DataFrame, set[int]]]) -> None:
+        """Store the blocks of several slots by one job, as one table that is partitioned by slot."""
+        if len(made) == 1:
+            self.write(*made[0])
+            return
+        folder = f"{self.path}/wave-{uuid.uuid4().hex[:8]}"
+        every = None
+        for slot, blocks, _ in made:
+            one = blocks.select(F.lit(slot).alias("slot"), "block_id", "re", "im")
+            every = one if every is None else every.unionByName(one)
+        every.sortWithinPartitions("slot", "block_id").write.partitionBy("slot").parquet(folder)
+        for slot, _, ids in made:
+            self.folders.setdefault(slot, []).append(f"{folder}/slot={slot}")
+            self.blocks.setdefault(slot, set()).update(ids)
+
     def read(self, upto: int | None = None, wanted: set[int] | None = None) -> DataFrame:
         """Blocks after the slot at place ``upto`` of ``order`` (all slots if None), only ``wanted`` ones if given."""
         places = self.order if upto is None else self.order[: upto + 1]
@@ -69,11 +88,7 @@ class CowStore:
         for part in parts[1:]:
             every = every.unionByName(part)
         if wanted is not None:
-            runs = _runs(sorted(wanted))
-            keep = F.lit(False)
-            for lo, hi in runs:
-                keep |= F.col("block_id").between(lo, hi)
-            every = every.where(keep)
+            every = every.where(within(wanted))
         newest = every.groupBy("block_id").agg(F.max_by(F.struct("re", "im"), "at").alias("v"))
         return newest.select(F.lit(0).cast("long").alias("circuit_id"), "block_id", "v.re", "v.im")
 
@@ -89,8 +104,12 @@ class CowStore:
         fs = hadoop.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
         if not fs.exists(hadoop):
             return 0
-        live = {os.path.basename(f) for fs_ in self.folders.values() for f in fs_}
-        gone = [s.getPath() for s in fs.listStatus(hadoop) if s.getPath().getName() not in live]
+        live = {f.removeprefix(f"{self.path}/") for held in self.folders.values() for f in held}
+        waves = {f.split("/")[0] for f in live if "/" in f}
+        gone = [s.getPath() for s in fs.listStatus(hadoop) if s.getPath().getName() not in live | waves]
+        for wave in waves:
+            slots = fs.listStatus(self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{wave}"))
+            gone += [s.getPath() for s in slots if s.isDirectory() and f"{wave}/{s.getPath().getName()}" not in live]
         for path in gone:
             fs.delete(path, True)
         return len(gone)
@@ -100,6 +119,14 @@ class CowStore:
         return sum(len(v) for k, v in self.blocks.items() if k != START)
 
 
+def within(ids: set[int]) -> Column:
+    """Whether a block is one of ``ids``, by runs of consecutive ones."""
+    keep = F.lit(False)
+    for lo, hi in _runs(sorted(ids)):
+        keep |= F.col("block_id").between(lo, hi)
+    return keep
+
+
 def _runs(ids: list[int]) -> list[tuple[int, int]]:
     out: list[tuple[int, int]] = []
     for k in ids:
