@@ -6,9 +6,12 @@ multi-byte character, so cutting bytes equals cutting characters.
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import ctypes
 import hashlib
 import os
+import re
 import tempfile
 import time
 import uuid
@@ -47,12 +50,14 @@ LONG_WORD = 1024
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared checkpoint folder; one is made only where the session names none, as in tests."""
+    """The cluster's shared checkpoint folder; one is made only in one process where the session names none."""
     context = spark.sparkContext
     chosen = context._jsc.sc().getCheckpointDir()
     if chosen.isDefined():
         return chosen.get()
     named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", context.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the cluster shares")
     context.setCheckpointDir(named or tempfile.mkdtemp(prefix="incstate-checkpoint-"))
     return context._jsc.sc().getCheckpointDir().get()
 
@@ -68,10 +73,26 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+_tables: list[tuple[SparkSession, str]] = []
+
+
+def _drop_tables() -> None:
+    """Delete the session's written tables when the driver ends."""
+    for spark, path in _tables:
+        with contextlib.suppress(Exception):
+            held = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            held.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(held, True)
+    _tables.clear()
+
+
 def written(df: DataFrame) -> DataFrame:
-    """As :func:`cut`, as compressed columns, for wide or long tables."""
+    """As :func:`cut`, as compressed columns, for wide or long tables; they go when the driver ends."""
     path = os.path.join(shared_dir(df.sparkSession), f"table-{uuid.uuid4().hex}")
     df.write.parquet(path)
+    if not _tables:
+        # Registered after the session's own, so that it runs before the session stops.
+        atexit.register(_drop_tables)
+    _tables.append((df.sparkSession, path))
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
