@@ -61,7 +61,7 @@ def hadamard_blocks(block: pa.Array) -> pa.Array:
     return pa.ListArray.from_arrays(ends, pa.array(y.ravel()))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def overlap(ar: pd.Series, ai: pd.Series, br: pd.Series, bi: pd.Series) -> float:
     """Aggregate: the squared overlap of two states given as rows of amplitudes."""
     return float(abs(np.vdot(ar.to_numpy() + 1j * ai.to_numpy(), br.to_numpy() + 1j * bi.to_numpy())) ** 2)
