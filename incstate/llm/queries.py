@@ -148,7 +148,7 @@ found AS (
   SELECT a.doc_id, a.name FROM hit a JOIN hit b ON a.doc_id = b.doc_id AND a.name = b.name JOIN tn ON tn.name = a.name
     AND b.i BETWEEN a.i AND a.i + tn.size - 1
   GROUP BY a.doc_id, a.name, a.i, tn.distinct_size HAVING count(DISTINCT b.s) >= CAST(0.8 AS DOUBLE) * tn.distinct_size
-), names AS (SELECT DISTINCT doc_id, regexp_replace(name, ' \(.*', '') AS name FROM found)
+), names AS (SELECT DISTINCT doc_id, regexp_replace(name, ' [(].*', '') AS name FROM found)
 SELECT d.doc_id, count(name) AS n_licenses, coalesce(string_agg(name, ',' ORDER BY name), '') AS licenses
 FROM d LEFT JOIN names ON names.doc_id = d.doc_id GROUP BY d.doc_id
 """
