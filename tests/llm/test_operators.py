@@ -583,3 +583,30 @@ def test_pipeline_stages_on_odd_rows(odd, odd_rows, none, spark, tmp_path):
         assert out.count() <= 3 * len(odd_rows) + 8, name
         empty = stage(spark, none.withColumn("n_chars", F.lit(0).cast("long")), str(tmp_path))
         assert empty.count() == 0 and empty.columns == out.columns, name
+
+
+def test_quality_counts_equal_brute_force(spark, data, labels):
+    """All five base counts and the base verdict, text by text."""
+    docs = spark.read.parquet(f"{data}/documents.parquet")
+    extra = [(-1, "a b c a b c\n\n x\nx\n x"), (-2, "# $ |<>\n" * 3), (-3, None), (-4, "é日本 " * 60), (-5, "one two")]
+    both = docs.select("doc_id", "text").unionByName(spark.createDataFrame(extra, "doc_id long, text string"))
+    out = {r.doc_id: r for r in tree_rules.quality_rules(both, labels).collect()}
+    for r in both.collect():
+        w = words(r.text)
+        lines = [x for x in (r.text or "").split("\n") if words(x)]
+        seen = Counter(tuple(w[k : k + 3]) for k in range(len(w) - 2))
+        repeated = {k + j for k in range(len(w) - 2) if seen[tuple(w[k : k + 3])] > 1 for j in range(3)}
+        got = out[r.doc_id]
+        want = (len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in r.text or ""), len(lines) - len(set(lines)), len(repeated))
+        assert (got.n_words, got.word_chars, got.n_symbols, got.n_dup_lines, got.n_repeat_words) == want
+        assert got.base_failed == (len(w) < 50 or 100 * len(repeated) > 50 * len(w))
+
+
+def test_shards_of_a_table_equal_their_sums(spark, data):
+    """Sizes and checksums of real texts, and slots without gaps."""
+    docs = spark.read.parquet(f"{data}/documents.parquet")
+    out = kd_shards.kd_shards(docs).join(docs.select("doc_id", "text"), "doc_id").toPandas()
+    raw = out.text.fillna("").map(str.encode)
+    assert len(out) == docs.count() and (out["size"] == raw.map(len) + 8).all() and (out.text_crc32 == raw.map(zlib.crc32)).all()
+    for _, g in out.groupby("shard"):
+        assert sorted(g.slot) == list(range(len(g)))
