@@ -5,7 +5,7 @@ from __future__ import annotations
 import duckdb
 import pytest
 
-from incstate.workloads import measures, surface  # noqa: F401
+from incstate.workloads import measures, suite, surface  # noqa: F401
 from incstate.workloads.queries import ORACLES, QUERIES
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -13,7 +13,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 CHECKED = [
     "encode_embeddings", "circuit_from_orders", "net_accept", "partitions_orders", "slots", "edges", "graph_waves", "affected_mixed", "relink_after_edit", "partitions_enum", "partitions_closed", "full_orders",
     "full_embeddings", "mono_swap_cz_ccx", "super_h_net", "inc_insert", "inc_remove", "inc_mixed", "inc_report_counts", "circuit_from_text", "join_lateral_terms", "udtf_parse_gates", "full_documents", "cow_saving", "levelize", "sample_shots",
-    "worked_after_insert", "worked_affected", "family_adder", "stats_cube", "join_interval", "join_asof", "win_running_max", "stream_tumbling", "udtf_partition_ranges",
+    "worked_after_insert", "worked_affected", "family_adder", "family_multiplier", "family_factoring", "family_satisfying", "family_order", "stats_cube", "join_interval", "join_asof", "win_running_max", "stream_tumbling", "udtf_partition_ranges",
 ]
 
 
