@@ -109,7 +109,7 @@ def kd_shards(docs: DataFrame, shards: int = SHARDS, dimensions: list[Column] |
     ``shards - 1`` and ``slot`` from 0 without gaps in each shard; ``grown_shard`` is null under this law.
     Null ids, empty texts, ties and repeated rows are ordinary points; rows that are equal may be divided
     between two shards only where they outweigh 1% of one.  An empty table gives no rows; other columns are
-    ignored.  Slots are numbered in hashed runs of about 20,000 rows whose offsets are summed first, so no
+    ignored; of a very long text only its length, hashes and shares are kept after the scan.  Slots are numbered in hashed runs of about 20,000 rows whose offsets are summed first, so no
     shard is ever sorted in one task.
     """
     text = F.coalesce(F.col("text"), F.lit(""))

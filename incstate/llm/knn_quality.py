@@ -163,7 +163,7 @@ def quality_scores(docs: DataFrame, labels: DataFrame, per_label: int = ROWS_PER
     Labels are read only from rows whose crc32(doc_id) mod 4 is not 2, at most ``per_label`` of each
     label; null labels are left out, and without any label all score one half.  A null id is never held
     out; empty texts, ties and repeated rows are scored like others; an empty table gives no rows; other
-    columns are ignored.
+    columns are ignored.  A very long text is a slice of its own, read whole.
     """
     space = learn(docs, labels, per_label)
     return scored(docs.select("doc_id", "text"), space).select(

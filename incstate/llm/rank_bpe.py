@@ -184,7 +184,7 @@ def token_counts(docs: DataFrame, vocabulary: str, limit: int = LIMIT) -> DataFr
     ``vocabulary`` is the path of a byte-level merge file, the same on every machine.  No begin or end
     tokens are added; the vocabulary's special strings count as one token each, as the library has them by
     default.  A null or empty text has no tokens.  Repeated rows and null ids are counted like others;
-    other columns are ignored; an empty table gives no rows.
+    other columns are ignored; an empty table gives no rows.  A very long text is worked on alone, whole.
     """
 
     @F.arrow_udf(T.LongType())

@@ -139,7 +139,8 @@ def quality_rules(docs: DataFrame, labels: DataFrame, most: int = TRAINING_ROWS)
     null or of unknown documents are left out, and without any label all documents score one half (kept
     if the base limits allow).  ``base_failed`` holds for fewer than 50 words or more than 50% words in
     repeated three-word windows; null texts count as empty.  Repeated rows and null ids are judged like
-    others; an empty table gives no rows; other columns are ignored.
+    others; an empty table gives no rows; other columns are ignored.  A very long text is a slice of its
+    own, read whole.
     """
     bound_batches(docs)
     x, y = training_rows(docs, labels, most)

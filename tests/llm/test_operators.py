@@ -357,6 +357,54 @@ def test_quality_on_held_out_rows(spark, data):
     assert rules[rules.quality == 1].kept.mean() > 0.97 and rules[rules.quality == 0].kept.mean() < 0.1
 
 
+def test_quality_scores_equal_brute_force(spark, data):
+    """From bytes to votes, text by text: terms, their weights, the voters, cosines and the vote."""
+    docs, marks = (spark.read.parquet(f"{data}/{n}.parquet") for n in ("documents", "labels"))
+    space = knn_quality.learn(docs, marks)
+    got = {r.doc_id: r for r in knn_quality.quality_scores(docs, marks).collect()}
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    label = {r.doc_id: r.quality for r in marks.collect() if r.quality in (0, 1) and zlib.crc32(str(r.doc_id).encode()) % 4 != 2}
+    label = {k: label[k] for k in sorted(label) if k in texts}
+
+    def terms(text):
+        raw, out = text.encode(), np.zeros(knn_quality.TERMS)
+        for a, b, c in zip(raw, raw[1:], raw[2:]):
+            out[((a * 0x9E3779B1 + b * 0x85EBCA77 + c * 0xC2B2AE3D) & 0xFFFFFFFF) >> 21] += 1
+        out = np.log1p(out)
+        shares, at = dict(zip(knn_quality.SHARES, knn_quality.stats(pa.array([text]))[1][0])), knn_quality.TRIGRAM_TERMS
+        for name, ends in knn_quality.BIN_ENDS.items():
+            out[at + sum(shares[name] > e for e in ends)] = 1
+            at += len(ends) + 1
+        return out
+
+    made = {k: terms(x) for k, x in texts.items()}
+    sample = np.array([made[k] for k in label])
+    weight = np.log((1 + len(label)) / (1 + (sample > 0).sum(axis=0))) + 1
+    weight[knn_quality.TRIGRAM_TERMS :] = 1
+    assert np.allclose(space.weight, weight, atol=1e-5) and space.label.tolist() == list(label.values())
+
+    def vector(x):
+        x, cut = x * weight, knn_quality.TRIGRAM_TERMS
+        x[:cut] /= max(np.linalg.norm(x[:cut]), 1e-12)
+        x[cut:] *= knn_quality.STATISTIC_WEIGHT / np.sqrt(len(knn_quality.BIN_ENDS))
+        return x
+
+    rows = np.array([vector(made[k]) for k in label])
+    best = (np.linalg.svd(rows, compute_uv=False)[: knn_quality.LATENT] ** 2).sum()
+    assert ((rows @ space.axes) ** 2).sum() > 0.99 * best
+    unit = lambda z: z / max(np.linalg.norm(z), 1e-12)
+    voters = np.array([unit(x @ space.axes) for x in rows])
+    rate = np.mean(list(label.values()))
+    vote = np.array([space.prior / rate if y else (1 - space.prior) / (1 - rate) for y in label.values()])
+    for k, x in made.items():
+        cosine = voters @ unit(vector(x) @ space.axes)
+        near = np.argsort(-cosine)[: knn_quality.NEIGHBOURS]
+        w = np.exp(knn_quality.SHARPNESS * (cosine[near] - cosine.max())) * vote[near]
+        score = (w * np.array(list(label.values()))[near]).sum() / w.sum()
+        assert got[k].score == pytest.approx(score, abs=2e-3)
+        assert got[k].held_out == (zlib.crc32(str(k).encode()) % 4 == 2) and got[k].predicted == (got[k].score >= knn_quality.THRESHOLD)
+
+
 def test_neighbours_are_exact():
     draw = np.random.default_rng(8)
     space = knn_quality.Space(None, None, knn_quality._unit(draw.standard_normal((300, 8))), np.ones(300), (draw.random(300) < 0.5).astype(float), 0.5)
