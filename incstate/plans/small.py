@@ -6,12 +6,11 @@ The engine keeps block versions per slot as arrays that slots share until they w
 from __future__ import annotations
 
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from incstate.operators.partition import Pattern, log2, pattern
+from incstate.plans.replay import COUNTS, Measure, replay_tables
 from incstate.plans.wide import Gate, block_kernel, coupled_bits
 
 
@@ -118,10 +117,7 @@ class SmallCircuit:
         return [(lo, hi) for lo, hi in spans if lo & ~mask in groups]
 
 
-_STEP = (
-    T.StructType().add("iter", "long").add("frontier_parts", "long").add("affected_parts", "long").add("span_amplitudes", "long")
-    .add("written_blocks", "long").add("total_blocks", "long").add("re", T.ArrayType(T.DoubleType())).add("im", T.ArrayType(T.DoubleType()))
-)
+_STATE = "re array<double>, im array<double>"
 
 
 def replay(log: list[dict], n: int, block_size: int, sync: str = "global", check_nets: bool = True) -> list[dict]:
@@ -141,18 +137,23 @@ def replay(log: list[dict], n: int, block_size: int, sync: str = "global", check
     return out
 
 
-def incremental_many(log: DataFrame, n: int, block_size: int, sync: str = "global") -> DataFrame:
+def incremental_many(
+    log: DataFrame, n: int, block_size: int, sync: str = "global", measure: tuple[str, Measure] | None = None
+) -> DataFrame:
     """Replay all circuits' logs ``(circuit_id, seq, iter, op, net_no, gate_no, kind, target, controls, theta)``.
 
-    Returns one row per circuit and iteration with the update's counts and the state after it.  One
+    Returns one row per circuit and iteration with the update's counts and the state after it, or, where
+    ``measure`` is given, what it makes of the states (its columns and a function of an array of vectors).  One
     shuffle by circuit; a circuit's log must fit a task.
     """
 
-    @F.arrow_udf(T.ArrayType(_STEP))
-    def run(logs: pa.Array) -> pa.Array:
-        kind = pa.list_(pa.struct([(f.name, pa.list_(pa.float64()) if f.name in ("re", "im") else pa.int64()) for f in _STEP.fields]))
-        return pa.array([replay(e, n, block_size, sync) for e in logs.to_pylist()], kind)
+    def run(batches):
+        return replay_tables(batches, n, block_size, sync, measure and measure[1])
 
-    entry = F.struct("seq", "iter", "op", "net_no", "gate_no", "kind", "target", "controls", "theta")
-    packed = log.groupBy("circuit_id").agg(F.array_sort(F.collect_list(entry)).alias("log"))
-    return packed.select("circuit_id", F.explode(run("log")).alias("x")).select("circuit_id", "x.*")
+    entry = ["circuit_id", "iter", "op", "net_no", "gate_no", "kind", "target", "controls", "theta"]
+    # The window brings a circuit's edits together and in order; the number keeps it in the plan.
+    order = Window.partitionBy("circuit_id").orderBy("seq")
+    sorted_log = log.select(*entry, "seq").withColumn("nth", F.row_number().over(order)).drop("seq")
+    more = _STATE if measure is None else measure[0]
+    schema = ", ".join(["circuit_id bigint, iter bigint", *[f"{k} bigint" for k in COUNTS], *([more] if more else [])])
+    return sorted_log.mapInArrow(run, schema)
